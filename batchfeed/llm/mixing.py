@@ -4,7 +4,8 @@ Each document of a source has the same expected number of copies, target / sourc
 size: its whole part is taken for sure, its fraction is the inclusion probability of
 one copy more. The flight moves the probabilities of a few documents at a time along
 vectors that leave the balancing totals (documents and words) unchanged, until each is
-0 or 1 but for as many as there are constraints. Groups of (source, bucket) fly apart;
+0 or 1 but for as many as there are constraints. Large documents go first, so that the
+few left open are small. Groups of (source, bucket) fly apart;
 what is left flies again within each source, then over all sources by bucket, and the
 last two documents land by independent rounding.
 
@@ -94,7 +95,7 @@ def _flight(units: DataFrame, *keys: str) -> DataFrame:
     schema = units.schema
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["order", "uid", "copy"], kind="stable").reset_index(drop=True)
+        pdf = pdf.sort_values(["size", "order", "uid", "copy"], ascending=[False, True, True, True], kind="stable").reset_index(drop=True)
         pdf["p"] = fly(pdf.p.to_numpy(), np.stack([np.ones(len(pdf)), pdf["size"].to_numpy(float)], axis=1), pdf.noise.to_numpy())
         return pdf
 
