@@ -244,7 +244,7 @@ PUBLISHED = (
 )
 
 
-@query("w13_audit", f"with p as (select * from (values {', '.join(str(x) for x in PUBLISHED)}) t(grp, regime, loader, s)) select a.grp, a.regime, a.loader, a.s::double "seconds", {_r('a.s', 'b.s')} over_push from p a join p b on a.grp = b.grp and a.regime = b.regime and b.loader = 'push_batch'")
+@query("w13_audit", f"with p as (select * from (values {', '.join(str(x) for x in PUBLISHED)}) t(grp, regime, loader, s)) select a.grp, a.regime, a.loader, a.s::double as seconds, {_r('a.s', 'b.s')} over_push from p a join p b on a.grp = b.grp and a.regime = b.regime and b.loader = 'push_batch'")
 def w13_audit(spark, d):
     p = spark.createDataFrame(list(PUBLISHED), "grp string, regime string, loader string, seconds double")
     b = p.where("loader = 'push_batch'").select("grp", "regime", F.col("seconds").alias("_b"))
