@@ -18,6 +18,7 @@ rows of a repeated doc_id are written one after the other; an empty table writes
 from __future__ import annotations
 
 import json
+import os
 import posixpath
 import re
 import struct
@@ -141,7 +142,8 @@ class CachedTokenizer:
 
     _CUT, _ODD = re.compile(r"(?<=\S) (?=\S)"), re.compile(r"\s\s|^ | $")
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = 700_000):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core; idle threads would spin
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
