@@ -81,7 +81,7 @@ class Block:
         return cls(row["block"], row["crc"], np.frombuffer(row["doc_ids"], "<i8"), np.frombuffer(row["doc_null"], "u1"), row["body"])
 
 
-def blocks(docs: DataFrame, block_bytes: int = 12 << 20) -> DataFrame:
+def blocks(docs: DataFrame, block_bytes: int = 5 << 20) -> DataFrame:
     """Rows of docs(doc_id, text) packed into blocks of about block_bytes (one document at least)."""
 
     def run(rows):

@@ -140,7 +140,10 @@ class CachedTokenizer:
     alone and a text's ids are those of its units.
     """
 
-    _CUT, _ODD = re.compile(r"(?<=\S) (?=\S)"), re.compile(r"\s\s|^ | $")
+    _CUT = re.compile(r"(?<=\S) (?=\S)")
+    _BESIDE = tuple(x for c in "\t\n\x0b\x0c\r" for x in (f" {c}", f"{c} ")) + ("  ",)
+    _OTHER_SPACE = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+    _MARKS = ".,;:!?|*#$%&)"
 
     def __init__(self, path: str, limit: int = 700_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core; idle threads would spin
@@ -148,28 +151,71 @@ class CachedTokenizer:
 
         self.model = Tokenizer.from_file(path)
         self.kind = np.dtype("<u2" if self.model.get_vocab_size() <= 1 << 16 else "<u4")
+        vocabulary = self.model.get_vocab()
+        self.spaced = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
+        self.spaced[[i for t, i in vocabulary.items() if t.startswith("\u0120")]] = True
+        self.words: dict[str, bytes] = {}
+        self.tails: dict[str, bytes] = {"": b""}
         self.first: dict[str, bytes] = {}
         self.later: dict[str, bytes] = {}
         self.limit = limit
 
-    def _learn(self, cache: dict[str, bytes], units: set[str], lead: str) -> None:
-        missing = [u for u in units if u not in cache]
-        for at in range(0, len(missing), 4096):
-            some = missing[at : at + 4096]
-            for u, e in zip(some, self.model.encode_batch_fast([lead + u for u in some], add_special_tokens=False), strict=True):
+    def _ids(self, cache: dict[str, bytes], units: list[str]) -> None:
+        """Encode units into cache. Those led by their only space go as one text, whose ids are cut
+        again where a token starts with a space; that spares the library's cost per text."""
+        led = [u for u in units if u[:1] == " " and " " not in u[1:]]
+        for at in range(0, len(led), 2048):
+            some = led[at : at + 2048]
+            ids = np.array(self.model.encode_batch_fast(["".join(some)], add_special_tokens=False)[0].ids, self.kind)
+            ends = np.append(np.flatnonzero(self.spaced[ids]), len(ids)) * self.kind.itemsize
+            raw = ids.tobytes()
+            if len(ends) == len(some) + 1 and not ends[0]:
+                bounds = ends.tolist()
+                cache.update(zip(some, [raw[a:z] for a, z in zip(bounds, bounds[1:])], strict=True))
+        rest = [u for u in units if u not in cache]
+        for at in range(0, len(rest), 4096):
+            some = rest[at : at + 4096]
+            for u, e in zip(some, self.model.encode_batch_fast(some, add_special_tokens=False), strict=True):
                 cache[u] = np.array(e.ids, self.kind).tobytes()
 
+    def _is_odd(self, text: str) -> bool:
+        """Whether some space does not stand between two non-space characters."""
+        return text[0] == " " or text[-1] == " " or any(x in text for x in self._BESIDE) or self._OTHER_SPACE.search(text) is not None
+
+    def _learn(self, cache: dict[str, bytes], units: set[str], lead: str) -> None:
+        """Encode units not known yet. Marks at the end of a word are a piece of their own for the
+        pre-tokenizer, so a word is encoded once for all marks that follow it."""
+        split, whole, tails = [], [], set()
+        for u in units:
+            if u in cache:
+                continue
+            core = u.rstrip(self._MARKS)
+            if core and core[-1].isalpha():
+                split.append((u, lead + core, u[len(core) :]))
+                tails.add(u[len(core) :])
+            else:
+                whole.append(u)
+        words = self.words
+        self._ids(self.tails, [t for t in tails if t not in self.tails])
+        self._ids(words, list({w for _, w, _ in split if w not in words}))
+        for u, w, t in split:
+            cache[u] = words[w] + self.tails[t]
+        some: dict[str, bytes] = {}
+        self._ids(some, [lead + u for u in whole])
+        for u in whole:
+            cache[u] = some[lead + u]
+
     def encode(self, batch: list[str]) -> list[bytes]:
         """Ids of each text, as little-endian bytes of self.kind."""
-        if len(self.first) + len(self.later) > self.limit:
+        if len(self.first) + len(self.later) > self.limit // 2:
             self.first.clear()
             self.later.clear()
-        cut = [(self._CUT.split(t) if self._ODD.search(t) else t.split(" ")) if t else [] for t in batch]
+        if len(self.words) + len(self.tails) > self.limit:
+            self.words.clear()
+            self.tails = {"": b""}
+        cut = [(self._CUT.split(t) if self._is_odd(t) else t.split(" ")) if t else [] for t in batch]
         self._learn(self.first, {c[0] for c in cut if c}, "")
-        later: set[str] = set()
-        for c in cut:
-            later.update(c[1:])
-        self._learn(self.later, later, " ")
+        self._learn(self.later, set().union(*cut), " ")
         get = self.later.__getitem__
         return [self.first[c[0]] + b"".join(map(get, c[1:])) if c else b"" for c in cut]
 
