@@ -194,7 +194,7 @@ def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, relia
             at = g.first[mine]
             context = np.roll(g.keys[m - 1], 1)[at]
             keys, place = np.unique(context, return_inverse=True)
-            rows.append((keys, np.bincount(place, s.p[m][at], len(keys)), np.bincount(place, s.p[m - 1][at], len(keys))))
+            rows.append((keys, np.bincount(place, s.p[m][at], len(keys)).astype(float), np.bincount(place, s.p[m - 1][at], len(keys)).astype(float)))
         # tokens from the highest order down: what is not kept backs off by its context's weight
         log_p = np.zeros(len(g.tokens))
         open_ = real.copy()
@@ -208,7 +208,7 @@ def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, relia
             ask_doc.append(g.doc[back])
         log_p[open_] = np.log10(s.p[0][open_])
         n = len(g.sizes)
-        per_doc = lambda w: np.bincount(g.doc[real], w[real], n)
+        per_doc = lambda w: np.bincount(g.doc[real], w[real], n).astype(float)
         keys, place = np.unique(np.concatenate([*ask_context, np.zeros(0, np.uint64)]), return_inverse=True)
         pairs, times = np.unique(np.concatenate([*ask_doc, np.zeros(0, np.int64)]).astype(np.uint64) << np.uint64(32) | place.astype(np.uint64), return_counts=True)
         state = joined([
