@@ -71,7 +71,7 @@ def texts(column: pa.Array) -> list[bytes]:
 class HashCache(dict):
     """64-bit hashes of words, kept for as long as they fit in `limit` entries."""
 
-    def __init__(self, limit: int = 300_000):
+    def __init__(self, limit: int = 200_000):
         super().__init__()
         self.limit = limit
 

@@ -165,7 +165,7 @@ def _totals(answers: DataFrame, orders: int, reliable: int) -> Totals:
     return Totals(n_r, s[:, reliable + 2], s[:, reliable + 3], int(s[1, 0]), types)
 
 
-def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, reliable: int = 5, least_count: int = 2, base_add: float = 0.1, block_bytes: int = 5 << 20, part_bytes: int = 3 << 20) -> DataFrame:
+def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, reliable: int = 5, least_count: int = 2, base_add: float = 0.1, block_bytes: int = 3 << 20, part_bytes: int = 3 << 20) -> DataFrame:
     """Score every row of docs(doc_id, text) by a model of those whose bucket is not held.
 
     Returns doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10).
@@ -259,7 +259,7 @@ def backoff_table(parts: DataFrame) -> DataFrame:
     return spark.read.schema("key long, value double, order int").parquet(path)
 
 
-def ngram_table(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, least_count: int = 2, block_bytes: int = 5 << 20, part_bytes: int = 3 << 20) -> DataFrame:
+def ngram_table(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, least_count: int = 2, block_bytes: int = 3 << 20, part_bytes: int = 3 << 20) -> DataFrame:
     """The kept n-gram counts as a table stored by order: key (64-bit hash), n, ngram (its words)."""
     parts = partitions_for(docs, part_bytes, least=4)
     packed_docs = blocks(docs, block_bytes)

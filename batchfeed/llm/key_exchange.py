@@ -22,7 +22,7 @@ import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, functions as F
 
-from .common import texts
+from .common import batches, texts
 
 BLOCK_SCHEMA = "block long, crc long, doc_ids binary, doc_null binary, body binary"
 ASK_SCHEMA = "part int, block long, crc long, payload binary"
@@ -94,7 +94,7 @@ def blocks(docs: DataFrame, block_bytes: int = 5 << 20) -> DataFrame:
             body = zstandard.ZstdCompressor(level=3).compress(raw)
             return pa.RecordBatch.from_pydict({"block": pa.array([(part << 24) + serial], pa.int64()), "crc": pa.array([zlib.crc32(raw, zlib.crc32(numbers))], pa.int64()), "doc_ids": pa.array([numbers], pa.binary()), "doc_null": pa.array([bytes(i is None for i in ids)], pa.binary()), "body": pa.array([body], pa.binary())})
 
-        for batch in rows:
+        for batch in batches(rows, 2 << 20):
             for i, t in zip(batch["doc_id"].to_pylist(), texts(batch["text"]), strict=True):
                 if held and size + len(t) > block_bytes:
                     yield close()
