@@ -42,7 +42,8 @@ def payload_digest(payload: bytes) -> str:
 def record(kind: str, headers: dict[str, str], body: bytes) -> bytes:
     """One gzipped WARC/1.1 record."""
     lines = ["WARC/1.1", f"WARC-Type: {kind}", *(f"{k}: {v}" for k, v in headers.items()), f"Content-Length: {len(body)}", "", ""]
-    z = zlib.compressobj(1, zlib.DEFLATED, 31)
+    small = len(body) < 512  # requests and metadata need no large window
+    z = zlib.compressobj(1, zlib.DEFLATED, 25 if small else 31, 1 if small else 8)
     return z.compress("\r\n".join(lines).encode() + body + b"\r\n\r\n") + z.flush()
 
 
