@@ -19,7 +19,6 @@ a null url; text that is not UTF-8 does not occur in Spark strings.
 from __future__ import annotations
 
 import base64
-import gzip
 import hashlib
 import posixpath
 import uuid
@@ -47,9 +46,28 @@ def record(kind: str, headers: dict[str, str], body: bytes) -> bytes:
     return z.compress("\r\n".join(lines).encode() + body + b"\r\n\r\n") + z.flush()
 
 
+def plain_bytes(data: bytes, chunk: int = 1 << 14) -> bytes:
+    """The content of an archive, gzipped record by record, as a whole or not at all.
+
+    Members are fed to zlib in small chunks, since it copies what follows a member's end.
+    """
+    if data[:2] != b"\x1f\x8b":
+        return data
+    view, at, out = memoryview(data), 0, []
+    while at < len(data):
+        member = zlib.decompressobj(31)
+        while not member.eof:
+            piece = view[at : at + chunk]
+            if not piece:
+                raise ValueError("the last gzip member is cut")
+            out.append(member.decompress(piece))
+            at += len(piece) - len(member.unused_data)
+    return b"".join(out)
+
+
 def parse(data: bytes):
     """(headers, body) of each record in an archive; header names are lower-cased."""
-    plain = gzip.decompress(data) if data[:2] == b"\x1f\x8b" else data
+    plain = plain_bytes(data)
     at = 0
     while at < len(plain):
         end = plain.index(b"\r\n\r\n", at)
