@@ -18,12 +18,14 @@ rows of a repeated doc_id are written one after the other; an empty table writes
 from __future__ import annotations
 
 import json
+import operator
 import os
 import posixpath
 import re
 import struct
 import uuid
 import zlib
+from itertools import compress
 
 import numpy as np
 import pyarrow as pa
@@ -185,25 +187,19 @@ class CachedTokenizer:
     def _learn(self, cache: dict[str, bytes], units: set[str], lead: str) -> None:
         """Encode units not known yet. Marks at the end of a word are a piece of their own for the
         pre-tokenizer, so a word is encoded once for all marks that follow it."""
-        split, whole, tails = [], [], set()
-        for u in units:
-            if u in cache:
-                continue
-            core = u.rstrip(self._MARKS)
-            if core and core[-1].isalpha():
-                split.append((u, lead + core, u[len(core) :]))
-                tails.add(u[len(core) :])
-            else:
-                whole.append(u)
-        words = self.words
-        self._ids(self.tails, [t for t in tails if t not in self.tails])
-        self._ids(words, list({w for _, w, _ in split if w not in words}))
-        for u, w, t in split:
-            cache[u] = words[w] + self.tails[t]
+        new = list(units.difference(cache))
+        cores = [u.rstrip(self._MARKS) for u in new]
+        is_word = [c[-1:].isalpha() for c in cores]
+        split = list(compress(new, is_word))
+        led = [lead + c for c in compress(cores, is_word)]
+        ends = [u[len(c) :] for u, c in zip(split, compress(cores, is_word), strict=True)]
+        self._ids(self.tails, list(set(ends).difference(self.tails)))
+        self._ids(self.words, list(set(led).difference(self.words)))
+        cache.update(zip(split, map(operator.add, map(self.words.__getitem__, led), map(self.tails.__getitem__, ends)), strict=True))
+        whole = [u for u, w in zip(new, is_word, strict=True) if not w]
         some: dict[str, bytes] = {}
         self._ids(some, [lead + u for u in whole])
-        for u in whole:
-            cache[u] = some[lead + u]
+        cache.update(zip(whole, [some[lead + u] for u in whole], strict=True))
 
     def encode(self, batch: list[str]) -> list[bytes]:
         """Ids of each text, as little-endian bytes of self.kind."""
