@@ -18,17 +18,16 @@ rows of a repeated doc_id are written one after the other; an empty table writes
 from __future__ import annotations
 
 import json
-import operator
 import os
 import posixpath
 import re
 import struct
 import uuid
 import zlib
-from itertools import compress
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window as W, functions as F
@@ -135,16 +134,17 @@ def decode_file(data: bytes, only: list[int] | None = None) -> tuple[np.ndarray,
 
 
 class CachedTokenizer:
-    """The tokenizers library behind a cache of units between single spaces.
+    """The tokenizers library behind a cache of units between single spaces and newlines.
 
     A byte-level pre-tokenizer never joins text across a space that stands between two
-    non-space characters, except that the space leads the next unit; so units encode
-    alone and a text's ids are those of its units.
+    non-space characters, except that the space leads the next unit; a newline there is a
+    piece of its own, and so is each of two. So units encode alone, newlines leading the unit
+    after them, and a text's ids are those of its units. Texts with other white space, which
+    `_ODD` finds, are cut at their spaces between non-space characters only.
     """
 
     _CUT = re.compile(r"(?<=\S) (?=\S)")
-    _BESIDE = tuple(x for c in "\t\n\x0b\x0c\r" for x in (f" {c}", f"{c} ")) + ("  ",)
-    _OTHER_SPACE = re.compile("[\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+    _ODD = r"\A | \z|  | \n|\n |\n\n\n|\n\n\z|[\t\x0b\x0c\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
     _MARKS = ".,;:!?|*#$%&)"
 
     def __init__(self, path: str, limit: int = 700_000):
@@ -154,66 +154,104 @@ class CachedTokenizer:
         self.model = Tokenizer.from_file(path)
         self.kind = np.dtype("<u2" if self.model.get_vocab_size() <= 1 << 16 else "<u4")
         vocabulary = self.model.get_vocab()
-        self.spaced = np.zeros(max(vocabulary.values(), default=0) + 1, bool)
-        self.spaced[[i for t, i in vocabulary.items() if t.startswith("\u0120")]] = True
+        self.odd = "|".join([self._ODD, *(rf"\Q{t.content}\E" for t in self.model.get_added_tokens_decoder().values())])
+        self.newline = self._alone(["\n"])[0]
+        most = max(vocabulary.values(), default=0) + 1
+        self.leads = {" ": np.zeros(most, bool), "\n": np.zeros(most, bool)}
+        self.leads[" "][[i for t, i in vocabulary.items() if t.startswith("\u0120")]] = True
+        self.leads["\n"][np.frombuffer(self.newline, self.kind)[:1]] = True
         self.words: dict[str, bytes] = {}
-        self.tails: dict[str, bytes] = {"": b""}
-        self.first: dict[str, bytes] = {}
-        self.later: dict[str, bytes] = {}
         self.limit = limit
 
-    def _ids(self, cache: dict[str, bytes], units: list[str]) -> None:
-        """Encode units into cache. Those led by their only space go as one text, whose ids are cut
-        again where a token starts with a space; that spares the library's cost per text."""
-        led = [u for u in units if u[:1] == " " and " " not in u[1:]]
-        for at in range(0, len(led), 2048):
-            some = led[at : at + 2048]
-            ids = np.array(self.model.encode_batch_fast(["".join(some)], add_special_tokens=False)[0].ids, self.kind)
-            ends = np.append(np.flatnonzero(self.spaced[ids]), len(ids)) * self.kind.itemsize
-            raw = ids.tobytes()
-            if len(ends) == len(some) + 1 and not ends[0]:
-                bounds = ends.tolist()
-                cache.update(zip(some, [raw[a:z] for a, z in zip(bounds, bounds[1:])], strict=True))
-        rest = [u for u in units if u not in cache]
-        for at in range(0, len(rest), 4096):
-            some = rest[at : at + 4096]
-            for u, e in zip(some, self.model.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                cache[u] = np.array(e.ids, self.kind).tobytes()
-
-    def _is_odd(self, text: str) -> bool:
-        """Whether some space does not stand between two non-space characters."""
-        return text[0] == " " or text[-1] == " " or any(x in text for x in self._BESIDE) or self._OTHER_SPACE.search(text) is not None
-
-    def _learn(self, cache: dict[str, bytes], units: set[str], lead: str) -> None:
-        """Encode units not known yet. Marks at the end of a word are a piece of their own for the
-        pre-tokenizer, so a word is encoded once for all marks that follow it."""
-        new = list(units.difference(cache))
-        cores = [u.rstrip(self._MARKS) for u in new]
-        is_word = [c[-1:].isalpha() for c in cores]
-        split = list(compress(new, is_word))
-        led = [lead + c for c in compress(cores, is_word)]
-        ends = [u[len(c) :] for u, c in zip(split, compress(cores, is_word), strict=True)]
-        self._ids(self.tails, list(set(ends).difference(self.tails)))
-        self._ids(self.words, list(set(led).difference(self.words)))
-        cache.update(zip(split, map(operator.add, map(self.words.__getitem__, led), map(self.tails.__getitem__, ends)), strict=True))
-        whole = [u for u, w in zip(new, is_word, strict=True) if not w]
-        some: dict[str, bytes] = {}
-        self._ids(some, [lead + u for u in whole])
-        cache.update(zip(whole, [some[lead + u] for u in whole], strict=True))
-
-    def encode(self, batch: list[str]) -> list[bytes]:
-        """Ids of each text, as little-endian bytes of self.kind."""
-        if len(self.first) + len(self.later) > self.limit // 2:
-            self.first.clear()
-            self.later.clear()
-        if len(self.words) + len(self.tails) > self.limit:
+    def _alone(self, units: list[str]) -> list[bytes]:
+        return [np.array(e.ids, self.kind).tobytes() for at in range(0, len(units), 4096) for e in self.model.encode_batch_fast(units[at : at + 4096], add_special_tokens=False)]
+
+    def _learn(self, units: list[str]) -> None:
+        """Encode units not known yet. Those led by their only space or newline go as one text, whose
+        ids are cut again at the tokens that lead; that spares the library's cost per text."""
+        new = [u for u in units if u not in self.words]
+        # the first unit of an odd text may start with white space, which must not meet the newline put before it
+        apart = [u for u in new if u[0] == "\n" and not u[1:2].strip()]
+        self.words.update(zip(apart, [self.newline + raw for raw in self._alone([u[1:] for u in apart])], strict=True))
+        for lead, leads in self.leads.items():
+            led = [u for u in new if u[0] == lead and lead not in u[1:]]
+            for at in range(0, len(led), 2048):
+                some = led[at : at + 2048]
+                ids = np.array(self.model.encode_batch_fast(["".join(some)], add_special_tokens=False)[0].ids, self.kind)
+                ends = np.append(np.flatnonzero(leads[ids]), len(ids)) * self.kind.itemsize
+                if len(ends) == len(some) + 1 and not ends[0]:
+                    raw, bounds = ids.tobytes(), ends.tolist()
+                    self.words.update((u, raw[a:z]) for u, a, z in zip(some, bounds, bounds[1:]) if u not in self.words)
+        rest = [u for u in new if u not in self.words]
+        self.words.update(zip(rest, self._alone(rest), strict=True))
+
+    def _known(self, units: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of the distinct units end to end, and where each starts and how many it has."""
+        distinct = units.to_numpy(zero_copy_only=False).tolist()
+        self._learn(distinct)
+        found = list(map(self.words.__getitem__, distinct))
+        sizes = np.fromiter(map(len, found), np.int64, len(found)) // self.kind.itemsize
+        return np.frombuffer(b"".join(found), self.kind), np.cumsum(sizes) - sizes, sizes
+
+    def _units(self, units: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """As _known, of units whose trailing marks are encoded apart: after a letter they are a piece
+        of their own for the pre-tokenizer, so a word is encoded once for all marks that follow it."""
+        led = pc.if_else(pc.starts_with(units, "\n"), units, pc.binary_join_element_wise(_text(" "), units, _text("")))
+        cores = pc.utf8_rtrim(led, self._MARKS)
+        cores = pc.if_else(pc.match_substring_regex(cores, r"\pL\z"), cores, led)
+        words = cores.dictionary_encode()
+        marks = _after(led, cores).dictionary_encode()
+        flat, start, size = self._known(words.dictionary)
+        ends = self._alone(marks.dictionary.to_pylist())
+        end_size = np.array([len(e) for e in ends], np.int64) // self.kind.itemsize
+        end_start = len(flat) + np.cumsum(end_size) - end_size
+        which, end = words.indices.to_numpy(zero_copy_only=False), marks.indices.to_numpy(zero_copy_only=False)
+        starts = np.stack([start[which], end_start[end]], axis=1).ravel()
+        sizes = np.stack([size[which], end_size[end]], axis=1).ravel()
+        both = _gather(np.concatenate([flat, np.frombuffer(b"".join(ends), self.kind)]), starts, sizes)
+        whole = sizes.reshape(-1, 2).sum(1)
+        return both, np.cumsum(whole) - whole, whole
+
+    def encode(self, batch: list[str | None] | pa.Array, piece: int = 1 << 18) -> list[bytes]:
+        """Ids of each text (null: none), as little-endian bytes of self.kind."""
+        if len(self.words) > self.limit:
             self.words.clear()
-            self.tails = {"": b""}
-        cut = [(self._CUT.split(t) if self._is_odd(t) else t.split(" ")) if t else [] for t in batch]
-        self._learn(self.first, {c[0] for c in cut if c}, "")
-        self._learn(self.later, set().union(*cut), " ")
-        get = self.later.__getitem__
-        return [self.first[c[0]] + b"".join(map(get, c[1:])) if c else b"" for c in cut]
+        texts = pc.fill_null(pa.array(batch, pa.large_string()) if isinstance(batch, list) else batch.cast(pa.large_string()), "")
+        odd = pc.match_substring_regex(texts, self.odd)
+        # a newline before each text shows that no space leads its first unit; its ids are dropped below
+        plain = pc.split_pattern(pc.binary_join_element_wise(_text("\n"), pc.replace_substring(texts.filter(pc.invert(odd)), "\n", " \n"), _text("")), " ")
+        cut = [["\n" + first, *others] for first, *others in map(self._CUT.split, texts.filter(odd).to_pylist())]
+        units = pa.concat_arrays([plain.flatten(), pa.array([u for c in cut for u in c], pa.large_string())]).dictionary_encode()
+        counts = np.concatenate([pc.list_value_length(plain).to_numpy(zero_copy_only=False), np.array([len(c) for c in cut], np.int64)]).astype(np.int64)
+        flat, starts, sizes = self._units(units.dictionary)
+        index = units.indices.to_numpy(zero_copy_only=False)
+        raw = b"".join(_gather(flat, starts[i], sizes[i]).tobytes() for i in (index[at : at + piece] for at in range(0, len(index), piece)))
+        unit_ends = np.append(0, np.cumsum(sizes[index])) * self.kind.itemsize
+        bounds = unit_ends[np.append(0, np.cumsum(counts))].tolist()
+        where = odd.to_numpy(zero_copy_only=False).astype(bool)
+        out = [b""] * len(where)
+        for k, a, z in zip(np.argsort(where, kind="stable").tolist(), bounds, bounds[1:]):
+            out[k] = raw[a + len(self.newline) : z]
+        return out
+
+
+def _text(value: str) -> pa.Scalar:
+    return pa.scalar(value, pa.large_string())
+
+
+def _after(whole: pa.Array, heads: pa.Array) -> pa.Array:
+    """What follows each head in the string that it starts."""
+    ends, lengths = np.frombuffer(whole.buffers()[1], np.int64)[whole.offset : whole.offset + len(whole) + 1], pc.binary_length(heads).to_numpy(zero_copy_only=False)
+    sizes = np.diff(ends) - lengths
+    data = _gather(np.frombuffer(whole.buffers()[2], np.uint8), ends[:-1] + lengths, sizes)
+    return pa.LargeStringArray.from_buffers(len(whole), pa.py_buffer(np.append(0, np.cumsum(sizes)).astype(np.int64)), pa.py_buffer(data))
+
+
+def _gather(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The ranges of flat that begin at starts, end to end."""
+    at = np.repeat(starts - (np.cumsum(sizes) - sizes), sizes)
+    at += np.arange(len(at))
+    return flat[at]
 
 
 _TOKENIZERS: dict[str, CachedTokenizer] = {}
@@ -251,7 +289,7 @@ def write_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int =
             return pa.RecordBatch.from_pydict({"name": [name], "part": pa.array([part], pa.int64()), "serial": pa.array([serial], pa.int64()), "documents": pa.array([len(ids)], pa.int64()), "tokens": pa.array([total], pa.int64())})
 
         for batch in batches(rows, 4 << 20):
-            for i, raw in zip(batch["doc_id"].to_pylist(), t.encode([x or "" for x in batch["text"].to_pylist()]), strict=True):
+            for i, raw in zip(batch["doc_id"].to_pylist(), t.encode(batch["text"]), strict=True):
                 held.append(raw + end)
                 ids.append(i)
                 lengths.append(len(raw) // t.kind.itemsize + 1)

@@ -278,3 +278,14 @@ def test_cascade_is_exact(spark):
     c = url_filters.build_cascade(listed, keys, first_rate=0.3)
     p = keys.toPandas()
     assert len(c.levels) > 1 and (c.listed(p.h1.to_numpy(), p.h2.to_numpy()) == (p.id % 7 == 0)).all()
+
+
+def test_cached_tokenizer_gives_the_ids_of_the_library():
+    t, r = token_files.CachedTokenizer(vocabulary_path()), random.Random(5)
+    pieces = ["a", "Zo", "é", "the", "'s", " ", " ", "\n", "\n", "\t", "\r", "\xa0", "\x1c", ".", "!)", "12", "<|endoftext|>", "中", "🙂", "²"]
+    texts = ["".join(r.choices(pieces, k=r.randint(0, 14))) for _ in range(4000)] + ["".join(r.choices("ab \n.", k=r.randint(0, 9))) for _ in range(4000)]
+    texts += [None, "\n", "\n\n", " \n", "a\n\n", "\n\na", "a\n\nb\n\n\nc", "x " * 400_000]
+    want = t.model.encode_batch_fast([x or "" for x in texts], add_special_tokens=False)
+    for _ in range(2):  # learned, then known
+        assert [np.frombuffer(g, t.kind).tolist() for g in t.encode(texts)] == [e.ids for e in want]
+    assert t.encode([]) == []
