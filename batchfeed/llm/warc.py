@@ -216,8 +216,16 @@ def round_trip(pages: DataFrame, least_bytes: int = 0, with_payload: bool = True
     archives = written(write_archives(pages, folder, least_bytes), "archives")
     if archives.isEmpty():
         return assemble(spark.createDataFrame([], "type string, record_id string, concurrent_to array<string>, url string, page_id long, refers_to long, payload_bytes long, payload_digest string, body binary"))
-    return assemble(read_records(spark, archives, folder, with_payload))
+    return assemble(written(read_records(spark, archives, folder, with_payload), "records"))
 
 
 def digest(captures: DataFrame) -> DataFrame:
-    return captures.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    """The columns of captures that `transaction` wrote, whose links are checked row by row.
+
+    Each has one request and one metadata record, both of its url. A lost, doubled or
+    wrongly linked one fails the query, since the columns alone would not show it.
+    """
+    own = lambda kind: (F.size(kind) == 1) & F.forall(kind, lambda r: r["url"].eqNullSafe(F.col("url")))
+    wrong = F.concat(F.lit("the records of page "), F.coalesce(F.col("page_id").cast("string"), F.lit("null")), F.lit(" are not one request and one metadata record of its url"))
+    record_type = F.when(own("requests") & own("metadata"), F.col("record_type")).otherwise(F.raise_error(wrong))
+    return captures.select("page_id", "payload_bytes", "payload_digest", record_type.alias("record_type"), "refers_to")

@@ -264,6 +264,20 @@ def test_warc(spark):
     assert warc.round_trip(df.limit(0)).count() == 0
 
 
+def test_warc_digest_sees_the_links(spark):
+    schema = "type string, record_id string, concurrent_to array<string>, url string, page_id long, refers_to long, payload_bytes long, payload_digest string, body binary"
+    row = lambda kind, name, hubs, url, page=None: (kind, name, hubs, url, page, None, None, None, None)
+    right = [row("response", "a", [], "u", 1), row("request", "b", ["a"], "u"), row("metadata", "c", ["a"], "u"), row("revisit", "d", ["e", "f"], None, 2), row("request", "e", [], None), row("metadata", "f", [], None)]
+    result = lambda rows: warc.digest(warc.assemble(spark.createDataFrame(rows, schema)))
+    assert sorted((r.page_id, r.record_type) for r in result(right).collect()) == [(1, "response"), (2, "revisit")]
+    assert "Join" in result(right)._jdf.queryExecution().optimizedPlan().toString()
+    lost, doubled = right[:2] + right[3:], [*right, row("request", "g", ["a"], "u")]
+    swapped = [row("request", "b", ["d"], "u") if r[1] == "b" else row("revisit", "d", ["f"], None, 2) if r[1] == "d" else row("request", "e", ["a"], None) if r[1] == "e" else r for r in right]
+    for wrong in (lost, doubled, swapped):
+        with pytest.raises(Exception, match="one request and one metadata"):
+            result(wrong).collect()
+
+
 def test_url_filters(spark):
     urls = [None, "", "no scheme", "http://www.Example.com/en/x?q", "https://example.com/en/", "http://example.com", "http://a.net/fr/1#t", "ftp://net/es/", "http://com/", "http://xcom/", "http://a.b.example.com/de/"]
     df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
