@@ -16,7 +16,7 @@ def vocabulary_path() -> str:
 
 
 def op1_katz_score(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return katz.score(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return katz.score(table(spark, sf_dir, "documents", "doc_id", "text"), least_count=1)
 
 
 def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,7 +12,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from batchfeed.llm import decontaminate, katz, mixing, quality_model, quality_rules, simhash, substring_dedup, token_files, url_filters, warc
+from batchfeed.llm import decontaminate, katz, mixing, quality_model, quality_rules, queries, simhash, substring_dedup, token_files, url_filters, warc
 from batchfeed.llm.queries import vocabulary_path
 
 random.seed(7)
@@ -218,6 +218,71 @@ def test_katz_against_brute_force(spark):
     assert table == {f"{name.get(a, a)} {name.get(b, b)}": c for (a, b), c in two.items() if c >= 2}
 
 
+def katz_by_hand(texts, order):
+    """Scores of texts by a plain model of all n-grams up to order, singletons too."""
+    grams = [Counter() for _ in range(order)]
+    for i, t in texts.items():
+        if zlib.crc32(str(i).encode()) % 10:
+            w = ["<"] * (order - 1) + [*t.split(), ">"]
+            for m in range(order):
+                grams[m].update(tuple(w[k - m : k + 1]) for k in range(order - 1, len(w)))
+    size = sum(grams[0].values())
+
+    def kept(m, c, k=5):
+        if c > k:
+            return c - 0.05
+        r = Counter(grams[m].values())
+        d = max(c - 0.5, 0.05) / c
+        cap = (k + 1) * r[k + 1] / r[1] if r[1] else 1
+        if r[c] and r[c + 1] and cap < 1:
+            good = ((c + 1) * r[c + 1] / r[c] / c - cap) / (1 - cap)
+            d = good if 0.01 < good < 0.999 else d
+        return c * d
+
+    share = [{c: kept(m, c) for c in set(grams[m].values())} for m in range(order)]
+    followers = {}
+    for m in range(1, order):
+        for g in grams[m]:
+            followers.setdefault(g[:-1], []).append(g[-1])
+    unknown = 1 - sum(share[0][c] for c in grams[0].values()) / size
+
+    def p(h, w):
+        if not h:
+            return share[0][grams[0][w,]] / size if grams[0][w,] else unknown
+        whole = sum(grams[len(h)][*h, x] for x in followers.get(h, ()))
+        mine = lambda x: share[len(h)][grams[len(h)][*h, x]] / whole
+        if grams[len(h)][*h, w]:
+            return mine(w)
+        if not whole:
+            return p(h[1:], w)
+        return (1 - sum(map(mine, followers[h]))) / (1 - sum(p(h[1:], x) for x in followers[h])) * p(h[1:], w)
+
+    for h in [(), *followers]:
+        assert math.isclose(sum(p(h, w) for (w,) in grams[0]) + p(h, "never"), 1, rel_tol=1e-9)
+    out = {}
+    for i, t in texts.items():
+        w = ["<"] * (order - 1) + [*t.split(), ">"]
+        out[i] = sum(math.log10(p(tuple(w[k - order + 1 : k]), w[k])) for k in range(order - 1, len(w)))
+    return out
+
+
+@pytest.mark.parametrize("order", [2, 3])
+def test_katz_keeps_singletons(spark, order):
+    rng = random.Random(4)
+    texts = {i: " ".join(rng.choice("abcdefg") if rng.random() < 0.9 else f"r{i % 20}" for _ in range(9)) for i in range(120)}
+    want = katz_by_hand(texts, order)
+    out = katz.score(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), order=order, least_count=1, block_bytes=700).collect()
+    assert len(out) == len(texts) and all(math.isclose(r.score, want[r.doc_id], rel_tol=1e-9) for r in out)
+
+
+def test_op1_scores_by_all_ngrams(spark, tmp_path):
+    rng = random.Random(6)
+    texts = {i: " ".join(rng.choice("abcdefg") if rng.random() < 0.9 else f"r{i % 20}" for _ in range(9)) for i in range(60)}
+    spark.createDataFrame(list(texts.items()), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    want = katz_by_hand(texts, 2)
+    assert all(math.isclose(r.score, want[r.doc_id], rel_tol=1e-9) for r in queries.op1_katz_score(spark, str(tmp_path)).collect())
+
+
 def test_quality_model(spark, docs, empty):
     labels = spark.createDataFrame([(i, int(len(t or "") > 100)) for i, t, _ in DOCS if i is not None], "doc_id long, quality int")
     out = quality_model.classify(docs, labels, least_rows=2).collect()
