@@ -11,8 +11,8 @@ neighbours. Two fingerprints are within two bits just if they share such a neigh
 and all that share one are linked, so each group is joined as a chain: linear work and
 no link lost. Equal fingerprints are collapsed first, so copies cost one row.
 
-Components come from min-label propagation with pointer jumping over distinct
-fingerprints, each round written to the shared folder.
+Components come from hooking groups to each other with pointer jumping over distinct
+fingerprints, each round written to the shared folder; rounds grow with the logarithm.
 
 Edge cases: null and empty texts have fingerprint 0 and are linked like others; fewer
 than three words make one shingle; rows with a null doc_id get the component of their
@@ -89,28 +89,39 @@ def links(fps: DataFrame, max_bucket: int = 24) -> DataFrame:
     return paired.unionByName(chained).distinct()
 
 
-def components(nodes: DataFrame, edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     """fp, label: the least `low` of each component; nodes(fp, low), edges(a, b).
 
-    Alternates hooking (every node takes the least label next to it) with pointer
-    jumping, until nothing changes. Only nodes with a link take part.
+    Every round hooks each group of nodes under one label to the least other label next
+    to any of its members, roots too. Two groups that chose each other are the only loops
+    and the lesser of them is the root, which is also the least of its tree. Pointer
+    jumping then relabels the groups by their roots. Each group with a link to another
+    merges, so these at least halve in every round; it ends when none is left.
+    Only nodes with a link take part.
     """
-    both = written(edges.select(F.col("a").alias("x"), F.col("b").alias("y")).unionByName(edges.select(F.col("b").alias("x"), F.col("a").alias("y"))), "edges")
-    linked = both.select(F.col("x").alias("fp")).distinct()
+    linked = edges.select(F.col("a").alias("fp")).unionByName(edges.select(F.col("b").alias("fp"))).distinct()
     # labels are ranks (low, fp), so that equal or null lows of different nodes stay apart
     label = written(nodes.join(linked, "fp", "left_semi").select("fp", F.struct(F.coalesce("low", F.lit((1 << 63) - 1)).alias("low"), F.col("fp").alias("id")).alias("label")), "labels")
-    for _ in range(max_rounds):
-        spread = both.join(label.select(F.col("fp").alias("x"), "label"), "x").groupBy(F.col("y").alias("fp")).agg(F.min("label").alias("near"))
-        hooked = label.join(spread, "fp").select("fp", F.col("label").alias("old"), F.least("label", "near").alias("label"))
-        jump = label.select(F.col("fp").alias("_id"), F.col("label").alias("_label"))
-        new = written(hooked.join(jump, F.col("label.id") == F.col("_id"), "left").select("fp", "old", F.least("label", "_label").alias("label")), "labels")
-        done = new.where("label != old").isEmpty()
-        label = new.select("fp", "label")
-        if done:
-            break
-    else:
-        raise RuntimeError("components did not settle")
-    return label.select("fp", F.col("label.low").alias("label"))
+    between = edges.select("a", "b")
+    while True:
+        la, lb = label.select(F.col("fp").alias("a"), F.col("label").alias("x")), label.select(F.col("fp").alias("b"), F.col("label").alias("y"))
+        open_ = written(between.join(la, "a").join(lb, "b").where("x != y").select("a", "b", "x", "y"), "open")
+        if open_.isEmpty():
+            return label.select("fp", F.col("label.low").alias("label"))
+        between = open_.select("a", "b")
+        sides = open_.select("x", "y").unionByName(open_.select(F.col("y").alias("x"), F.col("x").alias("y")))
+        near = written(sides.groupBy("x").agg(F.min("y").alias("y")), "near")
+        back = near.select(F.col("x").alias("y"), F.col("y").alias("_back"))
+        hook = near.join(back, "y").select("x", F.when((F.col("_back") == F.col("x")) & (F.col("x") < F.col("y")), F.col("x")).otherwise(F.col("y")).alias("y"))
+        hook = written(hook, "hooks")
+        while True:
+            up = hook.select(F.col("x").alias("y"), F.col("y").alias("_up"))
+            step = written(hook.join(up, "y").select("x", F.col("y").alias("_old"), F.col("_up").alias("y")), "hooks")
+            settled = step.where("y != _old").isEmpty()
+            hook = step.select("x", "y")
+            if settled:
+                break
+        label = written(label.join(hook, F.col("label") == F.col("x"), "left").select("fp", F.coalesce("y", "label").alias("label")), "labels")
 
 
 def near_duplicates(docs: DataFrame, max_bucket: int = 24) -> DataFrame:

@@ -87,6 +87,18 @@ def test_simhash(docs, empty):
     assert simhash.near_duplicates(empty).count() == 0
 
 
+def test_simhash_components_of_a_long_chain(spark):
+    rng = random.Random(9)
+    ids = [rng.getrandbits(64) - (1 << 63) for _ in range(1010)]
+    low = dict(zip(ids, rng.sample(range(5000), 1010)))
+    low[ids[3]] = low[ids[1003]] = None
+    chain, ring = ids[:1000], ids[1000:1009]
+    edges = [*zip(chain, chain[1:]), *zip(ring, ring[1:]), (ring[-1], ring[0])]
+    out = simhash.components(spark.createDataFrame(list(low.items()), "fp long, low long"), spark.createDataFrame([tuple(sorted(e)) for e in edges], "a long, b long"))
+    want = {f: min(low[x] for x in part if low[x] is not None) for part in (chain, ring) for f in part}
+    assert {r.fp: r.label for r in out.collect()} == want
+
+
 def test_decontaminate(spark, docs, empty):
     items = [("a", " ".join(words(LONG)[5:30])), ("b", "one"), ("c", ""), ("d", None), ("e", "nothing here at all")]
     bench = spark.createDataFrame(items, "item_id string, text string")
