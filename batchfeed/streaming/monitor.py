@@ -18,9 +18,20 @@ from ..sources.tables import samples_of
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def event_stream(spark: SparkSession, sf_dir: str, files_each: int = 1) -> DataFrame:
-    """Events as a stream; files_each bounds what one trigger admits."""
-    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", files_each).option("pathGlobFilter", "events.parquet*").parquet(sf_dir)
+def event_stream(spark: SparkSession, sf_dir: str, files_each: int | None = None) -> DataFrame:
+    """Events as a stream, from events.parquet as a file or a folder of part files.
+
+    files_each bounds what one trigger admits; without it a bounded run takes all files
+    in one, so that no row of a later file is late.
+    """
+    jvm = spark.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/events.parquet")
+    fs = path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+    folder = fs.exists(path) and fs.getFileStatus(path).isDirectory()
+    reader = spark.readStream.schema(EVENTS)
+    if files_each is not None:
+        reader = reader.option("maxFilesPerTrigger", files_each)
+    raw = reader.parquet(f"{sf_dir}/events.parquet") if folder else reader.option("pathGlobFilter", "events.parquet*").parquet(sf_dir)
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 

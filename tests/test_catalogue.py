@@ -95,3 +95,17 @@ def test_lookahead_without_end_is_the_closed_form(spark):
     assert [r.done for r in free] == [r.done for r in closed]
     tight = L.lookahead(b, "fetch_us", 2, 1).orderBy("turn").collect()
     assert all(a.done >= c.done for a, c in zip(tight, free))
+
+
+def test_streams_read_folders_and_overlapping_files(spark, tmp_path):
+    e = spark.read.parquet(f"{DATA}/events.parquet")
+    names = ("stream_tick_energy", "stream_dedup")
+    want = {n: rows(QUERIES[n](spark, DATA).toPandas()) for n in names}
+    e.repartition(3).write.parquet(f"{tmp_path}/folder/events.parquet")
+    os.makedirs(f"{tmp_path}/files")
+    for i, part in enumerate(sorted(glob.glob(f"{tmp_path}/folder/events.parquet/*.parquet"))):
+        os.link(part, f"{tmp_path}/files/events.parquet.{i}")
+    for layout in ("folder", "files"):
+        for n in names:
+            got = rows(QUERIES[n](spark, f"{tmp_path}/{layout}").toPandas())
+            assert got and got == want[n]
