@@ -10,7 +10,8 @@ The pattern tables are broadcast while the benchmark has at most `max_pattern_by
 of text. Beyond that it is cut into blocks by item, searched one after the other over
 all documents; what a block has found travels in a column of the rows.
 
-Edge cases: null texts have no words; an item without words fits nothing; overlapping
+Edge cases: null texts have no words; an item without words fits nothing; one of a null
+item_id is searched too, its hits count but it is in no id list; overlapping
 occurrences count a word once; repeated items are reported once each id; documents of
 a repeated doc_id are judged row by row.
 """
@@ -92,9 +93,9 @@ def covered(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def _blocks(benchmark: DataFrame, most: int) -> list[list[tuple[str, bytes]]]:
+def _blocks(benchmark: DataFrame, most: int) -> list[list[tuple[str | None, bytes]]]:
     """Items in lists of at most `most` bytes of text (one item at least)."""
-    rows, out, size = benchmark.where("item_id IS NOT NULL").select(F.col("item_id").cast("string").alias("id"), "text").orderBy("id", "text"), [[]], 0
+    rows, out, size = benchmark.select(F.col("item_id").cast("string").alias("id"), "text").orderBy("id", "text"), [[]], 0
     for r in rows.toLocalIterator():
         text = (r.text or "").encode()
         if out[-1] and size + len(text) > most:
@@ -131,8 +132,8 @@ def search(docs: DataFrame, benchmark: DataFrame, window: int = 13, max_pattern_
                     for t in tables:
                         t.find(words, spans, items)
                     old = pickle.loads(before) if before else ([], [])
-                    ids = sorted({names[i] for i in items}.union(old[1]))
-                    out.append(pickle.dumps((covered(spans + old[0]), ids)) if ids else None)
+                    ids = sorted({names[i] for i in items if names[i] is not None}.union(old[1]))
+                    out.append(pickle.dumps((covered(spans + old[0]), ids)) if spans or before else None)
                 yield pa.RecordBatch.from_arrays([*(batch[c] for c in read), pa.array(out, pa.binary())], [*read, "_found"])
 
         df = df.mapInArrow(run, df.schema)

@@ -121,6 +121,14 @@ def test_decontaminate(spark, docs, empty):
     assert decontaminate.search(empty, bench).count() == 0 and decontaminate.search(docs, bench.limit(0)).where("contaminated").count() == 0
 
 
+def test_decontaminate_counts_items_without_id(spark):
+    docs = spark.createDataFrame([(1, "one two three"), (2, "four five six")], "doc_id long, text string")
+    bench = spark.createDataFrame([(None, "one two"), ("a", "two three"), (None, "five")], "item_id string, text string")
+    for most in (1 << 20, 1):
+        out = {r.doc_id: (r.n_hit, r.item_ids, r.contaminated) for r in decontaminate.search(docs, bench, max_pattern_bytes=most).collect()}
+        assert out == {1: (3, ["a"], True), 2: (1, [], True)}
+
+
 def test_quality_rules(docs, empty):
     out = {(r.doc_id, r.n_words): r for r in quality_rules.judge(docs, quality_rules.LineCRF()).collect()}
     for i, t, _ in DOCS:
