@@ -365,18 +365,41 @@ def test_warc_digest_sees_the_links(spark):
 
 def test_url_filters(spark):
     urls = [None, "", "no scheme", "http://www.Example.com/en/x?q", "https://example.com/en/", "http://example.com", "http://a.net/fr/1#t", "ftp://net/es/", "http://com/", "http://xcom/", "http://a.b.example.com/de/"]
-    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    df = spark.createDataFrame([(i, u, "x", 1) for i, u in enumerate(urls)], "page_id long, url string, verdict string, keys int")
     want = [(None, "allow"), (None, "allow"), (None, "allow"), ("www.example.com/en/", "allow"), ("example.com/en/", "block"), (None, "allow"), ("net/fr/", "block"), ("net/es/", "block"), ("com/", "allow"), (None, "allow"), ("com/", "allow")]
-    for shards in (1, 3):
-        assert [(r.rule, r.verdict) for r in url_filters.judge(df, shards=shards).orderBy("page_id").collect()] == want
+    for options in ({}, {"shards": 3}, {"local_keys": 0}, {"max_filter_bytes": 4}):
+        assert [(r.rule, r.verdict) for r in url_filters.judge(df, **options).orderBy("page_id").collect()] == want
+    assert [r.verdict for r in url_filters.judge(df.union(df)).orderBy("page_id").collect()] == [v for _, v in want for _ in (0, 1)]
+    assert url_filters.judge(df.limit(0)).count() == 0 and {r.verdict for r in url_filters.judge(df, rules=()).collect()} == {"allow"}
+    long = spark.createDataFrame([(1, "http://" + "a." * 300 + "net/es/" + "x" * 200_000), (None, "http://" + "b" * 100_000 + ".com/")], "page_id long, url string")
+    assert sorted((r.verdict, r.rule) for r in url_filters.judge(long).collect()) == [("allow", "com/"), ("block", "net/es/")]
+
+
+def test_url_filters_with_many_rules(spark):
+    """Against a plain look at every rule; sets too large for one small filter are cut into shards."""
+    rng = random.Random(8)
+    rules = tuple((rng.choice(["allow", "block"]), f"h{i % 90}.net" if i % 2 else f"x.h{i % 70}.net", rng.choice(["/", "/a/", "/a/b"])) for i in range(400))
+    urls = [f"http://{rng.choice(['', 'x.', 'y.x.'])}h{rng.randrange(120)}.net{rng.choice(['', '/', '/a/', '/a/b/c', '/q'])}" for _ in range(600)]
+    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+
+    def plain(url):
+        host, _, path = url[7:].partition("/")
+        path = "/" + path if "/" in url[7:] else ""
+        fit = [(len(h + p), len(h), h + p, v) for v, h, p in rules if ("." + host).endswith("." + h) and path.startswith(p)]
+        return max(fit)[2:] if fit else (None, "allow")
+
+    for options in ({}, {"local_keys": 0, "max_filter_bytes": 100}):
+        assert [(r.rule, r.verdict) for r in url_filters.judge(df, rules, **options).orderBy("page_id").collect()] == [plain(u) for u in urls]
 
 
-def test_cascade_is_exact(spark):
+@pytest.mark.parametrize("local_keys", [0, 300, 100_000])
+def test_cascade_is_exact(spark, local_keys):
     keys = spark.range(5000).selectExpr("xxhash64(id) h1", "xxhash64(id, 'second') h2", "id")
     listed = keys.where("id % 7 = 0")
-    c = url_filters.build_cascade(listed, keys, first_rate=0.3)
+    c = url_filters.build_cascade(listed.union(listed), keys.union(keys), first_rate=0.3, local_keys=local_keys)
     p = keys.toPandas()
     assert len(c.levels) > 1 and (c.listed(p.h1.to_numpy(), p.h2.to_numpy()) == (p.id % 7 == 0)).all()
+    assert not url_filters.build_cascade(keys.limit(0), keys).levels
 
 
 def test_cached_tokenizer_gives_the_ids_of_the_library():
