@@ -58,6 +58,14 @@ def partitions_for(df: DataFrame, bytes_each: int, least: int = 1, most: int = 1
     return int(min(most, max(least, -(-input_bytes(df) // bytes_each))))
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """`name`, with as many underscores before it as make it no column of df."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def crc_bucket(doc_id: int | None, n: int) -> int:
     """crc32(doc_id as text) mod n; a null id counts as the empty text."""
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % n

@@ -6,9 +6,8 @@ pattern point to the bucket of patterns with that suffix, split by the hash of t
 first word, and direct comparison confirms. Items shorter than a window are single
 patterns and have tables of their own for each length (at most `window` tables).
 
-The pattern tables are broadcast while the benchmark has at most `max_pattern_bytes`
-of text. Beyond that it is cut into blocks by item, searched one after the other over
-all documents; what a block has found travels in a column of the rows.
+The benchmark is cut by item into blocks of about `max_pattern_bytes` of text, one of
+which is broadcast and searched at a time (its tables take some hundred bytes a word).
 
 Edge cases: null texts have no words; an item without words fits nothing; one of a null
 item_id is searched too, its hits count but it is in no id list; overlapping
@@ -18,14 +17,13 @@ a repeated doc_id are judged row by row.
 
 from __future__ import annotations
 
-import hashlib
-import pickle
 from collections import defaultdict
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
+from pyspark.sql.types import StructField, StructType
 
-from .common import batches, texts, written
+from .common import batches, free_name, texts, written
 
 _WORD_BYTES = bytes(x if x >= 128 or chr(x).isalnum() else 32 for x in range(256)).lower()
 
@@ -93,67 +91,92 @@ def covered(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def _blocks(benchmark: DataFrame, most: int) -> list[list[tuple[str | None, bytes]]]:
-    """Items in lists of at most `most` bytes of text (one item at least)."""
-    rows, out, size = benchmark.select(F.col("item_id").cast("string").alias("id"), "text").orderBy("id", "text"), [[]], 0
-    for r in rows.toLocalIterator():
-        text = (r.text or "").encode()
-        if out[-1] and size + len(text) > most:
-            out.append([])
-            size = 0
-        out[-1].append((r.id, text))
-        size += len(text)
-    return out
+ADDED = {"n_words": "long", "n_hit": "long", "spans": "array<struct<first:long,end:long>>", "item_ids": "array<string>", "contaminated": "boolean"}
+_SPAN = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
+_RESULT = pa.struct([("n_words", pa.int64()), ("n_hit", pa.int64()), ("spans", _SPAN), ("item_ids", pa.list_(pa.string())), ("contaminated", pa.bool_())])
+
+
+def _with_result(docs: DataFrame, into: str) -> StructType:
+    return StructType([*docs.schema, StructField(into, StructType.fromDDL(", ".join(f"{k} {v}" for k, v in ADDED.items())))])
+
+
+def _judged(n_words: int, spans: list[tuple[int, int]], ids: list[str], share: int) -> dict:
+    hit = sum(z - a for a, z in spans)
+    return {"n_words": n_words, "n_hit": hit, "spans": [{"first": a, "end": z} for a, z in spans], "item_ids": ids, "contaminated": hit > 0 and share * hit >= n_words}
+
+
+def _find(text: bytes, tables: list[PatternTable], names: list[str | None]) -> tuple[int, list[tuple[int, int]], list[str]]:
+    words = plain_words(text)
+    spans, items = [], set()
+    for t in tables:
+        t.find(words, spans, items)
+    return len(words), covered(spans), sorted({names[i] for i in items if names[i] is not None})
+
+
+def _scan(docs: DataFrame, items: list[tuple[str | None, bytes]], window: int, share: int, into: str) -> DataFrame:
+    """docs with a struct of what its `text` has of the items, in one pass."""
+    held = docs.sparkSession.sparkContext.broadcast(items)
+    schema = _with_result(docs, into)
+
+    def run(rows):
+        names = [x for x, _ in held.value]
+        tables = pattern_tables([(i, t) for i, (_, t) in enumerate(held.value)], window)
+        for batch in batches(rows, 8 << 20):
+            found = pa.array([_judged(*_find(t, tables, names), share) for t in texts(batch["text"])], _RESULT)
+            yield pa.RecordBatch.from_arrays([*batch.columns, found], [*batch.schema.names, into])
+
+    return docs.mapInArrow(run, schema)
 
 
-def search(docs: DataFrame, benchmark: DataFrame, window: int = 13, max_pattern_bytes: int = 32 << 20, keep_columns: bool = False, share: int = 20) -> DataFrame:
-    """Per row of docs: n_words, n_hit, spans (word ranges), item_ids, contaminated.
+def found_in(docs: DataFrame, benchmark: DataFrame, into: str, window: int = 13, max_pattern_bytes: int = 2 << 20, share: int = 20) -> DataFrame:
+    """docs with a struct column `into` of ADDED's fields.
 
-    contaminated: some word is hit and share * n_hit >= n_words. Added columns replace
-    columns of docs of the same name.
+    The benchmark is dealt by hash into as many blocks as keep each near max_pattern_bytes
+    of text; the driver holds one block at a time. With one block, one pass does all. With
+    several, each is searched over (doc_id, text) and leaves only the documents that it
+    hits, under two hashes of the text; their union by document is joined back.
     """
-    spark, sc = docs.sparkSession, docs.sparkSession.sparkContext
-    added = {"n_words": "long", "n_hit": "long", "spans": "array<struct<first:long,end:long>>", "item_ids": "array<string>", "contaminated": "boolean"}
-    own = [c for c in docs.columns if c.lower() not in added] if keep_columns else ["doc_id"]
-    read = list(dict.fromkeys([*own, "text"]))
-    df = docs.select(*(f"`{c}`" for c in read)).withColumn("_found", F.lit(None).cast("binary"))
-    blocks = _blocks(benchmark, max_pattern_bytes)
-    for k, block in enumerate(blocks):
-        held = sc.broadcast(block)
-
-        def run(rows, held=held):
-            names = [x for x, _ in held.value]
-            tables = pattern_tables([(i, t) for i, (_, t) in enumerate(held.value)], window)
-            for batch in batches(rows, 8 << 20):
-                out = []
-                for text, before in zip(texts(batch["text"]), batch["_found"].to_pylist(), strict=True):
-                    words = plain_words(text)
-                    spans, items = [], set()
-                    for t in tables:
-                        t.find(words, spans, items)
-                    old = pickle.loads(before) if before else ([], [])
-                    ids = sorted({names[i] for i in items if names[i] is not None}.union(old[1]))
-                    out.append(pickle.dumps((covered(spans + old[0]), ids)) if spans or before else None)
-                yield pa.RecordBatch.from_arrays([*(batch[c] for c in read), pa.array(out, pa.binary())], [*read, "_found"])
-
-        df = df.mapInArrow(run, df.schema)
-        if k + 1 < len(blocks):
-            df = written(df, "decontaminate")
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*(f"`{c}`" for c in own)).schema), *(f"{k} {v}" for k, v in added.items())])
+    spark = docs.sparkSession
+    items = benchmark.select(F.col("item_id").cast("string").alias("id"), F.coalesce("text", F.lit("")).alias("text")).distinct()
+    size = items.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
+    blocks = max(1, -(-size // max_pattern_bytes))
+    block_of = F.pmod(F.xxhash64("id", "text"), F.lit(blocks))
+
+    def block(k: int) -> list[tuple[str | None, bytes]]:
+        mine = items if blocks == 1 else items.where(block_of == k)
+        return [(r.id, r.text.encode()) for r in mine.orderBy("id", "text").collect()]  # about max_pattern_bytes
+
+    if blocks == 1:
+        return _scan(docs, block(0), window, share, into)
+    low, high = F.xxhash64("text"), F.xxhash64("text", F.lit("second"))
+    texts_of = docs.select(F.col("doc_id").cast("string").alias("doc"), "text")
+    hits = None
+    for k in range(blocks):
+        one = _scan(texts_of, block(k), window, share, "hit").where("hit.n_hit > 0").select("doc", low.alias("low"), high.alias("high"), "hit.spans", "hit.item_ids")
+        one = written(one, "hits")
+        hits = hits.unionByName(one) if hits else one
+    ends = hits.groupBy("doc", "low", "high").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("spans")))).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("item_ids")))).alias("ids"))
+    name = {c: free_name(docs, f"_{c}") for c in ends.columns}
+    ends = ends.select(*(F.col(c).alias(n) for c, n in name.items()))
+    same = F.col("doc_id").cast("string").eqNullSafe(F.col(name["doc"])) & (low == F.col(name["low"])) & (high == F.col(name["high"]))
+    schema, own = _with_result(docs, into), docs.columns
 
     def count(rows):
-        span = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
         for batch in batches(rows, 8 << 20):
-            out = []
-            for text, found in zip(texts(batch["text"]), batch["_found"].to_pylist(), strict=True):
-                n = len(plain_words(text))
-                spans, ids = pickle.loads(found) if found else ([], [])
-                hit = sum(z - a for a, z in spans)
-                out.append((n, hit, [{"first": a, "end": z} for a, z in spans], ids, hit > 0 and share * hit >= n))
-            cols = list(zip(*out)) or [()] * 5
-            yield pa.RecordBatch.from_arrays([*(batch[c] for c in own), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], span), pa.array(cols[3], pa.list_(pa.string())), pa.array(cols[4], pa.bool_())], [*own, *added])
+            found = []
+            for text, spans, ids in zip(texts(batch["text"]), batch[name["spans"]].to_pylist(), batch[name["ids"]].to_pylist(), strict=True):
+                found.append(_judged(len(plain_words(text)), covered([(x["first"], x["end"]) for x in spans or []]), ids or [], share))
+            yield pa.RecordBatch.from_arrays([*(batch[c] for c in own), pa.array(found, _RESULT)], [*own, into])
 
-    return df.mapInArrow(count, schema)
+    return docs.join(ends, same, "left").select(*(f"`{c}`" for c in own), name["spans"], name["ids"]).mapInArrow(count, schema)
+
+
+def search(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
+    """Per row of docs: doc_id, n_words, n_hit, spans (word ranges), item_ids, contaminated.
+
+    contaminated: some word is hit and share * n_hit >= n_words.
+    """
+    return found_in(docs.select("doc_id", "text"), benchmark, "found", **options).select("doc_id", "found.*")
 
 
 def digest(found: DataFrame) -> DataFrame:
@@ -162,9 +185,6 @@ def digest(found: DataFrame) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
-    """The rows of docs that are not contaminated, with their own columns."""
-    return search(docs, benchmark, keep_columns=True, **options).where("NOT contaminated").select(*docs.columns)
-
-
-def sha256_of(ids: list[str]) -> str:
-    return hashlib.sha256(",".join(ids).encode()).hexdigest()
+    """The rows of docs that are not contaminated, with their own columns, whatever their names."""
+    into = free_name(docs, "found")
+    return found_in(docs, benchmark, into, **options).where(f"NOT `{into}`.contaminated").select(*(f"`{c}`" for c in docs.columns))
