@@ -16,7 +16,8 @@ fingerprints, each round written to the shared folder; rounds grow with the loga
 
 Edge cases: null and empty texts have fingerprint 0 and are linked like others; fewer
 than three words make one shingle; rows with a null doc_id get the component of their
-group, null if it has no other id; repeated rows fall into one component.
+group, null if it has no other id; repeated rows fall into one component; `keep_first`
+judges rows of one doc_id by their own texts and takes columns of any name.
 """
 
 from __future__ import annotations
@@ -26,7 +27,10 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
-from .common import batches, texts, written
+from .common import batches, free_name, texts, written
+
+
+_NONE = (1 << 63) - 1
 
 
 def fingerprint(text: bytes, width: int = 3, seed: int = 42) -> int:
@@ -48,15 +52,20 @@ def fingerprint(text: bytes, width: int = 3, seed: int = 42) -> int:
     return int(np.packbits(2 * ones > len(h), bitorder="little").view(np.int64)[0])
 
 
+def text_hash(text: Column) -> Column:
+    """Tells the rows of one doc_id apart."""
+    return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
 def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42) -> DataFrame:
-    """doc_id and `fp` (signed long) of every row."""
+    """doc_id, text_hash and `fp` (signed long) of every row."""
 
     def run(rows):
         for batch in batches(rows, 8 << 20):
             fp = [fingerprint(t, width, seed) for t in texts(batch["text"])]
-            yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(fp, pa.int64())], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["text_hash"], pa.array(fp, pa.int64())], ["doc_id", "text_hash", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long"), text_hash(F.col("text")).alias("text_hash"), "text").mapInArrow(run, "doc_id long, text_hash long, fp long")
 
 
 def segment_variants(fp: Column) -> Column:
@@ -90,7 +99,7 @@ def links(fps: DataFrame, max_bucket: int = 24) -> DataFrame:
 
 
 def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
-    """fp, label: the least `low` of each component; nodes(fp, low), edges(a, b).
+    """fp, label (the least `low`) and root (the fp that has it) of each component; nodes(fp, low), edges(a, b).
 
     Every round hooks each group of nodes under one label to the least other label next
     to any of its members, roots too. Two groups that chose each other are the only loops
@@ -101,13 +110,13 @@ def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
     """
     linked = edges.select(F.col("a").alias("fp")).unionByName(edges.select(F.col("b").alias("fp"))).distinct()
     # labels are ranks (low, fp), so that equal or null lows of different nodes stay apart
-    label = written(nodes.join(linked, "fp", "left_semi").select("fp", F.struct(F.coalesce("low", F.lit((1 << 63) - 1)).alias("low"), F.col("fp").alias("id")).alias("label")), "labels")
+    label = written(nodes.join(linked, "fp", "left_semi").select("fp", F.struct(F.coalesce("low", F.lit(_NONE)).alias("low"), F.col("fp").alias("id")).alias("label")), "labels")
     between = edges.select("a", "b")
     while True:
         la, lb = label.select(F.col("fp").alias("a"), F.col("label").alias("x")), label.select(F.col("fp").alias("b"), F.col("label").alias("y"))
         open_ = written(between.join(la, "a").join(lb, "b").where("x != y").select("a", "b", "x", "y"), "open")
         if open_.isEmpty():
-            return label.select("fp", F.col("label.low").alias("label"))
+            return label.select("fp", F.col("label.low").alias("label"), F.col("label.id").alias("root"))
         between = open_.select("a", "b")
         sides = open_.select("x", "y").unionByName(open_.select(F.col("y").alias("x"), F.col("x").alias("y")))
         near = written(sides.groupBy("x").agg(F.min("y").alias("y")), "near")
@@ -124,21 +133,47 @@ def components(nodes: DataFrame, edges: DataFrame) -> DataFrame:
         label = written(label.join(hook, F.col("label") == F.col("x"), "left").select("fp", F.coalesce("y", "label").alias("label")), "labels")
 
 
-def near_duplicates(docs: DataFrame, max_bucket: int = 24) -> DataFrame:
-    """doc_id, fingerprint (16 hex digits), component_id of every row of docs(doc_id, text)."""
+def clustered(docs: DataFrame, max_bucket: int = 24) -> DataFrame:
+    """doc_id, text_hash, fp, component_id and root (a fingerprint that names the component) of every row."""
     printed = written(fingerprints(docs), "fingerprints")
     nodes = written(printed.groupBy("fp").agg(F.min("doc_id").alias("low")), "nodes")
     label = components(nodes, links(nodes.select("fp"), max_bucket))
-    final = nodes.join(label, "fp", "left").select("fp", F.when(F.col("label") < F.lit((1 << 63) - 1), F.col("label")).otherwise(F.col("low")).alias("component_id"))
-    return printed.join(final, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
-
-
-def keep_first(docs: DataFrame, **options) -> DataFrame:
-    """One row of each component: that of its smallest doc_id, with the columns of docs."""
-    found = near_duplicates(docs, **options)
-    keep = found.where("doc_id <=> component_id").groupBy("doc_id").agg(F.count("*").alias("_times")).withColumnRenamed("doc_id", "_keep")
-    cols = [F.col(f"`{c}`") for c in docs.columns]
-    kept = docs.join(keep, F.col("doc_id").cast("long").eqNullSafe(F.col("_keep")))
-    once = kept.where("_times = 1").select(*cols)
-    again = kept.where("_times > 1").withColumn("_i", F.row_number().over(W.partitionBy("_keep").orderBy(F.col("text").asc_nulls_first()))).where("_i = 1").select(*cols)
-    return once.unionByName(again)
+    final = nodes.join(label, "fp", "left").select("fp", F.when(F.col("label") < _NONE, F.col("label")).otherwise(F.col("low")).alias("component_id"), F.coalesce("root", "fp").alias("root"))
+    return printed.join(final, "fp").select("doc_id", "text_hash", "fp", "component_id", "root")
+
+
+def near_duplicates(docs: DataFrame, max_bucket: int = 24) -> DataFrame:
+    """doc_id, fingerprint (16 hex digits), component_id of every row of docs(doc_id, text)."""
+    return clustered(docs, max_bucket).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def keep_first(docs: DataFrame, broadcast_rows: int = 1_000_000, **options) -> DataFrame:
+    """One row of each component, that of its smallest doc_id (null last), with the columns of docs.
+
+    Of rows with that doc_id the one with the least hash of its text stays. The rows that
+    go are listed by (doc_id, hash of the text), a narrow list, and anti-joined: broadcast
+    if it is counted to have at most broadcast_rows rows of 16 bytes, else by a hash join
+    on that side, so that the texts are never sorted.
+    """
+    found = written(clustered(docs, **options).select("doc_id", "text_hash", "root"), "clusters")
+    rank = F.struct(F.coalesce("doc_id", F.lit(_NONE)).alias("i"), F.col("doc_id").isNull().alias("z"), F.col("text_hash").alias("h"))
+    several = found.groupBy("root").agg(F.min(rank).alias("least"), F.count("*").alias("n")).where("n > 1").drop("n")
+    member = found.join(several, "root").withColumn("rank", rank)
+    gone = written(member.where("rank != least").select("doc_id", "text_hash").distinct(), "gone")
+    again = member.where("rank = least").groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "text_hash")
+    name = {c: free_name(docs, c) for c in ("doc", "text_hash", "place")}
+    cols = [f"`{c}`" for c in docs.columns]
+
+    def near(keys: DataFrame) -> tuple:
+        keys = keys.select(F.col("doc_id").alias(name["doc"]), F.col("text_hash").alias(name["text_hash"]))
+        return (F.broadcast(keys) if keys.count() <= broadcast_rows else keys.hint("shuffle_hash")), F.col("doc_id").cast("long").eqNullSafe(F.col(name["doc"])) & (text_hash(F.col("text")) == F.col(name["text_hash"]))
+
+    kept = docs.join(*near(gone), "left_anti")
+    again = written(again, "again")
+    if again.isEmpty():
+        return kept
+    # rows alike in doc_id and text: one of each
+    keys, same = near(again)
+    once = kept.join(keys, same, "left_anti")
+    place = F.row_number().over(W.partitionBy(F.col("doc_id"), F.col("text")).orderBy(F.lit(1)))
+    return once.unionByName(kept.join(keys, same, "left_semi").withColumn(name["place"], place).where(F.col(name["place"]) == 1).select(*cols))
