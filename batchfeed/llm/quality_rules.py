@@ -2,25 +2,27 @@
 
 Every line with a word gets features; Viterbi decoding marks it content or
 boilerplate, and the share of a document's words in content lines decides whether
-it stays. The CRF is fitted on a bounded sample of labelled documents (`max_fit_docs`);
-a line counts as boilerplate there if its document is labelled low quality, if it
+it stays. The CRF is fitted on a bounded sample of the lines of labelled documents
+(`max_fit_docs`, `max_fit_segments`); a line counts as boilerplate there if its document is labelled low quality, if it
 repeats an earlier line, or if symbols fill over `WEAK_SYMBOL_SHARE` of it.
 
 Edge cases: null and empty texts have no words, are base failures and are not kept;
-rows of a repeated doc_id are judged one by one; without usable labels only the line
-rules teach the CRF; with no sample at all the fixed starting weights decide.
+rows of a repeated doc_id are judged one by one; without usable labels the fixed
+starting weights decide; of several labels of one document the least counts.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections import Counter
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
+from pyspark.sql.types import StructField, StructType
 
-from .common import ASCII_SPACE, batches, texts
+from .common import ASCII_SPACE, batches, free_name, texts
 
 SYMBOLS = "#*$%&|<>"
 WEAK_SYMBOL_SHARE = 0.08
@@ -139,63 +141,66 @@ def fit(sequences: list[tuple[np.ndarray, np.ndarray]], rounds: int = 80, length
     return LineCRF(theta[:width], theta[width : width + 4].reshape(2, 2), theta[width + 4 :])
 
 
-def train(docs: DataFrame, labels: DataFrame, max_fit_docs: int = 3000, max_fit_lines: int = 2000) -> LineCRF:
-    """Fit on at most max_fit_docs labelled documents, those with the least crc32 of doc_id.
+def weak_states(x: np.ndarray, quality: int) -> np.ndarray:
+    """The states that the lines of a labelled document are taught with."""
+    return (x[:, 6] > 0) | (x[:, 3] > WEAK_SYMBOL_SHARE) | (quality == 0)
 
-    Documents of over max_fit_lines lines are left out of the fit (not of the scoring).
+
+def train(docs: DataFrame, labels: DataFrame, max_fit_docs: int = 3000, max_fit_segments: int = 6000, length: int = 48) -> LineCRF:
+    """Fit on at most max_fit_segments runs of `length` lines, of at most max_fit_docs labelled documents.
+
+    Documents with the least crc32 of their doc_id are taken, of these the segments with the
+    least crc32 of doc_id and place, so a long document is represented by some of its
+    segments as well. A segment is at most 48 lines of 80 bytes; no more is collected.
     """
     ids = labels.select(F.col("doc_id").alias("_id"), F.col("quality").alias("_q")).where("_id IS NOT NULL AND _q IS NOT NULL").groupBy("_id").agg(F.min("_q").alias("_q"))
     sample = ids.orderBy(F.crc32(F.col("_id").cast("string").cast("binary")), "_id").limit(max_fit_docs)
-    chosen = docs.select("doc_id", "text").join(F.broadcast(sample), F.col("doc_id") == F.col("_id"))
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), F.col("doc_id") == F.col("_id"))
 
-    def lines(rows):
-        for batch in rows:
-            xs, ys, ids = [], [], []
+    def segments(rows):
+        for batch in batches(rows, 8 << 20):
+            out = []
             for i, q, text in zip(batch["doc_id"].to_pylist(), batch["_q"].to_pylist(), texts(batch["text"])):
                 x, _, _ = line_features(text)
-                if 0 < len(x) <= max_fit_lines:
-                    y = (x[:, 6] > 0) | (x[:, 3] > WEAK_SYMBOL_SHARE) | (q == 0)
-                    xs.append(x.astype("<f8").tobytes())
-                    ys.append(y.astype("u1").tobytes())
-                    ids.append(i)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(xs, pa.binary()), pa.array(ys, pa.binary())], ["doc_id", "x", "y"])
+                y = weak_states(x, q)
+                out += [(i, at, zlib.crc32(b"%d:%d" % (i, at)), x[at : at + length].astype("<f8").tobytes(), y[at : at + length].astype("u1").tobytes()) for at in range(0, len(x), length)]
+            cols = list(zip(*out)) or [()] * 5
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary()), strict=True)], ["doc_id", "at", "rank", "x", "y"])
 
-    rows = chosen.mapInArrow(lines, "doc_id long, x binary, y binary").collect()  # at most max_fit_docs rows
-    rows.sort(key=lambda r: (r.doc_id, r.x))
-    return fit([(np.frombuffer(r.x, "<f8").reshape(-1, len(FEATURES)), np.frombuffer(r.y, "u1")) for r in rows])
+    found = chosen.mapInArrow(segments, "doc_id long, at long, rank long, x binary, y binary")
+    rows = found.orderBy("rank", "doc_id", "at", "x", "y").limit(max_fit_segments).collect()
+    return fit([(np.frombuffer(r.x, "<f8").reshape(-1, len(FEATURES)), np.frombuffer(r.y, "u1")) for r in rows], length=length)
 
 
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+ADDED = {**dict.fromkeys((*COUNTS, "content_words"), "long"), "base_failed": "boolean", "kept": "boolean"}
+_RESULT = pa.struct([(k, pa.bool_() if t == "boolean" else pa.int64()) for k, t in ADDED.items()])
 
 
-def judge(docs: DataFrame, crf: LineCRF, min_words: int = 50, max_repeat_percent: int = 50, min_content: float = 0.5, keep_columns: bool = False) -> DataFrame:
-    """doc_id (or all columns of docs) with counts, content share, base_failed and kept.
-
-    Added columns replace columns of docs of the same name.
-    """
-    added = {**{c: "long" for c in COUNTS}, "content_words": "long", "base_failed": "boolean", "kept": "boolean"}
-    own = [c for c in docs.columns if c.lower() not in added] if keep_columns else ["doc_id"]
-    source = docs.select(*(f"`{c}`" for c in dict.fromkeys([*own, "text"])))
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*(f"`{c}`" for c in own)).schema), *(f"{k} {v}" for k, v in added.items())])
+def judged(docs: DataFrame, crf: LineCRF, into: str, min_words: int = 50, max_repeat_percent: int = 50, min_content: float = 0.5) -> DataFrame:
+    """docs with a struct column `into` of ADDED's fields, judged from the column `text`."""
+    schema = StructType([*docs.schema, StructField(into, StructType.fromDDL(", ".join(f"{k} {t}" for k, t in ADDED.items())))])
 
     def run(rows):
         for batch in batches(rows, 8 << 20):
-            out = {c: [] for c in added}
+            out = []
             for text in texts(batch["text"]):
                 found = text_counts(text)
                 n, repeats = found["n_words"], found["n_repeat_words"]
                 content = sum(k for k, s in zip(found["line_words"], crf.decode(found["lines"]), strict=True) if s == 0) if n else 0
                 failed = n < min_words or 100 * repeats > max_repeat_percent * n
-                for c in COUNTS:
-                    out[c].append(found[c])
-                out["content_words"].append(content)
-                out["base_failed"].append(failed)
-                out["kept"].append(not failed and content >= min_content * n)
-            yield pa.RecordBatch.from_arrays([*(batch[c] for c in own), *(pa.array(out[c], pa.bool_() if t == "boolean" else pa.int64()) for c, t in added.items())], [*own, *added])
+                out.append({**{c: found[c] for c in COUNTS}, "content_words": content, "base_failed": failed, "kept": not failed and content >= min_content * n})
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, _RESULT)], [*batch.schema.names, into])
+
+    return docs.mapInArrow(run, schema)
+
 
-    return source.mapInArrow(run, schema)
+def judge(docs: DataFrame, crf: LineCRF, **options) -> DataFrame:
+    """doc_id with its counts, words in content lines, base_failed and kept."""
+    return judged(docs.select("doc_id", "text"), crf, "found", **options).select("doc_id", "found.*")
 
 
 def keep_good(docs: DataFrame, crf: LineCRF, **options) -> DataFrame:
-    """The rows of docs that are kept, with their own columns."""
-    return judge(docs, crf, keep_columns=True, **options).where("kept").select(*docs.columns)
+    """The rows of docs that are kept, with their own columns, whatever their names."""
+    into = free_name(docs, "found")
+    return judged(docs, crf, into, **options).where(f"`{into}`.kept").select(*(f"`{c}`" for c in docs.columns))
