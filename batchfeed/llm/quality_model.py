@@ -7,12 +7,12 @@ walks for all rows of a batch at once.
 
 Edge cases: null and empty texts have zero statistics and get a score like others;
 labels that are null or of a held-out or missing document teach nothing; without any
-label, or labels of one kind, all scores are the labels' share (0.5 if there is none).
+label, or labels of one kind, all scores are the labels' share (0.5 if there is none);
+of several labels of one document the largest counts; rows of one doc_id are scored each.
 """
 
 from __future__ import annotations
 
-import hashlib
 import math
 from collections import Counter
 from dataclasses import dataclass
@@ -174,13 +174,12 @@ def bucket(doc_id, n: int):
 def train(stats: DataFrame, labels: DataFrame, held_out: int = 1, folds: int = 3, max_fit_docs: int = 20_000, **options) -> BoostedTrees:
     """Fit on labelled rows whose bucket is not held_out, at most max_fit_docs of them.
 
-    Rows with the least crc32 of a salted doc_id are taken, so the same ones each time.
+    Rows with the least crc32 of a salted doc_id are taken, in that order, so the same ones each time.
     """
     known = labels.select("doc_id", F.col("quality").alias("y")).where("doc_id IS NOT NULL AND y IN (0, 1)").where(bucket(F.col("doc_id"), folds) != held_out).groupBy("doc_id").agg(F.max("y").alias("y"))
     rank = F.crc32(F.concat(F.lit("fit:"), F.col("doc_id").cast("string")).cast("binary"))
     chosen = known.orderBy(rank, "doc_id").limit(max_fit_docs)
-    rows = stats.join(F.broadcast(chosen), "doc_id").select("doc_id", "x", "y").limit(2 * max_fit_docs).collect()
-    rows.sort(key=lambda r: (hashlib.md5(str(r.doc_id).encode()).digest(), bytes(r.x)))
+    rows = stats.join(F.broadcast(chosen), "doc_id").select("doc_id", "x", "y", rank.alias("rank")).orderBy("rank", "doc_id", "x").limit(max_fit_docs).collect()
     return fit(matrix([bytes(r.x) for r in rows]), np.array([r.y for r in rows], float), **options)
 
 
