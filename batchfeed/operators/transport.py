@@ -74,8 +74,10 @@ def rate_bound(batches: DataFrame, hwm: int = FEED.hwm, feed: Feed = FEED) -> Da
 
 
 def bounded_times(done: DataFrame, step_us: int, hwm: int = FEED.hwm) -> DataFrame:
-    """Sends under a high-water mark: a stream starts a send only when at most hwm - 1 of its
-    payloads are not yet taken by the node's consumer.
+    """Sends under a high-water mark: a stream starts a send only when it knows of all but at most
+    hwm - 1 of its payloads that the node's consumer has taken them, half a round trip later.
+
+    Times of a sender count from its connection, one round trip after the receiver's clock starts.
 
     A lagged recurrence over merged streams, so one Arrow function per (regime, epoch, node)
     walks the batches of that node; its group is a node's plan, bounded by the epoch.
@@ -97,7 +99,7 @@ def bounded_times(done: DataFrame, step_us: int, hwm: int = FEED.hwm) -> DataFra
             for w, rows in streams.items():
                 while place[w] < len(rows) and place[w] - len(taken[w]) < hwm:
                     i = rows[place[w]]
-                    gate = taken[w][place[w] - hwm] if place[w] >= hwm else 0
+                    gate = taken[w][place[w] - hwm] + rtt // 2 - rtt if place[w] >= hwm else 0
                     free[w] = max(free[w], packed[i], gate) + send[i]
                     arrival[i] = free[w] + rtt + rtt // 2
                     waiting.append((arrival[i], w, place[w], i))

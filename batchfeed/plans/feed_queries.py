@@ -33,20 +33,26 @@ def base_sql(name: str = "documents") -> str:
 ix as (select shard_id, record_id, row_number() over w - 1 ordinal, coalesce(sum(size + 16) over (partition by shard_id order by record_id rows between unbounded preceding and 1 preceding), 0)::bigint "offset", size, label from r window w as (partition by shard_id order by record_id))"""
 
 
-def assign_sql(name: str = "documents", nodes: int = N, epochs: int = E, split: str = "striped", coverage: str = "partition") -> str:
+def assign_sql(name: str = "documents", nodes: int = N, epochs: int = E, split: str = "striped", coverage: str = "partition", workers: int = TW) -> str:
+    t = workers
     deal = f"k % {nodes} node_id, k // {nodes} pos from od" if coverage == "partition" else f"g node_id, k pos from od, range(0, {nodes}) t(g)"
-    worker = {"striped": f"select *, pos % {TW} worker, 0 \"first\", n \"count\" from ag", "chunked": f"select *, ntile({TW}) over (partition by epoch, node_id order by pos) - 1 worker, 0 \"first\", n \"count\" from ag", "intra_shard": f"select *, g worker, g * (n // {TW}) + least(g, n % {TW}) \"first\", n // {TW} + (g < n % {TW})::int \"count\" from ag, range(0, {TW}) t(g) where n // {TW} + (g < n % {TW})::int > 0"}[split]
+    worker = {
+        "striped": f"""select *, pos % {t} worker, 0 "first", n "count" from ag""",
+        "chunked": f"""select *, ntile({t}) over (partition by epoch, node_id order by pos) - 1 worker, 0 "first", n "count" from ag""",
+        "intra_shard": f"""select *, g worker, g * (n // {t}) + least(g, n % {t}) "first", n // {t} + (g < n % {t})::int "count"
+  from ag, range(0, {t}) t(g) where n // {t} + (g < n % {t})::int > 0""",
+    }[split]
     return base_sql(name) + f""", od as (select epoch, shard_id, n, row_number() over (partition by epoch order by md5('42:' || epoch || ':' || shard_id), shard_id) - 1 k from st, range(1, {epochs + 1}) e(epoch)),
 ag as (select epoch, shard_id, n, k, {deal}), wk as ({worker})"""
 
 
-def plan_sql(name: str = "documents", scope: str = "shard", **how) -> str:
+def plan_sql(name: str = "documents", scope: str = "shard", workers: int = TW, **how) -> str:
     """The plan as `pl`; wider scopes number each record and cut the numbering, not the shards."""
-    head = assign_sql(name, **how)
+    head = assign_sql(name, workers=workers, **how)
     if scope == "shard":
         return head + f""", pl as (select epoch, node_id, worker, row_number() over (partition by epoch, node_id, worker order by pos, "first", j) - 1 batch_seq, shard_id, "first" + j * {B} first_ordinal, least({B}, "count" - j * {B}) n from (select *, unnest(range(0, ("count" + {B - 1}) // {B})) j from wk))"""
     keys = "epoch, node_id, worker" if scope == "worker" else "epoch, node_id"
-    worker = "worker" if scope == "worker" else f"b % {TW}"
+    worker = "worker" if scope == "worker" else f"b % {workers}"
     return head + f""", rec as (select epoch, node_id, worker, shard_id, "first" + i o, (row_number() over (partition by {keys} order by pos, "first", i) - 1) // {B} b from (select *, unnest(range(0, "count")) i from wk)),
 pl as (select epoch, node_id, {worker} worker, b batch_seq, shard_id, min(o) first_ordinal, count(*) n from rec group by all)"""
 
@@ -59,12 +65,12 @@ def stats(spark, d, name: str = "documents") -> DataFrame:
     return H.shard_stats(records(spark, d, name))
 
 
-def work(spark, d, name: str = "documents", nodes: int = N, epochs: int = E, split: str = "striped", coverage: str = "partition") -> DataFrame:
-    return P.assign_workers(P.assign_nodes(P.shuffle_shards(stats(spark, d, name), epochs), nodes, coverage), TW, split)
+def work(spark, d, name: str = "documents", nodes: int = N, epochs: int = E, split: str = "striped", coverage: str = "partition", workers: int = TW) -> DataFrame:
+    return P.assign_workers(P.assign_nodes(P.shuffle_shards(stats(spark, d, name), epochs), nodes, coverage), workers, split)
 
 
-def plan(spark, d, name: str = "documents", scope: str = "shard", tail: str = "keep", **how) -> DataFrame:
-    return P.batch_plan(work(spark, d, name, **how), B, scope, tail)
+def plan(spark, d, name: str = "documents", scope: str = "shard", tail: str = "keep", workers: int = TW, **how) -> DataFrame:
+    return P.batch_plan(work(spark, d, name, workers=workers, **how), B, scope, tail, workers)
 
 
 def batches(spark, d, name: str = "documents", **how) -> DataFrame:
@@ -371,12 +377,38 @@ def hwm_rate_bound(spark, d):
     return T.rate_bound(batches(spark, d).crossJoin(F.broadcast(regimes(spark))))
 
 
-@query("hwm_bounded")
+#: The consumer is quick here, so that what is in flight binds and not the training step.
+QUICK = L.scaled(FEED, workers=1, step_us=100)
+_LAG = "regime, epoch, node_id, hwm"
+
+
+def walk_sql(source: str, keys: str, service: str, depth: str, use: str) -> str:
+    """CTE `lw`: batches in turn, each served only when the one `depth` before it is used up; the walk carries the ends of use."""
+    on = " and ".join(f"x.{k.strip()} = p.{k.strip()}" for k in keys.split(","))
+    return f"""ln as (select *, row_number() over (partition by {keys} order by turn) rn from {source}),
+lw as (select *, ({service})::bigint served, [({service} + {use})::bigint] ends from ln where rn = 1
+ union all select x.*, y.served, list_append(p.ends, greatest(p.ends[-1], y.served) + x.{use}) from ln x join lw p on {on} and x.rn = p.rn + 1,
+ lateral (select (greatest(p.served, case when x.rn > {depth} then p.ends[x.rn - {depth}] else 0 end) + x.{service})::bigint served) y)"""
+
+
+_HWM = (
+    f"with recursive {push_sql(feed=QUICK, names=('lan', 'wan'), scope='node', workers=1)}, hs as (select *, n * {QUICK.step_us} use_us from p3, (values (1), (4), (16)) t(hwm)), "
+    + "hn as (select *, row_number() over (partition by " + _LAG + " order by batch_seq) rn from hs), "
+    + """hw as (select *, pack_done + send_us served, [pack_done + send_us + rtt_us + rtt_us // 2] taken, [pack_done + send_us + rtt_us + rtt_us // 2 + use_us] ends from hn where rn = 1
+ union all select x.*, y.served, list_append(p.taken, greatest(p.ends[-1], y.served + x.rtt_us + x.rtt_us // 2)), list_append(p.ends, greatest(p.ends[-1], y.served + x.rtt_us + x.rtt_us // 2) + x.use_us)
+ from hn x join hw p on x.regime = p.regime and x.epoch = p.epoch and x.node_id = p.node_id and x.hwm = p.hwm and x.rn = p.rn + 1,
+ lateral (select greatest(p.served, x.pack_done, case when x.rn > x.hwm then p.taken[x.rn - x.hwm] + x.rtt_us // 2 - x.rtt_us else 0 end) + x.send_us served) y)
+select regime, epoch, node_id, hwm, max(ends[-1]) done from hw group by all"""
+)
+
+
+@query("hwm_bounded", _HWM)
 def hwm_bounded(spark, d):
-    """Delivery under high-water marks 1, 4 and 16: later, never earlier, than without a bound."""
-    out = None
+    """Delivery over one stream under high-water marks 1, 4 and 16, before a quick consumer."""
+    b = batches(spark, d, scope="node", workers=1)
+    packed, out = T.pipeline_times(T.services(b, QUICK).crossJoin(F.broadcast(regimes(spark, "lan", "wan")))), None
     for hwm in (1, 4, 16):
-        t = T.bounded_times(T.pipeline_times(serviced(spark, d, ("lan", "wan"))), FEED.step_us, hwm).groupBy("regime", "epoch", "node_id").agg(F.max("done").alias("done")).withColumn("hwm", F.lit(hwm))
+        t = T.bounded_times(packed, QUICK.step_us, hwm).groupBy("regime", "epoch", "node_id").agg(F.max("done").alias("done")).withColumn("hwm", F.lit(hwm))
         out = t if out is None else out.unionByName(t)
     return out
 
@@ -407,40 +439,44 @@ query("ablate_no_pipeline", f"with recursive {push_sql(pipelined=False)}, {used_
 query("ablate_in_order", f"with recursive {push_sql(delivery='in_order')}, {used_sql()} {_EPOCH}")(lambda spark, d: _epochs(L.push_batch(batches(spark, d), regimes(spark), delivery="in_order")))
 query("remedy_cache", f"with recursive {pull_sql('pull_sample', rtt='(case when epoch > 1 then 0 else rtt_us end)')}, {used_sql()} {_EPOCH}")(lambda spark, d: _epochs(L.pull_sample(batches(spark, d), regimes(spark), cached_epochs=True)))
 query("remedy_local_shards", f"with recursive {pull_sql('pull_sample', rtt='0')}, {used_sql()} {_EPOCH}")(lambda spark, d: _epochs(L.pull_sample(batches(spark, d), regimes(spark), local_only=True)))
-query("remedy_double_buffer")(lambda spark, d: _epochs(L.double_buffered(batches(spark, d), regimes(spark, "lan", "wan"))))
+_DOUBLE = f"with recursive {pull_sql('pull_sample', names=('lan', 'wan'))}, du as (select *, n * {FEED.step_us} use_us from dl), {walk_sql('du', ND, 'fetch_us', '2', 'use_us')}, us as (select *, ends[-1] done from lw) {_EPOCH}"
+query("remedy_double_buffer", _DOUBLE)(lambda spark, d: _epochs(L.double_buffered(batches(spark, d), regimes(spark, "lan", "wan"))))
 query("prefetch_unbounded", f"with recursive {push_sql(names=('wan',))}, {used_sql()} select regime, epoch, node_id, turn, ready, done from us")(lambda spark, d: L.consumed(L.push_batch(batches(spark, d), regimes(spark, "wan"))).select("regime", "epoch", "node_id", "turn", "ready", "done"))
 
 
-def one_stream_sql(workers: int) -> str:
-    """Plan of another worker count: the module's constant is replaced in the text."""
-    global TW
-    old, TW = TW, workers
-    try:
-        return push_sql(feed=L.scaled(FEED, workers=workers), names=("lan", "wan"), scope="worker")
-    finally:
-        TW = old
+#: Serializing takes the longest and the consumer is quick, so that further streams help until the disk binds.
+STREAMS = L.scaled(FEED, step_us=50)
+
 
+def streams_sql(workers: int) -> str:
+    """The same batches, dealt to so many streams."""
+    return f"{push_sql(feed=L.scaled(STREAMS, workers=workers), names=('lan', 'wan'), scope='node', workers=workers)}, {used_sql(STREAMS.step_us)}"
 
-def with_workers(spark, d, workers: int, names: tuple = ("lan", "wan"), feed: Feed = FEED, name: str = "documents") -> DataFrame:
-    w = P.assign_workers(P.assign_nodes(P.shuffle_shards(stats(spark, d, name), E), N), workers)
-    b = P.batches(P.with_bytes(P.batch_plan(w, B, "worker"), H.shard_index(records(spark, d, name))))
-    f = L.scaled(feed, workers=workers)
-    return _epochs(L.push_batch(b, regimes(spark, *names), f), f)
 
+def with_streams(spark, d, workers: int) -> DataFrame:
+    f = L.scaled(STREAMS, workers=workers)
+    return _epochs(L.push_batch(batches(spark, d, scope="node", workers=workers), regimes(spark, "lan", "wan"), f), f)
 
-query("ablate_one_stream", f"with recursive {one_stream_sql(1)}, {used_sql()} {_EPOCH}")(lambda spark, d: with_workers(spark, d, 1))
 
+query("ablate_one_stream", f"with recursive {streams_sql(1)} {_EPOCH}")(lambda spark, d: with_streams(spark, d, 1))
 
-@query("streams_sweep", " union all ".join(f"select * from (with recursive {one_stream_sql(t)}, {used_sql()} select {t}::bigint streams, * from ({_EPOCH}))" for t in (1, 2, 4, 8)))
+
+@query("streams_sweep", " union all ".join(f"select * from (with recursive {streams_sql(t)} select {t}::bigint streams, * from ({_EPOCH}))" for t in (1, 2, 4, 8)))
 def streams_sweep(spark, d):
     out = None
     for t in (1, 2, 4, 8):
-        x = with_workers(spark, d, t).withColumn("streams", F.lit(t).cast("long"))
+        x = with_streams(spark, d, t).withColumn("streams", F.lit(t).cast("long"))
         out = x if out is None else out.unionByName(x)
     return out
 
 
-@query("prefetch_depth")
+_DEPTH = (
+    f"with recursive {batches_sql()}, {regimes_sql(('wan',))}, pd as (select regime, epoch, node_id, depth, n * {FEED.decode_us} decode, n * {FEED.step_us} use_us, row_number() over (partition by regime, epoch, node_id, depth order by batch_seq, worker) turn"
+    f" from bt, rg, (values (1::bigint), (4), ({1 << 30})) t(depth)), {walk_sql('pd', 'regime, epoch, node_id, depth', 'decode', 'x.depth', 'use_us')} select regime, epoch, node_id, max(ends[-1]) done, depth from lw group by all"
+)
+
+
+@query("prefetch_depth", _DEPTH)
 def prefetch_depth(spark, d):
     """Prefetch depths 1, 4 and without end: deeper is never later."""
     base = T.services(batches(spark, d), FEED).crossJoin(F.broadcast(regimes(spark, "wan"))).withColumn("decode", F.col("n") * FEED.decode_us)
@@ -504,13 +540,14 @@ def cells_sql(name: str, names: tuple, feed: Feed, power, loaders: tuple, **how)
 
 ALL = ("push_batch", "pull_pipeline", "pull_sample")
 TWO = ALL[:2]
-SYNTHETIC = L.scaled(FEED, size_scale=8192)
+#: 2 MB records from the page cache: one thread serializes a little slower than the mount delivers.
+SYNTHETIC = L.scaled(FEED, size_scale=8192, disk_bytes_s=1_000_000_000, pack_ns_byte=2, step_us=1_000)
 MODEL_B_FEED = L.scaled(FEED, step_us=1_400)
 WORKLOADS = {
     "w02_small": ("documents", ("local", "lan", "lan_10", "wan"), FEED, MODEL_A, ALL, {}),
     "w03_mid": ("pages", ("lan", "lan_10", "wan"), PAGES, MODEL_A, TWO, {}),
-    "w04_synthetic": ("embeddings", ("lan", "lan_1", "lan_10", "wan"), L.scaled(SYNTHETIC, workers=1), MODEL_A, TWO, {"split": "striped"}),
-    "w05_synthetic_streams": ("embeddings", ("lan", "lan_1", "lan_10", "wan"), SYNTHETIC, MODEL_A, TWO, {}),
+    "w04_synthetic": ("embeddings", ("lan", "lan_1", "lan_10", "wan"), L.scaled(SYNTHETIC, workers=1), MODEL_A, TWO, {"scope": "node", "workers": 1}),
+    "w05_synthetic_streams": ("embeddings", ("lan", "lan_1", "lan_10", "wan"), SYNTHETIC, MODEL_A, TWO, {"scope": "node", "workers": 2}),
     "w06_model_b": ("documents", ("lan", "lan_10", "wan"), MODEL_B_FEED, MODEL_B, TWO, {}),
 }
 
