@@ -10,9 +10,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from ..config import DAY_US, HOUR_US
+from ..functions.cells import cell_of, known_neighbours, running_sums, spread
 from ..functions.columns import div, micros
 
 PARTS = ("cpu_uj", "dram_uj", "gpu_uj")
+#: Slots that one task of a node takes at most.
+CELL_SLOTS = 1 << 14
 
 
 def align(samples: DataFrame, delta_us: int = HOUR_US, offsets: DataFrame | None = None) -> DataFrame:
@@ -56,49 +59,47 @@ def merge_outer(aligned: DataFrame, delta_us: int = HOUR_US) -> DataFrame:
     return counter_energy(aligned, delta_us).join(gpu_energy(aligned, delta_us), ["node_id", "slot"], "full")
 
 
-def tick_grid(wide: DataFrame) -> DataFrame:
+def tick_grid(wide: DataFrame, cell_slots: int = CELL_SLOTS) -> DataFrame:
     """All expected (node, slot): each node has the slots from the first to the last of any node."""
     bounds = wide.agg(F.min("slot").alias("a"), F.max("slot").alias("z")).where("a IS NOT NULL")
-    return wide.select("node_id").distinct().join(F.broadcast(bounds)).select("node_id", F.explode(F.sequence("a", "z")).alias("slot"))
+    nodes = wide.select("node_id").distinct().join(F.broadcast(bounds))  # one row of bounds
+    return spread(nodes, "a", "z", "slot", cell_slots).select("node_id", "slot")
 
 
-def on_grid(wide: DataFrame) -> DataFrame:
-    return tick_grid(wide).join(wide, ["node_id", "slot"], "left")
+def on_grid(wide: DataFrame, cell_slots: int = CELL_SLOTS) -> DataFrame:
+    return tick_grid(wide, cell_slots).join(wide, ["node_id", "slot"], "left")
 
 
-def fill(full: DataFrame, method: str = "linear", edges: str = "hold", max_gap: int | None = None) -> DataFrame:
+def fill(full: DataFrame, method: str = "linear", edges: str = "hold", max_gap: int | None = None, cell_slots: int = CELL_SLOTS) -> DataFrame:
     """Fill the holes of gap-free rows; adds `<part>_filled`.
 
     method: linear, previous, nearest (ties: earlier), none. edges: hold or null, where one
     side has no reading. max_gap: longest run of holes to fill. A component that a node
-    never has stays null.
+    never has stays null. The nearest known slots are carried over cells of cell_slots.
     """
-    back, ahead = W.partitionBy("node_id").orderBy("slot").rowsBetween(W.unboundedPreceding, 0), W.partitionBy("node_id").orderBy("slot").rowsBetween(0, W.unboundedFollowing)
-    out = full
+    if method == "none":
+        return full.select("*", *(F.lit(False).alias(f"{p}_filled") for p in PARTS))
+    near = known_neighbours(full, "node_id", "slot", PARTS, cell_slots)
+    k, out = F.col("slot"), []
     for part in PARTS:
-        x = F.struct("slot", F.col(part).alias("v"))
-        known = F.when(F.col(part).isNotNull(), x)
-        out = out.withColumn("_p", F.last(known, ignorenulls=True).over(back)).withColumn("_q", F.first(known, ignorenulls=True).over(ahead))
-        p, q, k = F.col("_p"), F.col("_q"), F.col("slot")
+        p, q, own = F.col(f"{part}_p"), F.col(f"{part}_q"), F.col(part)
         inner = p.isNotNull() & q.isNotNull()
         if method == "linear":
-            span = q["slot"] - p["slot"]
-            value = F.when(span == 0, p["v"]).when(inner, div(p["v"] * span + (q["v"] - p["v"]) * (k - p["slot"]), span))
+            span = q["at"] - p["at"]
+            value = F.when(span == 0, p["v"]).when(inner, div(p["v"] * span + (q["v"] - p["v"]) * (k - p["at"]), span))
         elif method == "previous":
             value = F.when(inner, p["v"])
         elif method == "nearest":
-            value = F.when(inner, F.when(k - p["slot"] <= q["slot"] - k, p["v"]).otherwise(q["v"]))
-        elif method == "none":
-            value = F.col(part)
+            value = F.when(inner, F.when(k - p["at"] <= q["at"] - k, p["v"]).otherwise(q["v"]))
         else:
             raise ValueError(method)
-        if method != "none" and edges == "hold":
+        if edges == "hold":
             value = F.when(inner, value).otherwise(F.coalesce(p["v"], q["v"]))
         if max_gap is not None:
-            value = F.when(~inner | (q["slot"] - p["slot"] - 1 <= max_gap), value)
-        value = F.coalesce(F.col(part), value)
-        out = out.withColumn(f"{part}_filled", F.col(part).isNull() & value.isNotNull()).withColumn(part, value).drop("_p", "_q")
-    return out
+            value = F.when(~inner | (q["at"] - p["at"] - 1 <= max_gap), value)
+        value = F.coalesce(own, value)
+        out += [value.alias(part), (own.isNull() & value.isNotNull()).alias(f"{part}_filled")]
+    return near.select("node_id", "slot", *out)
 
 
 def tuples(samples: DataFrame, delta_us: int = HOUR_US, **options) -> DataFrame:
@@ -106,10 +107,9 @@ def tuples(samples: DataFrame, delta_us: int = HOUR_US, **options) -> DataFrame:
     return fill(on_grid(merge_components(align(samples, delta_us), delta_us)), **options)
 
 
-def writer_batches(rows: DataFrame, size: int) -> DataFrame:
+def writer_batches(rows: DataFrame, size: int, cell_slots: int = CELL_SLOTS) -> DataFrame:
     """Number the batches of at most size rows a node in slot order."""
-    n = F.row_number().over(W.partitionBy("node_id").orderBy("slot"))
-    return rows.withColumn("batch_no", div(n - 1, size))
+    return running_sums(rows, ["node_id"], ["slot"], cell_of("slot", cell_slots), {"_n": F.lit(1)}).withColumn("batch_no", div(F.col("_n"), size)).drop("_n")
 
 
 def overlap_us(delta_us: int, start: Column, end: Column) -> Column:
@@ -138,15 +138,15 @@ def interval_energy(rows: DataFrame, intervals: DataFrame, delta_us: int = HOUR_
     return intervals.select("run_id", "node_id").join(sums, ["run_id", "node_id"], "left").withColumn("n_slots", F.coalesce("n_slots", F.lit(0).cast("long")))
 
 
-def interval_energy_prefix(rows: DataFrame, intervals: DataFrame, delta_us: int = HOUR_US) -> DataFrame:
+def interval_energy_prefix(rows: DataFrame, intervals: DataFrame, delta_us: int = HOUR_US, cell_slots: int = CELL_SLOTS) -> DataFrame:
     """The whole-slot interval query as the difference of two running totals.
 
     A gap-free grid makes the as-of lookups equality joins on (node, slot); whatever the
     interval's length, it costs two rows.
     """
-    w = W.partitionBy("node_id").orderBy("slot").rowsBetween(W.unboundedPreceding, -1)
-    run = rows.select("node_id", "slot", *(F.coalesce(F.sum(c).over(w), F.lit(0)).alias(c) for c in PARTS), *(F.sum(F.coalesce(c, F.lit(0))).over(W.partitionBy("node_id")).alias(f"{c}_all") for c in PARTS), F.min("slot").over(W.partitionBy("node_id")).alias("lo"), F.max("slot").over(W.partitionBy("node_id")).alias("hi"))
-    span = run.groupBy("node_id").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), *(F.max(f"{c}_all").alias(f"{c}_all") for c in PARTS))
+    run = running_sums(rows, ["node_id"], ["slot"], cell_of("slot", cell_slots), {f"{c}_run": F.col(c) for c in PARTS})
+    run = run.select("node_id", "slot", *(F.col(f"{c}_run").alias(c) for c in PARTS))
+    span = rows.groupBy("node_id").agg(F.min("slot").alias("lo"), F.max("slot").alias("hi"), *(F.coalesce(F.sum(c), F.lit(0)).alias(f"{c}_all") for c in PARTS))
     first = lambda t: F.call_function("ceil", F.col(t) / F.lit(delta_us)).cast("long")
     i = intervals.join(F.broadcast(span), "node_id").withColumn("a", F.greatest(first("start_us"), F.col("lo"))).withColumn("z", F.greatest(first("end_us"), F.col("lo")))
     at = lambda name: run.select("node_id", F.col("slot").alias(name), *(F.col(c).alias(f"{c}_{name}") for c in PARTS))
@@ -166,9 +166,11 @@ def long_form(rows: DataFrame) -> DataFrame:
 
 def idle_baseline(rows: DataFrame, share: float = 0.05) -> DataFrame:
     """node_id, component, idle_uj: low quantile of the slot energies (lower value, exact)."""
-    by = W.partitionBy("node_id", "component")
-    ranked = long_form(rows).withColumn("k", F.row_number().over(by.orderBy("energy_uj", "slot"))).withColumn("n", F.count("*").over(by))
-    return ranked.where(F.col("k") == F.floor((F.col("n") - 1) * F.lit(share)).cast("long") + 1).select("node_id", "component", F.col("energy_uj").alias("idle_uj"))
+    counts = long_form(rows).groupBy("node_id", "component", "energy_uj").agg(F.count("*").alias("c"))
+    by = W.partitionBy("node_id", "component")  # over distinct values, counted before
+    ranked = counts.withColumn("upto", F.sum("c").over(by.orderBy("energy_uj"))).withColumn("n", F.sum("c").over(by))
+    at = F.floor((F.col("n") - 1) * F.lit(share)).cast("long") + 1
+    return ranked.where((F.col("upto") >= at) & (F.col("upto") - F.col("c") < at)).select("node_id", "component", F.col("energy_uj").alias("idle_uj"))
 
 
 def usage_energy(rows: DataFrame, idle: DataFrame) -> DataFrame:

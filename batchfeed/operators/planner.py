@@ -50,9 +50,12 @@ def batch_plan(work: DataFrame, batch: int = FEED.batch, scope: str = "shard", t
     pad (adds `padded`, records repeated to fill a batch).
     """
     if scope == "shard":
-        parts = work.where("count > 0").withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), div(F.col("count") - 1, batch))))
-        seq = F.row_number().over(W.partitionBy("epoch", "node_id", "worker").orderBy("pos", "first", "j")) - 1
-        rows = parts.select("epoch", "node_id", "worker", seq.cast("long").alias("batch_seq"), "shard_id", (F.col("first") + F.col("j") * batch).alias("first_ordinal"), F.least(F.lit(batch).cast("long"), F.col("count") - F.col("j") * batch).alias("n"))
+        # numbered by shard, before the shards are cut: the window sees one row a shard range
+        line = W.partitionBy("epoch", "node_id", "worker").orderBy("pos", "first").rowsBetween(W.unboundedPreceding, -1)
+        some = work.where("count > 0").withColumn("_many", div(F.col("count") + (batch - 1), batch))
+        some = some.withColumn("_before", F.coalesce(F.sum("_many").over(line), F.lit(0).cast("long")))
+        parts = some.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_many") - 1)))
+        rows = parts.select("epoch", "node_id", "worker", (F.col("_before") + F.col("j")).alias("batch_seq"), "shard_id", (F.col("first") + F.col("j") * batch).alias("first_ordinal"), F.least(F.lit(batch).cast("long"), F.col("count") - F.col("j") * batch).alias("n"))
     else:
         keys = ["epoch", "node_id", "worker"] if scope == "worker" else ["epoch", "node_id"]
         line = W.partitionBy(*keys).orderBy("pos", "first").rowsBetween(W.unboundedPreceding, -1)
@@ -97,7 +100,8 @@ def check_plan(plan: DataFrame, stats: DataFrame, batch: int, coverage: str = "p
     gap = r.where("_next > _end").select(F.lit("gap").alias("kind"), "epoch", "shard_id", "n")
     covered = plan.groupBy(*keys).agg(F.sum("n").alias("n"), F.min("first_ordinal").alias("a"))
     epochs = plan.select("epoch").distinct()
-    short = stats.select("shard_id", F.col("n").alias("_n")).where("_n > 0").crossJoin(F.broadcast(epochs)).join(covered, ["epoch", "shard_id"], "left").where("n IS NULL OR n <> _n OR a <> 0").select(F.lit("coverage").alias("kind"), "epoch", "shard_id", F.col("_n").alias("n"))
+    runs = plan.select("epoch", "node_id").distinct() if coverage == "replicate" else epochs  # one row an epoch (and node)
+    short = stats.select("shard_id", F.col("n").alias("_n")).where("_n > 0").join(F.broadcast(runs)).join(covered, keys, "left").where("n IS NULL OR n <> _n OR a <> 0").select(F.lit("coverage").alias("kind"), "epoch", "shard_id", F.col("_n").alias("n"))
     large = plan.groupBy("epoch", "node_id", "worker", "batch_seq").agg(F.sum("n").alias("n")).where(F.col("n") > batch).select(F.lit("large").alias("kind"), "epoch", F.lit(None).cast("string").alias("shard_id"), "n")
     return overlap.unionByName(gap).unionByName(short).unionByName(large)
 

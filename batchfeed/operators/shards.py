@@ -2,17 +2,23 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window as W, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 from ..config import FEED
+from ..functions.cells import by_quantiles, running_sums
 from ..functions.columns import ratio
 
 
-def shard_index(records: DataFrame, header: int = FEED.header) -> DataFrame:
-    """shard_id, ordinal, offset, size, label: each record behind a header, in record order."""
-    w = W.partitionBy("shard_id").orderBy("record_id")
-    before = F.coalesce(F.sum(F.col("size") + header).over(w.rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
-    return records.select("shard_id", "record_id", (F.row_number().over(w) - 1).cast("long").alias("ordinal"), before.cast("long").alias("offset"), "size", "label")
+def shard_index(records: DataFrame, header: int = FEED.header, cells: int = 64) -> DataFrame:
+    """shard_id, ordinal, offset, size, label: each record behind a header, in record order.
+
+    A shard's records are cut at quantiles of their ids into at most `cells` tasks, whose
+    counts and bytes are carried from one to the next.
+    """
+    own = records.select("shard_id", "record_id", "size", "label")
+    sums = {"ordinal": F.lit(1), "offset": F.col("size") + header}
+    placed = running_sums(by_quantiles(own, "shard_id", "record_id", cells), ["shard_id"], ["record_id"], F.col("_q"), sums)
+    return placed.select("shard_id", "record_id", "ordinal", "offset", "size", "label")
 
 
 def shard_stats(records: DataFrame, header: int = FEED.header) -> DataFrame:
@@ -35,11 +41,6 @@ def read_index_json(spark, path: str) -> DataFrame:
     return spark.read.schema(schema).json(path).selectExpr("shard_id", "inline(records)")
 
 
-def single_reads(index: DataFrame) -> DataFrame:
-    """Requests of record-wise access: one per record and shard."""
-    return index.groupBy("shard_id").agg(F.count("*").alias("requests"))
-
-
 def amortized_cost(stats: DataFrame, jobs: int, us_per_byte: int = 1) -> DataFrame:
     """Conversion time shared by 1..jobs later jobs."""
     total = stats.agg((F.sum("bytes") * us_per_byte).alias("convert_us"))
