@@ -23,7 +23,7 @@ def cell_of(order: str, width: int) -> Column:
 def running_sums(df: DataFrame, keys: list[str], order: list[str], cell: Column, sums: dict[str, Column]) -> DataFrame:
     """Add for each of `sums` the total of all rows before, by order within keys (0 for the first).
 
-    cell: long, ascending with the order; null sums count as 0.
+    cell: long, ascending with the order, not null; null sums count as 0; a null key is a key.
     """
     d = df.withColumns({"_cell": cell} | {f"_x_{k}": F.coalesce(v, F.lit(0)).cast("long") for k, v in sums.items()})
     own = W.partitionBy(*keys, "_cell").orderBy(*order).rowsBetween(W.unboundedPreceding, -1)
@@ -31,8 +31,11 @@ def running_sums(df: DataFrame, keys: list[str], order: list[str], cell: Column,
     per = d.groupBy(*keys, "_cell").agg(*(F.sum(f"_x_{k}").alias(f"_s_{k}") for k in sums))
     base = per.select(*keys, "_cell", *(F.coalesce(F.sum(f"_s_{k}").over(before), F.lit(0)).alias(f"_b_{k}") for k in sums))
     inner = d.withColumns({f"_w_{k}": F.coalesce(F.sum(f"_x_{k}").over(own), F.lit(0)) for k in sums})
-    out = inner.join(base, [*keys, "_cell"])
-    return out.select(*df.columns, *((F.col(f"_b_{k}") + F.col(f"_w_{k}")).alias(k) for k in sums))
+    base = base.select(*(F.col(k).alias(f"_k_{k}") for k in keys), F.col("_cell").alias("_k_cell"), *(f"_b_{k}" for k in sums))
+    same = F.col("_cell") == F.col("_k_cell")
+    for k in keys:
+        same &= F.col(k).eqNullSafe(F.col(f"_k_{k}"))
+    return inner.join(base, same).select(*df.columns, *((F.col(f"_b_{k}") + F.col(f"_w_{k}")).alias(k) for k in sums))
 
 
 def known_neighbours(df: DataFrame, key: str, order: str, parts: tuple[str, ...], width: int) -> DataFrame:
@@ -67,5 +70,8 @@ def by_quantiles(df: DataFrame, key: str, order: str, cells: int) -> DataFrame:
     One pass gives at most `cells` quantiles a key, by the value types' own order; boundaries
     only cut the work, so that results do not depend on them.
     """
-    ends = df.groupBy(key).agg(F.percentile_approx(order, [(i + 1) / cells for i in range(cells - 1)], 10 * cells).alias("_ends"))
-    return df.join(ends, key).withColumn("_q", F.size(F.filter("_ends", lambda e: e <= F.col(order))).cast("long")).drop("_ends")
+    if cells < 2:
+        return df.withColumn("_q", F.lit(0).cast("long"))
+    ends = df.groupBy(F.col(key).alias("_of")).agg(F.percentile_approx(order, [(i + 1) / cells for i in range(cells - 1)], 10 * cells).alias("_ends"))
+    below = F.size(F.filter(F.coalesce("_ends", F.array()), lambda e: e <= F.col(order)))
+    return df.join(ends, F.col(key).eqNullSafe(F.col("_of"))).withColumn("_q", below.cast("long")).drop("_of", "_ends")

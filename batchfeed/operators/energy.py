@@ -7,6 +7,7 @@ so they do not depend on the order of rows.
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 
 from ..config import DAY_US, HOUR_US
@@ -202,3 +203,25 @@ def trace_from_busy(busy: DataFrame, power, delta_us: int) -> DataFrame:
     used = s.groupBy("node_id", "slot").agg(F.sum(overlap_us(delta_us, F.col("start_us"), F.col("end_us"))).alias("busy_us"))
     idle, active = dict(power.idle), dict(power.busy)
     return used.select("node_id", "slot", *((F.lit(idle[c]) * F.lit(delta_us) + F.lit(active[c]) * F.col("busy_us")).cast("long").alias(f"{c}_uj") for c in ("cpu", "dram", "gpu")))
+
+
+def trapezoid():
+    """An aggregate over (t_us, power_cw) in any order: twice the integral of the power, by trapezoids between readings."""
+
+    @F.pandas_udf("long")
+    def twice(t: pd.Series, power: pd.Series) -> int:
+        order = t.to_numpy().argsort(kind="stable")
+        a, p = t.to_numpy()[order], power.to_numpy()[order]
+        return int(((a[1:] - a[:-1]) * (p[1:] + p[:-1])).sum())
+
+    return twice
+
+
+def local_stores(rows: DataFrame, path: str) -> None:
+    """Every node's rows in a store of its own."""
+    rows.write.partitionBy("node_id").parquet(path)
+
+
+def central_store(rows: DataFrame, path: str, delta_us: int = HOUR_US) -> None:
+    """All rows in one table, by day."""
+    rows.withColumn("day", div(F.col("slot") * delta_us, DAY_US)).write.partitionBy("day").parquet(path)

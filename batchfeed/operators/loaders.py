@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
 from ..config import FEED, Feed, Power
@@ -43,12 +43,16 @@ def pull_sample(batches: DataFrame, regimes: DataFrame, feed: Feed = FEED, local
     return T.queue_done(b, NODE, ["turn"], F.col("fetch_us"), "ready")
 
 
-def pull_pipeline(batches: DataFrame, regimes: DataFrame, feed: Feed = FEED) -> DataFrame:
-    """Reads ahead through the mount: round trips overlap with the transfer, not with each other."""
+def pull_pipeline(batches: DataFrame, regimes: DataFrame, feed: Feed = FEED, rtt: Column | None = None) -> DataFrame:
+    """Reads ahead through the mount: round trips overlap with the transfer, not with each other.
+
+    rtt: the round trip of each batch, where it is not the regime's.
+    """
     b = batches.crossJoin(F.broadcast(regimes))
+    trip = F.col("rtt_us") if rtt is None else rtt
     size = F.col("bytes") * feed.size_scale
     reads = F.col("n") * F.greatest(F.lit(1).cast("long"), div(size + F.col("n") * feed.read_bytes - 1, F.col("n") * feed.read_bytes))
-    fetch = F.greatest(div(reads * F.col("rtt_us") * feed.pipeline_rtts_permille, 1000), div(size * 1_000_000, feed.net_bytes_s) + div(size * 1_000_000, feed.disk_bytes_s))
+    fetch = F.greatest(div(reads * trip * feed.pipeline_rtts_permille, 1000), div(size * 1_000_000, feed.net_bytes_s) + div(size * 1_000_000, feed.disk_bytes_s))
     b = _in_turn(b.withColumn("fetch_us", fetch))
     return T.queue_done(b, NODE, ["turn"], F.col("fetch_us"), "ready")
 

@@ -2,7 +2,7 @@
 
 framed: big-endian u32 length, then bytes, for each record. msgpack: an array of bin
 values by the public format. Both are built from Catalyst expressions over the ordered
-records of a batch; reading them needs Python.
+records of a batch; reading them needs Python. arrow: an IPC stream of one column.
 """
 
 from __future__ import annotations
@@ -60,6 +60,8 @@ def records_of(body: bytes, codec: str) -> list[bytes]:
             out.append(body[at + 4 : at + 4 + n])
             at += 4 + n
         return out
+    if codec == "arrow":
+        return pa.ipc.open_stream(body).read_all()["body"].to_pylist()
     first = body[0]
     count, at = (first & 15, 1) if first >> 4 == 9 else (struct.unpack_from(">H", body, 1)[0], 3) if first == 0xDC else (struct.unpack_from(">I", body, 1)[0], 5)
     widths = {0xC4: (">B", 2), 0xC5: (">H", 3), 0xC6: (">I", 5)}
@@ -83,7 +85,7 @@ def unpack(payloads: DataFrame, batch: int, codec: str = "framed") -> DataFrame:
     return payloads.select("shard_id", "batch_seq", "body").mapInArrow(run, "shard_id string, ordinal long, body binary")
 
 
-def to_arrow(payloads: DataFrame, batch: int) -> DataFrame:
+def to_arrow(payloads: DataFrame) -> DataFrame:
     """The framed payloads as Arrow IPC streams of one column."""
 
     def run(rows):
@@ -98,3 +100,15 @@ def to_arrow(payloads: DataFrame, batch: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b["shard_id"], b["batch_seq"], b["n_records"], pa.array(bodies, pa.binary())], ["shard_id", "batch_seq", "n_records", "body"])
 
     return payloads.mapInArrow(run, payloads.schema)
+
+
+class UnpackRecords:
+    """A table function: the records of one payload, with their places in it."""
+
+    def eval(self, body: bytes, codec: str):
+        yield from enumerate(records_of(bytes(body), codec))
+
+
+def register_unpack(spark, name: str = "unpack_records") -> None:
+    """Make the table function known to SQL."""
+    spark.udtf.register(name, F.udtf(UnpackRecords, returnType="place int, body binary"))

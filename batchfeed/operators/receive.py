@@ -43,32 +43,38 @@ def _gradient(weights: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[np.nda
     return x.T @ p, float(loss)
 
 
-def train_epoch(examples: DataFrame, steps: int, rate: float = 0.5, classes: int = 10, width: int = 64) -> tuple[list[float], np.ndarray]:
-    """Data-parallel softmax regression over examples(step, node_id, embedding, label).
+def train(examples: DataFrame, steps: int, epochs: int = 1, rate: float = 0.5, classes: int = 10, width: int = 64) -> tuple[list[float], np.ndarray]:
+    """Data-parallel softmax regression over examples(step, embedding, label), step by step, epoch by epoch.
 
+    The rows are put in order of step once and kept, so that a step reads its own part of them.
     Each step sends the weights out, sums gradients per partition and adds them up; what
     comes back is one matrix per partition. Returns the loss of each step and the weights.
     """
     spark, weights, losses = examples.sparkSession, np.zeros((width, classes)), []
-    rows = examples.select("step", "embedding", "label").persist()
-    for k in range(steps):
-        held = spark.sparkContext.broadcast(weights)
-
-        def part(batches, held=held):
-            g, loss, n = np.zeros((width, classes)), 0.0, 0
-            for b in batches:
-                if b.num_rows:
-                    x = np.array(b["embedding"].to_pylist(), float)
-                    more, add = _gradient(held.value, x, b["label"].to_numpy())
-                    g, loss, n = g + more, loss + add, n + b.num_rows
-            yield pa.RecordBatch.from_arrays([pa.array([g.tobytes()], pa.binary()), pa.array([loss]), pa.array([n], pa.int64())], ["g", "loss", "n"])
-
-        found = rows.where(F.col("step") == k).select("embedding", "label").mapInArrow(part, "g binary, loss double, n long").collect()
-        n = sum(r.n for r in found)
-        if n:
-            weights = weights - rate / n * sum(np.frombuffer(r.g).reshape(width, classes) for r in found)
-            losses.append(sum(r.loss for r in found) / n)
-    rows.unpersist()
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = examples.select("step", "embedding", "label").repartitionByRange(parts, "step", F.hash("embedding")).sortWithinPartitions("step").persist()
+    try:
+        for k in [*range(steps)] * epochs:
+            held = spark.sparkContext.broadcast(weights)
+
+            def part(batches, held=held):
+                g, loss, n = np.zeros((width, classes)), 0.0, 0
+                for b in batches:
+                    if b.num_rows:
+                        x = np.array(b["embedding"].to_pylist(), float)
+                        more, add = _gradient(held.value, x, b["label"].to_numpy())
+                        g, loss, n = g + more, loss + add, n + b.num_rows
+                if n:
+                    yield pa.RecordBatch.from_arrays([pa.array([g.tobytes()], pa.binary()), pa.array([loss]), pa.array([n], pa.int64())], ["g", "loss", "n"])
+
+            found = rows.where(F.col("step") == k).select("embedding", "label").mapInArrow(part, "g binary, loss double, n long").collect()
+            held.unpersist()
+            n = sum(r.n for r in found)
+            if n:
+                weights = weights - rate / n * sum(np.frombuffer(r.g).reshape(width, classes) for r in found)
+                losses.append(sum(r.loss for r in found) / n)
+    finally:
+        rows.unpersist()
     return losses, weights
 
 

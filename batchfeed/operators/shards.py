@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from ..config import FEED
 from ..functions.cells import by_quantiles, running_sums
-from ..functions.columns import ratio
+from ..functions.columns import div, ratio
 
 
 def shard_index(records: DataFrame, header: int = FEED.header, cells: int = 64) -> DataFrame:
@@ -30,14 +30,15 @@ def label_histogram(records: DataFrame) -> DataFrame:
     return records.groupBy("shard_id", "label").agg(F.count("*").alias("n"))
 
 
-def write_index_json(index: DataFrame, path: str) -> None:
-    """One JSON line per shard with the arrays of its records."""
-    rows = F.array_sort(F.collect_list(F.struct("ordinal", "offset", "size", "label")))
-    index.groupBy("shard_id").agg(rows.alias("records")).write.mode("overwrite").json(path)
+def write_index_json(index: DataFrame, path: str, line_records: int = 10_000) -> None:
+    """JSON lines of at most line_records successive records of a shard each."""
+    cols = [c for c in index.columns if c not in ("shard_id", "ordinal")]
+    rows = F.array_sort(F.collect_list(F.struct("ordinal", *cols)))
+    index.groupBy("shard_id", div(F.col("ordinal"), line_records).alias("line")).agg(rows.alias("records")).write.json(path)
 
 
-def read_index_json(spark, path: str) -> DataFrame:
-    schema = "shard_id string, records array<struct<ordinal:long,offset:long,size:long,label:int>>"
+def read_index_json(spark, path: str, columns: str = "offset:long,size:long,label:int") -> DataFrame:
+    schema = f"shard_id string, line long, records array<struct<ordinal:long,{columns}>>"
     return spark.read.schema(schema).json(path).selectExpr("shard_id", "inline(records)")
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import energy_queries, feed_queries, report_queries  # noqa: F401
+from . import energy_queries, feed_queries, report_queries, store_queries  # noqa: F401
 from .registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]

@@ -105,13 +105,6 @@ def conversion_amortized(spark, d):
     return H.amortized_cost(stats(spark, d), 10).select(F.col("jobs").cast("long").alias("jobs"), "convert_us", "us_per_job")
 
 
-@query("index_json_roundtrip", f'with {base_sql()} select shard_id, ordinal, "offset", size, label from ix')
-def index_json_roundtrip(spark, d):
-    index = H.shard_index(records(spark, d, "documents"))
-    rows = index.groupBy("shard_id").agg(F.to_json(F.array_sort(F.collect_list(F.struct("ordinal", "offset", "size", "label")))).alias("j"))
-    return rows.select("shard_id", F.explode(F.from_json("j", "array<struct<ordinal:long,offset:long,size:long,label:int>>")).alias("x")).select("shard_id", "x.*")
-
-
 @query("project_sizes", "select source, count(*) n, sum(strlen(text))::bigint bytes, sum(length(text))::bigint chars from documents where lang in ('en', 'de') and n_chars between 100 and 5000 group by all")
 def project_sizes(spark, d):
     docs = read(spark, d, "documents").where("lang IN ('en', 'de') AND n_chars BETWEEN 100 AND 5000")

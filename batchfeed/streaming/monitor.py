@@ -1,19 +1,19 @@
 """The live monitor: aligned energy, smoothing, sessions, run-log joins and hole filling.
 
 Streams carry TIMESTAMP (UTC), as watermarks ask for. `run_once` reads what is there
-(AvailableNow) into a table; in append mode windows still open at the end stay out.
+(AvailableNow) into Parquet; in append mode windows still open at the end stay out.
 """
 
 from __future__ import annotations
 
 import contextlib
-import uuid
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F
 from pyspark.sql.streaming import StatefulProcessor
 
 from ..sources.tables import samples_of
+from .sinks import run_once
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -39,14 +39,6 @@ def sample_stream(spark: SparkSession, sf_dir: str, delay: str = "1 hour") -> Da
     return samples_of(event_stream(spark, sf_dir)).withWatermark("ts", delay)
 
 
-def run_once(df: DataFrame, mode: str) -> DataFrame:
-    """Run a stream to the end of its input and return its result table."""
-    name = f"stream_{uuid.uuid4().hex}"
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return df.sparkSession.table(name)
-
-
 def _ends(df: DataFrame) -> DataFrame:
     return df.withColumns({"start_ts": F.col("window.start").cast("timestamp_ntz"), "end_ts": F.col("window.end").cast("timestamp_ntz")}).drop("window")
 

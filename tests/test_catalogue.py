@@ -4,14 +4,21 @@ from __future__ import annotations
 
 import glob
 import os
+import random
+import struct
 
 import duckdb
 import numpy as np
 import pandas as pd
 import pytest
 
-from batchfeed.operators import energy as E, loaders as L, payload as K, planner as P, receive as R, transport as T
+from pyspark.sql import functions as F
+
+from batchfeed.functions.cells import cell_of, running_sums
+from batchfeed.operators import energy as E, loaders as L, payload as K, planner as P, receive as R, shards as H, transport as T
 from batchfeed.plans.catalog import ORACLES, QUERIES
+from batchfeed.sources import framed
+from batchfeed.streaming import sinks
 
 DATA = "/root/testdata/sf0.001"
 
@@ -68,11 +75,12 @@ def test_batch_counts_by_hand(spark, scope, want):
     assert P.check_plan(plan, stats, 32).count() == 0
 
 
-@pytest.mark.parametrize("codec", ["framed", "msgpack"])
+@pytest.mark.parametrize("codec", ["framed", "msgpack", "arrow"])
 def test_payload_round_trip(spark, codec):
     values = [b"", b"x", b"y" * 255, b"z" * 256, b"w" * 65536, "ü漢".encode()] * 3
     df = spark.createDataFrame([("s", i, bytearray(v)) for i, v in enumerate(values)], "shard_id string, ordinal long, body binary")
-    back = K.unpack(K.pack(df, 16, codec), 16, codec).orderBy("ordinal").collect()
+    packed = K.to_arrow(K.pack(df, 16)) if codec == "arrow" else K.pack(df, 16, codec)
+    back = K.unpack(packed, 16, codec).orderBy("ordinal").collect()
     assert [bytes(r.body) for r in back] == values
 
 
@@ -85,6 +93,122 @@ def test_push_is_flat_and_pull_grows(spark):
     assert push[2] - push[0] < 2 * 2 * 45_000
 
 
+def test_concurrency_decides_for_large_records(spark):
+    """One stream loses to the pull pipeline at short round trips, two win at all; two are faster than one."""
+    one, two = ({(r.loader, r.regime): r.modelled_us for r in QUERIES[n](spark, DATA).collect()} for n in ("w04_synthetic", "w05_synthetic_streams"))
+    for regime in ("lan", "lan_1"):
+        assert one["push_batch", regime] >= one["pull_pipeline", regime]
+    for regime in ("lan", "lan_1", "lan_10", "wan"):
+        assert two["push_batch", regime] < one["push_batch", regime] and two["push_batch", regime] < two["pull_pipeline", regime]
+        assert one["pull_pipeline", regime] == two["pull_pipeline", regime]
+    assert one["push_batch", "wan"] < one["pull_pipeline", "wan"]
+
+
+def test_more_streams_are_not_slower_than_one(spark):
+    t = {}
+    for r in QUERIES["streams_sweep"](spark, DATA).collect():
+        t.setdefault((r.regime, r.epoch), {})[r.streams] = r.modelled_us
+    alone = {(r.regime, r.epoch): r.modelled_us for r in QUERIES["ablate_one_stream"](spark, DATA).collect()}
+    assert all(x[2] <= x[1] == alone[k] for k, x in t.items()) and any(x[2] < x[1] for x in t.values())
+
+
+def test_high_water_marks_bind_at_long_round_trips(spark):
+    t = {}
+    for r in QUERIES["hwm_bounded"](spark, DATA).collect():
+        t.setdefault((r.regime, r.epoch, r.node_id), {})[r.hwm] = r.done
+    assert all(x[1] >= x[4] >= x[16] for x in t.values())
+    assert all(x[1] > x[16] for k, x in t.items() if k[0] == "wan")
+    bound = {(r.regime): r.window_bytes_s for r in QUERIES["hwm_rate_bound"](spark, DATA).collect()}
+    assert bound["wan"] < bound["lan_10"]
+
+
+def test_energy_shares_and_cuts(spark):
+    share = {r.regime: r for r in QUERIES["io_share"](spark, DATA).collect()}
+    assert share["local"].fetch_share < share["lan_10"].fetch_share < share["wan"].fetch_share
+    assert share["local"].fetch_energy_share < share["lan_10"].fetch_energy_share < share["wan"].fetch_energy_share
+    cut = {r.regime: r for r in QUERIES["w07_energy_cut"](spark, DATA).collect()}
+    assert cut["lan_10"].slower < cut["wan"].slower and 0 < cut["lan_10"].cpu_cut < cut["wan"].cpu_cut
+
+
+@pytest.mark.parametrize("width", [1, 5, 1 << 14])
+def test_cells_do_not_change_results(spark, width):
+    """Windows cut at any width: grid, fills, running sums and quantile cells against plain loops."""
+    rng = random.Random(3)
+    rows = [(node, k, *(rng.randint(0, 99) if rng.random() < 0.4 else None for _ in range(3))) for node in (0, 1) for k in sorted(rng.sample(range(-20, 60), 40))]
+    wide = spark.createDataFrame([r for r in rows if any(v is not None for v in r[2:])], "node_id int, slot long, cpu_uj long, dram_uj long, gpu_uj long")
+    full = E.on_grid(wide, width)
+    for method in ("linear", "previous", "nearest"):
+        got = {(r.node_id, r.slot): r for r in E.fill(full, method, cell_slots=width).collect()}
+        known = {(r.node_id, r.slot): r.dram_uj for r in full.collect()}
+        assert set(got) == set(known) and len(got) == 2 * len({s for _, s in known})
+        for (node, k), v in known.items():
+            mine = sorted(s for (n, s), x in known.items() if n == node and x is not None)
+            p, q = max((s for s in mine if s <= k), default=None), min((s for s in mine if s >= k), default=None)
+            a, b = known.get((node, p)), known.get((node, q))
+            want = a if q is None else b if p is None else a if p == q else {"linear": int((a * (q - p) + (b - a) * (k - p)) / (q - p)), "previous": a, "nearest": a if k - p <= q - k else b}[method]
+            assert got[node, k].dram_uj == want and got[node, k].dram_uj_filled == (v is None and want is not None)
+    run = {(r.node_id, r.slot): r.before for r in running_sums(full, ["node_id"], ["slot"], cell_of("slot", width), {"before": F.col("cpu_uj")}).collect()}
+    for (node, k), x in run.items():
+        assert x == sum(r.cpu_uj or 0 for r in full.collect() if r.node_id == node and r.slot < k)
+    index = spark.createDataFrame([("s", i * i, i % 7, 0) for i in range(50)] + [("t", 3, 5, 1)], "shard_id string, record_id long, size long, label int")
+    placed = H.shard_index(index, cells=min(width, 64)).where("shard_id = 's'").orderBy("ordinal").collect()
+    assert [r.record_id for r in placed] == [i * i for i in range(50)] and [r.offset for r in placed] == [sum(j % 7 + 16 for j in range(i)) for i in range(50)]
+
+
+def test_plan_check_sees_a_node_without_a_shard(spark):
+    stats = spark.createDataFrame([("a", 40), ("b", 10)], "shard_id string, n long")
+    plan = P.batch_plan(P.assign_workers(P.assign_nodes(P.shuffle_shards(stats, 1), 2, "replicate"), 1), 32, "node")
+    assert P.check_plan(plan, stats, 32, "replicate").count() == 0
+    assert [(r.kind, r.shard_id) for r in P.check_plan(plan.where("NOT (node_id = 1 AND shard_id = 'b')"), stats, 32, "replicate").collect()] == [("coverage", "b")]
+
+
+def test_shard_files_damage_and_large_shards(spark, tmp_path):
+    rows = [("s" if i % 3 else "t", i, None if i % 5 else i, bytearray(bytes([i % 256]) * i)) for i in range(300)]
+    df = spark.createDataFrame(rows, "shard_id string, record_id long, label int, body binary")
+    index = framed.write_shards(df, f"file://{tmp_path}/shards", 3, file_bytes=4000)
+    assert index.count() == 300 and index.select("file").distinct().count() > 6
+    placed = index.join(H.shard_index(index.select("shard_id", "record_id", "size", "label")).select("shard_id", "record_id", "ordinal"), ["shard_id", "record_id"])
+    stats = spark.createDataFrame([("s", 200), ("t", 100)], "shard_id string, n long")
+    plan = P.batch_plan(P.assign_workers(P.assign_nodes(P.shuffle_shards(stats, 1), 2), 2), 16, "worker")
+    got = framed.read_blocks(framed.blocks_of(plan, placed, 16), f"file://{tmp_path}/shards").collect()
+    back = {(r.shard_id, r.ordinal): (r.label, bytes(r.body)) for r in got}
+    for name in "st":
+        mine = [r for r in rows if r[0] == name]
+        assert [back[name, k] for k in range(len(mine))] == [(-1 if r[2] is None else r[2], bytes(r[3])) for r in mine]
+    data = struct.pack(framed.HEADER, 3, 0, 1) + b"abc"
+    with pytest.raises(ValueError):
+        framed.parse_block(data)
+    assert framed.write_shards(df.limit(0), f"file://{tmp_path}/none", 2).count() == 0
+
+
+def test_micro_batches_are_written_once(spark, tmp_path):
+    save = sinks.save_batch(f"{tmp_path}/out")
+    for _ in (1, 2):
+        save(spark.range(5), 0)
+    save(spark.range(3), 1)
+    assert sinks.saved(spark, f"{tmp_path}/out", "id long").count() == 8 and sinks.saved(spark, f"{tmp_path}/out", "id long", last_only=True).count() == 3
+    assert sinks.saved(spark, f"{tmp_path}/nothing", "id long").count() == 0
+
+
+def test_facade_and_command_line(spark, tmp_path, capsys):
+    from batchfeed.__main__ import main
+    from batchfeed.api import Engine
+
+    e = Engine(spark, DATA)
+    assert rows(e.compare(rtts=("local", "lan", "lan_10", "wan")).toPandas()) == rows(QUERIES["w02_small"](spark, DATA).toPandas())
+    assert e.sql("SELECT count(*) AS n FROM feed_tuples").first().n == e.energy().count()
+    assert main(["run", "shard_stats", "--data", DATA, "--out", str(tmp_path)]) == 0 and spark.read.parquet(f"{tmp_path}/shard_stats").count() == 20
+    assert main(["list"]) == 0 and "w02_small *" in capsys.readouterr().out
+
+
+def test_training_of_several_epochs(spark):
+    rng = np.random.default_rng(3)
+    x, y = rng.normal(size=(40, 64)), rng.integers(0, 10, 40)
+    df = spark.createDataFrame([(i % 2, [float(v) for v in a], int(b)) for i, (a, b) in enumerate(zip(x, y))], "step long, embedding array<double>, label int")
+    losses, _ = R.train(df, 2, epochs=5)
+    assert len(losses) == 10 and losses[-1] < losses[0]
+
+
 def test_conservation(spark):
     t = QUERIES["interpolate_linear"](spark, DATA).persist()
     a = t.groupBy().sum("cpu_uj", "dram_uj", "gpu_uj").first()
@@ -97,7 +221,7 @@ def test_data_parallel_equals_one_node(spark):
     x, y = rng.normal(size=(60, 64)), rng.integers(0, 10, 60)
     step = np.arange(60) // 20
     df = spark.createDataFrame([(int(s), [float(v) for v in a], int(b)) for s, a, b in zip(step, x, y)], "step long, embedding array<double>, label int").repartition(3)
-    losses, weights = R.train_epoch(df, 3)
+    losses, weights = R.train(df, 3)
     want, other = R.train_reference(x, y, step)
     assert np.allclose(losses, want) and np.allclose(weights, other)
 
