@@ -54,8 +54,8 @@ def input_bytes(df: DataFrame) -> int:
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
-def partitions_for(df: DataFrame, bytes_each: int, least: int = 1, most: int = 100_000) -> int:
-    return int(min(most, max(least, -(-input_bytes(df) // bytes_each))))
+def partitions_for(df: DataFrame, bytes_each: int, least: int = 1) -> int:
+    return int(max(least, -(-input_bytes(df) // bytes_each)))
 
 
 def free_name(df: DataFrame, name: str) -> str:

@@ -28,8 +28,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import crc_bucket, mixed, new_path, partitions_for, word_hashes, written
-from .key_exchange import ASK_SCHEMA, Block, answered, asked, block_rows, blocks, cut, joined, looked_up, meet, packed, unpacked, values_in_order
+from .common import crc_bucket, mixed, new_path, word_hashes, written
+from .key_exchange import ASK_SCHEMA, Block, Exchange, answered, asked, block_rows, blocks, cut, joined, looked_up, meet, packed, unpacked, values_in_order
 
 _BOS, _END = word_hashes([b"\x20bos", b"\x20end"])
 _LARGE_DISCOUNT = 0.05
@@ -105,7 +105,7 @@ class Totals:
         if not self.tokens:
             return 1.0
         kept = sum(self.n_r[1][r] * r * d for r, d in enumerate(self.discounts(1, reliable))) + self.above_sum[1] - _LARGE_DISCOUNT * self.above[1]
-        return max(1.0 - kept / self.tokens, 1e-12)
+        return (self.tokens - kept) / self.tokens  # over 0, since each type keeps less than its count
 
 
 def _answer(reliable: int, orders: int):
@@ -165,21 +165,21 @@ def _totals(answers: DataFrame, orders: int, reliable: int) -> Totals:
     return Totals(n_r, s[:, reliable + 2], s[:, reliable + 3], int(s[1, 0]), types)
 
 
-def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, reliable: int = 5, least_count: int = 2, base_add: float = 0.1, block_bytes: int = 3 << 20, part_bytes: int = 3 << 20) -> DataFrame:
+def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, reliable: int = 5, least_count: int = 2, base_add: float = 0.1, block_bytes: int = 3 << 20, part_bytes: int = 5 << 20, fan: int = 4096) -> DataFrame:
     """Score every row of docs(doc_id, text) by a model of those whose bucket is not held.
 
     Returns doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10).
     """
-    parts = partitions_for(docs, part_bytes, least=4)
     packed_docs = blocks(docs, block_bytes)
+    exchange = Exchange.over(packed_docs, part_bytes, fan)
 
     def first(rows):
         for batch in rows:
             for block in block_rows(batch):
                 g = BlockGrams(block, order, folds, held)
-                yield asked(block, g.distinct, [g.count, g.kind], parts)
+                yield asked(block, g.distinct, [g.count, g.kind], exchange)
 
-    counted = written(answered(packed_docs.mapInArrow(first, ASK_SCHEMA), _answer(reliable, order)), "counts")
+    counted = written(answered(packed_docs.mapInArrow(first, ASK_SCHEMA), exchange, _answer(reliable, order)), "counts")
     totals = _totals(counted, order, reliable)
     base_all = math.log10(totals.tokens + base_add * (totals.types + 1))
 
@@ -216,7 +216,7 @@ def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, relia
             packed(per_doc(np.log10(s.c[0] + base_add)) - g.sizes * base_all), packed(per_doc(log_p)),
             packed(np.bincount((pairs >> np.uint64(32)).astype(np.int64), minlength=n)), packed((pairs & np.uint64(0xFFFFFFFF)).astype(np.uint32)), packed(times.astype(np.uint32)),
         ])
-        asks = asked(block, keys, [], parts)
+        asks = asked(block, keys, [], exchange)
         context = np.concatenate([r[0] for r in rows] or [np.zeros(0, np.uint64)])
         sums = [np.concatenate([r[i] for r in rows] or [np.zeros(0)]) for i in (1, 2)]
         orders = np.concatenate([np.full(len(r[0]), m + 2, np.int32) for m, r in enumerate(rows)] or [np.zeros(0, np.int32)])
@@ -232,7 +232,7 @@ def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, relia
     made = written(meet(packed_docs, counted.withColumn("level", F.lit(0)), evaluate, "kind string, part int, block long, crc long, payload binary, key long, kept double, lower double"), "evaluated")
     weights = backoff_table(made.where("kind = 'weight'").select(F.col("part").alias("order"), "key", "kept", "lower"))
     asks = made.where("kind = 'ask'").select("part", "block", "crc", "payload")
-    answers = looked_up(asks, weights, parts)
+    answers = looked_up(asks, weights, exchange)
     states = made.where("kind = 'state'").select("block", "crc", "payload")
 
     def finish(left: pa.Table, right: pa.Table) -> pa.Table:
@@ -254,21 +254,22 @@ def backoff_table(parts: DataFrame) -> DataFrame:
     parts(order, key, kept, lower): partial sums of kept and of lower-order probability.
     """
     spark, path = parts.sparkSession, new_path(parts.sparkSession, "backoff")
+    least = F.lit(2.0**-50)  # what is left is over 0; sums of doubles could round it away
     sums = parts.groupBy("order", "key").agg(F.sum("kept").alias("kept"), F.sum("lower").alias("lower"))
-    sums.select("order", "key", F.log10((1 - F.col("kept")) / (1 - F.col("lower"))).alias("value")).write.partitionBy("order").parquet(path)
+    sums.select("order", "key", F.log10(F.greatest(1 - F.col("kept"), least) / F.greatest(1 - F.col("lower"), least)).alias("value")).write.partitionBy("order").parquet(path)
     return spark.read.schema("key long, value double, order int").parquet(path)
 
 
-def ngram_table(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, least_count: int = 2, block_bytes: int = 3 << 20, part_bytes: int = 3 << 20) -> DataFrame:
+def ngram_table(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, least_count: int = 2, block_bytes: int = 3 << 20, part_bytes: int = 5 << 20, fan: int = 4096) -> DataFrame:
     """The kept n-gram counts as a table stored by order: key (64-bit hash), n, ngram (its words)."""
-    parts = partitions_for(docs, part_bytes, least=4)
     packed_docs = blocks(docs, block_bytes)
+    exchange = Exchange.over(packed_docs, part_bytes, fan)
 
     def first(rows):
         for batch in rows:
             for block in block_rows(batch):
                 g = BlockGrams(block, order, folds, held)
-                yield asked(block, g.distinct, [g.count, g.kind], parts)
+                yield asked(block, g.distinct, [g.count, g.kind], exchange)
 
     def owned(block: Block, got: dict) -> pa.Table:
         g = BlockGrams(block, order, folds, held)
@@ -278,7 +279,7 @@ def ngram_table(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0,
         text = [b" ".join(names[g.first[i] - g.kind[i] + 1 : g.first[i] + 1]).decode() for i in mine]
         return pa.table({"key": pa.array(g.distinct[mine].view(np.int64)), "ngram": pa.array(text, pa.string()), "n": pa.array(count[mine].astype(np.int64)), "order": pa.array(g.kind[mine].astype(np.int32))})
 
-    counted = written(answered(packed_docs.mapInArrow(first, ASK_SCHEMA), _answer(5, order)), "counts").withColumn("level", F.lit(0))
+    counted = written(answered(packed_docs.mapInArrow(first, ASK_SCHEMA), exchange, _answer(5, order)), "counts").withColumn("level", F.lit(0))
     spark, path = docs.sparkSession, new_path(docs.sparkSession, "ngrams")
     meet(packed_docs, counted, owned, "key long, ngram string, n long, order int").write.partitionBy("order").parquet(path)
     return spark.read.schema("key long, ngram string, n long, order int").parquet(path)
