@@ -12,7 +12,7 @@ import numpy as np
 import pytest
 import xxhash
 
-from batchfeed.llm import decontaminate, katz, mixing, quality_model, quality_rules, queries, simhash, substring_dedup, token_files, url_filters, warc
+from batchfeed.llm import decontaminate, katz, key_exchange, mixing, quality_model, quality_rules, queries, simhash, substring_dedup, token_files, url_filters, warc
 from batchfeed.llm.queries import vocabulary_path
 
 random.seed(7)
@@ -61,12 +61,51 @@ def test_substring_dedup(docs, empty):
         w = words(t)
         gone = {k + j for k in range(len(w) - 12) if best[tuple(w[k : k + 13])] < (math.inf if i is None else i) for j in range(13)}
         want.append((i, len(w), len(gone), " ".join(x for k, x in enumerate(w) if k not in gone)))
-    out = substring_dedup.remove_repeats(docs, keep_text=True, block_bytes=2000, longest=52).collect()
-    assert sorted((key((r.doc_id, r.n_words, r.n_removed, r.kept_text)) for r in out)) == sorted(map(key, want))
-    assert {r.longest_repeat for r in out if r.doc_id == 4} == {52}
+    for options in ({"longest": None}, {"fan": 3}):  # one exchange of all parts, and several levels of it
+        out = substring_dedup.remove_repeats(docs, keep_text=True, block_bytes=2000, **options).collect()
+        assert sorted((key((r.doc_id, r.n_words, r.n_removed, r.kept_text)) for r in out)) == sorted(map(key, want))
+        assert {r.longest_repeat for r in out if r.doc_id == 4} == {52 if "longest" in options else 13}
     assert substring_dedup.remove_repeats(empty).count() == 0
 
 
+def test_windows_that_share_a_key_are_told_apart():
+    a = np.array([5, 5, 5, 7, 3], np.uint64)
+    keys, place, first = substring_dedup._distinct(a, np.array([1, 2, 1, 9, 4], np.uint64))
+    assert keys.tolist() == [3, 5, 5, 7] and place.tolist() == [1, 2, 1, 3, 0] and first.tolist() == [4, 0, 1, 3]
+    values = [np.array([4, 4, 6, 1, 2]), np.zeros(5, np.uint8), np.array([1, 2, 1, 9, 4], np.uint64)]
+    keys, place = np.unique(a, return_inverse=True)
+    assert substring_dedup._repeated_long(keys, place, values)[0][0].tolist() == [1, 0, 3, 0, 0]
+
+
+def test_exchange_rows_grow_with_the_input(spark):
+    """A block has at most about `fan` rows a level, however many parts there are; all entries are answered."""
+    rng = np.random.default_rng(6)
+    spans = {}
+    for n in (16, 64):
+        ex = key_exchange.Exchange(tuple(key_exchange.ladder(4 * n, 8)), n)
+        keys = {b: np.unique(rng.integers(0, 1 << 63, 200).astype(np.uint64) * np.uint64(2) + np.uint64(b % 2)) for b in range(n)}
+        for b in range(n):
+            keys[b][:20] = np.unique(keys[0][:20])  # shared by all
+            keys[b] = np.unique(keys[b])
+        rows = [r for b in range(n) for r in key_exchange.ask_rows(b, b, keys[b], [np.full(len(keys[b]), b)], ex.first).to_pylist()]
+        asks = spark.createDataFrame([tuple(r.values()) for r in rows], key_exchange.ASK_SCHEMA).repartition(4)
+        merged, total, blocks, level = asks, asks.count(), n, []
+        for parts, finer in zip(ex.levels, ex.levels[1:]):
+            groups = -(-blocks // parts)
+            blocks = groups * parts
+            merged = key_exchange._merged(merged, parts, finer, groups).where("kind = 'ask'").drop("kind")
+            level.append(merged.count())
+        spans[n] = (total + sum(level)) / n / (1 + len(level))
+        assert len(ex.levels) > 1 and spans[n] <= 2 * 8
+        answer = lambda k, place, values: ([np.bincount(place, minlength=len(k))[place].astype(np.int64)], [])
+        got = {}
+        for r in key_exchange.answered(asks, ex, answer).collect():
+            got.setdefault(r.block, []).append(r.asDict())
+        often = Counter(k for b in keys for k in keys[b].tolist())
+        for b in range(n):
+            assert key_exchange.values_in_order(got[b], b)[0].tolist() == [often[k] for k in keys[b].tolist()]
+
+
 def test_simhash(docs, empty):
     def fp(t):
         w = words((t or "").translate({c: c + 32 for c in range(65, 91)}))
@@ -387,8 +426,9 @@ def test_katz_keeps_singletons(spark, order):
     rng = random.Random(4)
     texts = {i: " ".join(rng.choice("abcdefg") if rng.random() < 0.9 else f"r{i % 20}" for _ in range(9)) for i in range(120)}
     want = katz_by_hand(texts, order)
-    out = katz.score(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), order=order, least_count=1, block_bytes=700).collect()
-    assert len(out) == len(texts) and all(math.isclose(r.score, want[r.doc_id], rel_tol=1e-9) for r in out)
+    for fan in (4096, 5):  # one exchange of all parts, and several levels of it
+        out = katz.score(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), order=order, least_count=1, block_bytes=700, fan=fan).collect()
+        assert len(out) == len(texts) and all(math.isclose(r.score, want[r.doc_id], rel_tol=1e-9) for r in out)
 
 
 def test_op1_scores_by_all_ngrams(spark, tmp_path):
