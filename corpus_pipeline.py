@@ -1,7 +1,15 @@
 """From raw documents to token files: five stages, each one operator of batchfeed.llm.
 
 A stage takes (spark, docs, sf_dir) and returns a DataFrame; `run` writes each result
-as Parquet into the shared folder and hands it, read again, to the next stage.
+as Parquet into the shared folder and hands it, read again, to the next stage. All but
+the last stage return the columns of docs, whatever else these are called.
+
+Edge cases: null and empty texts fail the quality rules, and so never reach the others;
+without labels fixed line rules decide; of equal rows and of rows of one doc_id and text
+one stays, rows of one doc_id with other texts are documents of their own; an empty
+benchmark contaminates nothing; a null source is a source; documents are written in
+ascending doc_id order, null first, a repeated one as often as the mix takes it; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
