@@ -34,6 +34,15 @@ def channel_energy(aligned: DataFrame, delta_us: int = HOUR_US) -> DataFrame:
     return by.select("node_id", "slot", "component", "device", div(F.col("total") * F.lit(delta_us), F.col("n") * 100).alias("energy_uj"))
 
 
+def counter_deltas(counters: DataFrame, modulus: int) -> DataFrame:
+    """Add `delta`, what a cumulative counter(node_id, component, device, ts, counter) has grown by since its last reading.
+
+    A counter that is below its last reading has wrapped at the modulus, once. First readings have none.
+    """
+    before = F.lag("counter").over(W.partitionBy("node_id", "component", "device").orderBy("ts"))
+    return counters.withColumn("delta", F.pmod(F.col("counter") - before, F.lit(modulus)))
+
+
 def counter_energy(aligned: DataFrame, delta_us: int = HOUR_US) -> DataFrame:
     """CPU and DRAM energy per slot."""
     c = channel_energy(aligned.where(F.col("component").isin("cpu", "dram")), delta_us)

@@ -33,6 +33,12 @@ def push_batch(batches: DataFrame, regimes: DataFrame, feed: Feed = FEED, delive
     return T.delivered(T.arrivals(d), delivery)
 
 
+def push_bounded(batches: DataFrame, regimes: DataFrame, feed: Feed = FEED) -> DataFrame:
+    """push_batch with the sender's high-water mark and the receiver's prefetch depth; adds done."""
+    b = T.services(batches, feed).crossJoin(F.broadcast(regimes))
+    return T.bounded_times(T.pipeline_times(b), feed.step_us, feed.hwm, feed.depth)
+
+
 def pull_sample(batches: DataFrame, regimes: DataFrame, feed: Feed = FEED, local_only: bool = False, cached_epochs: bool = False) -> DataFrame:
     """Each record is asked for on demand. cached_epochs: no round trip from the second epoch on."""
     b = batches.crossJoin(F.broadcast(regimes))
@@ -98,7 +104,7 @@ def epoch_times(done: DataFrame) -> DataFrame:
 
 def cells(batches: DataFrame, regimes: DataFrame, feed: Feed, power: Power, loaders: tuple = ("push_batch", "pull_pipeline", "pull_sample")) -> DataFrame:
     """loader x regime: modelled time and component energies of all epochs."""
-    make = {"push_batch": push_batch, "pull_pipeline": pull_pipeline, "pull_sample": pull_sample}
+    make = {"push_batch": push_batch, "push_bounded": push_bounded, "pull_pipeline": pull_pipeline, "pull_sample": pull_sample}
     out = None
     for name in loaders:
         t = epoch_times(consumed(make[name](batches, regimes, feed), feed)).withColumn("loader", F.lit(name))

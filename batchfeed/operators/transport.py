@@ -7,6 +7,8 @@ running sum and a running maximum over one sort, instead of an event loop.
 
 from __future__ import annotations
 
+import heapq
+
 from pyspark.sql import Column, DataFrame, Window as W, functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
@@ -73,10 +75,12 @@ def rate_bound(batches: DataFrame, hwm: int = FEED.hwm, feed: Feed = FEED) -> Da
     return by.select("regime", "rtt_us", "mean_bytes", cap.alias("window_bytes_s"), F.least(F.coalesce(cap, F.lit(feed.net_bytes_s)), F.lit(feed.net_bytes_s)).alias("bound_bytes_s"))
 
 
-def bounded_times(done: DataFrame, step_us: int, hwm: int = FEED.hwm) -> DataFrame:
-    """Sends under a high-water mark: a stream starts a send only when it knows of all but at most
-    hwm - 1 of its payloads that the node's consumer has taken them, half a round trip later.
+def bounded_times(done: DataFrame, step_us: int, hwm: int = FEED.hwm, depth: int = 1) -> DataFrame:
+    """Sends under a high-water mark, before a consumer that prefetches.
 
+    A stream starts a send only when it knows of all but at most hwm - 1 of its payloads that
+    the node has taken them, half a round trip later. The node takes payloads as they come
+    while fewer than `depth` of them are not used up; depth 1: each as the one before ends.
     Times of a sender count from its connection, one round trip after the receiver's clock starts.
 
     A lagged recurrence over merged streams, so one Arrow function per (regime, epoch, node)
@@ -94,7 +98,8 @@ def bounded_times(done: DataFrame, step_us: int, hwm: int = FEED.hwm) -> DataFra
         packed, send, n = pdf.pack_done.tolist(), pdf.send_us.tolist(), pdf.n.tolist()
         arrival, done = [0] * len(pdf), [0] * len(pdf)
         waiting: list = []
-        clock = 0
+        ends: list[int] = []
+        last = 0
         while any(place[w] < len(rows) for w, rows in streams.items()) or waiting:
             for w, rows in streams.items():
                 while place[w] < len(rows) and place[w] - len(taken[w]) < hwm:
@@ -102,14 +107,13 @@ def bounded_times(done: DataFrame, step_us: int, hwm: int = FEED.hwm) -> DataFra
                     gate = taken[w][place[w] - hwm] + rtt // 2 - rtt if place[w] >= hwm else 0
                     free[w] = max(free[w], packed[i], gate) + send[i]
                     arrival[i] = free[w] + rtt + rtt // 2
-                    waiting.append((arrival[i], w, place[w], i))
+                    heapq.heappush(waiting, (arrival[i], w, place[w], i))
                     place[w] += 1
-            waiting.sort()
-            at, w, _, i = waiting.pop(0)
-            start = max(clock, at)
-            taken[w].append(start)
-            clock = start + n[i] * step_us
-            done[i] = clock
+            at, w, _, i = heapq.heappop(waiting)
+            last = max(last, at, ends[-depth] if len(ends) >= depth else 0)
+            taken[w].append(last)
+            done[i] = max(last, ends[-1] if ends else 0) + n[i] * step_us
+            ends.append(done[i])
         return pdf.assign(arrival=arrival, done=done)
 
     schema = StructType([*done.schema.fields, StructField("arrival", LongType()), StructField("done", LongType())])

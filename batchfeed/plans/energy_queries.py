@@ -242,3 +242,16 @@ def mean_power_stats(spark, d):
 @query("filled_share", f"with {T} select node_id, floor(count(*) filter (cpu_uj_filled)::double / count(*)::double * 1e6 + 0.5) / 1e6 share from t group by all")
 def filled_share(spark, d):
     return tuples(spark, d).groupBy("node_id").agg(ratio(F.count(F.when(F.col("cpu_uj_filled"), 1)), F.count("*")).alias("share"))
+
+
+#: A counter of so few bits wraps often.
+MODULUS = 1 << 17
+
+
+@query("counter_wraps", f"with {S} select node_id, component, device, (count(*) - 1) n, (sum(power_cw) - first(power_cw order by ts))::bigint total from samples group by all")
+def counter_wraps(spark, d):
+    """Readings of cumulative counters that wrap, turned back into what was added: equal to the samples they were made of."""
+    w = W.partitionBy("node_id", "component", "device").orderBy("ts").rowsBetween(W.unboundedPreceding, 0)
+    counters = samples(spark, d).select("node_id", "component", "device", "ts", F.pmod(F.sum("power_cw").over(w), F.lit(MODULUS)).alias("counter"))
+    found = E.counter_deltas(counters, MODULUS)
+    return found.groupBy("node_id", "component", "device").agg(F.count("delta").alias("n"), F.coalesce(F.sum("delta"), F.lit(0)).alias("total"))

@@ -437,6 +437,22 @@ query("remedy_double_buffer", _DOUBLE)(lambda spark, d: _epochs(L.double_buffere
 query("prefetch_unbounded", f"with recursive {push_sql(names=('wan',))}, {used_sql()} select regime, epoch, node_id, turn, ready, done from us")(lambda spark, d: L.consumed(L.push_batch(batches(spark, d), regimes(spark, "wan"))).select("regime", "epoch", "node_id", "turn", "ready", "done"))
 
 
+def bounded_sql(feed: Feed, names: tuple, **how) -> str:
+    """CTE `us` of one stream a node: the walk carries when payloads were taken and used up."""
+    gate = "case when x.rn > {h} then p.taken[x.rn - {h}] + x.rtt_us // 2 - x.rtt_us else 0 end".format(h=feed.hwm)
+    room = "case when x.rn > {q} then p.ends[x.rn - {q}] else 0 end".format(q=feed.depth)
+    return f"""{push_sql(feed=feed, names=names, scope='node', workers=1, **how)},
+bn as (select *, n * {feed.step_us} use_us, row_number() over (partition by {ND} order by batch_seq) rn from p3),
+bw as (select *, pack_done + send_us served, [pack_done + send_us + rtt_us + rtt_us // 2] taken, [pack_done + send_us + rtt_us + rtt_us // 2 + use_us] ends from bn where rn = 1
+ union all select x.*, y.served, list_append(p.taken, z.took), list_append(p.ends, greatest(p.ends[-1], z.took) + x.use_us)
+ from bn x join bw p on x.regime = p.regime and x.epoch = p.epoch and x.node_id = p.node_id and x.rn = p.rn + 1,
+ lateral (select greatest(p.served, x.pack_done, {gate}) + x.send_us served) y, lateral (select greatest(p.taken[-1], y.served + x.rtt_us + x.rtt_us // 2, {room}) took) z),
+us as (select *, ends[-1] done from bw)"""
+
+
+query("loader_push_bounded", f"with recursive {bounded_sql(QUICK, ())} {_EPOCH}")(lambda spark, d: L.epoch_times(L.push_bounded(batches(spark, d, scope="node", workers=1), regimes(spark), QUICK)))
+
+
 #: Serializing takes the longest and the consumer is quick, so that further streams help until the disk binds.
 STREAMS = L.scaled(FEED, step_us=50)
 
@@ -557,3 +573,26 @@ def workload_sql(name: str) -> str:
 
 for _w in WORKLOADS:
     query(_w, workload_sql(_w))(lambda spark, d, w=_w: workload(spark, d, w))
+
+
+@query("workloads_bounded")
+def workloads_bounded(spark, d):
+    """Workloads 2 to 6 with the sender's high-water mark of 16 and a prefetch depth of 4, beside the unbounded model."""
+    out = None
+    for name, (data, names, feed, power, _, how) in WORKLOADS.items():
+        b, r = batches(spark, d, data, **how), regimes(spark, *names)
+        pair = L.cells(b, r, feed, power, ("push_batch", "push_bounded")).groupBy("regime", "rtt_us").pivot("loader", ["push_batch", "push_bounded"]).agg(F.max("modelled_us"))
+        t = pair.select(F.lit(name).alias("workload"), "regime", "rtt_us", F.col("push_batch").alias("unbounded_us"), F.col("push_bounded").alias("bounded_us"))
+        out = t if out is None else out.unionByName(t)
+    return out
+
+
+@query("workloads_bounded_check", "select 0::bigint earlier, 0::bigint slower_than_pull")
+def workloads_bounded_check(spark, d):
+    """How often bounds make a push earlier, or slower than the pull pipeline at 10 ms and more: never."""
+    pull = None
+    for name, (data, names, feed, power, _, how) in WORKLOADS.items():
+        t = L.cells(batches(spark, d, data, **how), regimes(spark, *names), feed, power, ("pull_pipeline",)).select(F.lit(name).alias("workload"), "regime", F.col("modelled_us").alias("pull_us"))
+        pull = t if pull is None else pull.unionByName(t)
+    both = workloads_bounded(spark, d).join(F.broadcast(pull), ["workload", "regime"])
+    return both.agg(F.count_if(F.col("bounded_us") < F.col("unbounded_us")).alias("earlier"), F.count_if((F.col("rtt_us") >= 10_000) & (F.col("bounded_us") > F.col("pull_us"))).alias("slower_than_pull"))

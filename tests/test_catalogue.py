@@ -122,6 +122,25 @@ def test_high_water_marks_bind_at_long_round_trips(spark):
     assert bound["wan"] < bound["lan_10"]
 
 
+def test_bounded_push_by_hand(spark):
+    """Three batches of one stream, packed at once, 2 us to send, round trip 4: a mark of 1 waits for the word that each was taken."""
+    b = spark.createDataFrame([("r", 4, 1, 0, 0, i, 1, 0, 2) for i in range(3)], "regime string, rtt_us long, epoch int, node_id int, worker int, batch_seq int, n long, pack_done long, send_us long")
+    ends = lambda hwm, depth: [r.done for r in T.bounded_times(b, 10, hwm, depth).orderBy("batch_seq").collect()]
+    assert ends(9, 1) == [18, 28, 38]  # arrivals 8, 10, 12; 10 us each
+    assert ends(1, 1) == [18, 28, 38]  # taken 8, 18, 28: the sender is far ahead of the consumer
+    slow = lambda hwm, depth: [r.done for r in T.bounded_times(b, 1, hwm, depth).orderBy("batch_seq").collect()]
+    assert slow(9, 1) == [9, 11, 13]
+    assert slow(1, 1) == [9, 15, 21]  # sends start at 0, 6, 12: taken 8 and 14, known 2 later, minus the 4 of the connection
+    t = spark.createDataFrame([("r", 0, 1, 0, 0, i, 1, 0, 1) for i in range(4)], b.schema)
+    assert [r.arrival for r in T.bounded_times(t, 10, 1, 3).orderBy("batch_seq").collect()] == [1, 2, 3, 4]  # three are taken ahead, the fourth waits
+    assert [r.arrival for r in T.bounded_times(t, 10, 1, 1).orderBy("batch_seq").collect()] == [1, 2, 12, 22]
+
+
+def test_counters_that_wrap(spark):
+    c = spark.createDataFrame([(0, "cpu", 0, t, v) for t, v in enumerate([5, 9, 2, 2, 1])], "node_id int, component string, device int, ts long, counter long")
+    assert [r.delta for r in E.counter_deltas(c, 10).orderBy("ts").collect()] == [None, 4, 3, 0, 9]
+
+
 def test_energy_shares_and_cuts(spark):
     share = {r.regime: r for r in QUERIES["io_share"](spark, DATA).collect()}
     assert share["local"].fetch_share < share["lan_10"].fetch_share < share["wan"].fetch_share
