@@ -24,7 +24,8 @@ def records_sql(name: str) -> str:
         "pages": "select (page_id % 8)::varchar shard_id, page_id record_id, strlen(html)::bigint size, -1 label from pages",
         "embeddings": "select (vec_id % 8)::varchar shard_id, vec_id record_id, 256::bigint size, label from embeddings",
         "conversations": "select (conv_id % 4)::varchar shard_id, conv_id record_id, sum(strlen(text))::bigint size, -1 label from conversations group by conv_id",
-        "lineitem": "select l_suppkey::varchar shard_id, row_number() over () record_id, 64 + max(l_quantity)::bigint size, -1 label from lineitem group by l_suppkey, l_orderkey, l_linenumber, l_partkey, l_shipdate",
+        "lineitem": """select l_suppkey::varchar shard_id, row_number() over () record_id, 64 + max(l_quantity)::bigint size, -1 label
+ from lineitem group by l_suppkey, l_orderkey, l_linenumber, l_partkey, l_shipdate""",
     }[name]
 
 
@@ -90,7 +91,8 @@ def shard_index_lineitem(spark, d):
 query("conversation_samples", f'with {base_sql("conversations")} select shard_id, record_id, ordinal, "offset", size, label from ix')(lambda spark, d: H.shard_index(records(spark, d, "conversations")))
 
 
-@query("shard_stats", f"with {base_sql()} select shard_id, n, bytes, largest, floor(total::double / n::double * 1e6 + 0.5) / 1e6 mean_size from st join (select shard_id, max(size) largest, sum(size) total from r group by all) using (shard_id)")
+@query("shard_stats", f"""with {base_sql()} select shard_id, n, bytes, largest, floor(total::double / n::double * 1e6 + 0.5) / 1e6 mean_size
+ from st join (select shard_id, max(size) largest, sum(size) total from r group by all) using (shard_id)""")
 def shard_stats(spark, d):
     return stats(spark, d)
 
@@ -105,7 +107,8 @@ def conversion_amortized(spark, d):
     return H.amortized_cost(stats(spark, d), 10).select(F.col("jobs").cast("long").alias("jobs"), "convert_us", "us_per_job")
 
 
-@query("project_sizes", "select source, count(*) n, sum(strlen(text))::bigint bytes, sum(length(text))::bigint chars from documents where lang in ('en', 'de') and n_chars between 100 and 5000 group by all")
+@query("project_sizes", """select source, count(*) n, sum(strlen(text))::bigint bytes, sum(length(text))::bigint chars
+ from documents where lang in ('en', 'de') and n_chars between 100 and 5000 group by all""")
 def project_sizes(spark, d):
     docs = read(spark, d, "documents").where("lang IN ('en', 'de') AND n_chars BETWEEN 100 AND 5000")
     return docs.groupBy("source").agg(F.count("*").alias("n"), F.sum(F.octet_length("text").cast("long")).alias("bytes"), F.sum(F.length("text").cast("long")).alias("chars"))
@@ -138,20 +141,26 @@ def plan_drop_last(spark, d):
     return plan(spark, d, scope="worker", tail="drop_last")
 
 
-@query("plan_pad", f"with {plan_sql(scope='worker')} select epoch, node_id, worker, batch_seq, shard_id, first_ordinal, n, {B} - sum(n) over (partition by epoch, node_id, worker, batch_seq)::bigint padded from pl")
+@query("plan_pad", f"""with {plan_sql(scope='worker')} select epoch, node_id, worker, batch_seq, shard_id, first_ordinal, n, {B} - sum(n) over (partition by epoch, node_id, worker, batch_seq)::bigint padded
+ from pl""")
 def plan_pad(spark, d):
     return plan(spark, d, scope="worker", tail="pad")
 
 
-_STEPS = "b as (select *, row_number() over (partition by epoch, node_id order by batch_seq, worker) - 1 step from (select epoch, node_id, worker, batch_seq, sum(n)::bigint n from pl group by all)), o as (select *, count(*) over (partition by epoch, node_id) own from b)"
+_STEPS = """b as (select *, row_number() over (partition by epoch, node_id order by batch_seq, worker) - 1 step
+ from (select epoch, node_id, worker, batch_seq, sum(n)::bigint n from pl group by all)), o as (select *, count(*) over (partition by epoch, node_id) own
+ from b)"""
 
 
-@query("plan_equalize_truncate", f"with {plan_sql()}, {_STEPS} select epoch, node_id, worker, batch_seq, n, step, false is_repeat from (select *, min(own) over (partition by epoch) m from o) where step < m")
+@query("plan_equalize_truncate", f"""with {plan_sql()}, {_STEPS} select epoch, node_id, worker, batch_seq, n, step, false is_repeat
+ from (select *, min(own) over (partition by epoch) m from o) where step < m""")
 def plan_equalize_truncate(spark, d):
     return P.equalize(plan(spark, d), "truncate")
 
 
-@query("plan_equalize_repeat", f"with {plan_sql(nodes=3)}, {_STEPS}, m as (select *, max(own) over (partition by epoch) m from o) select m.epoch, m.node_id, worker, batch_seq, n, s step, s >= own is_repeat from m, range(0, 100000) t(s) where s < m and s % own = step")
+@query("plan_equalize_repeat", f"""with {plan_sql(nodes=3)}, {_STEPS}, m as (select *, max(own) over (partition by epoch) m from o)
+ select m.epoch, m.node_id, worker, batch_seq, n, s step, s >= own is_repeat from m, range(0, 100000) t(s)
+ where s < m and s % own = step""")
 def plan_equalize_repeat(spark, d):
     return P.equalize(plan(spark, d, nodes=3), "repeat")
 
@@ -171,7 +180,8 @@ def batch_counts(spark, d):
     return P.expected_batches(stats(spark, d), B)
 
 
-@query("replicate_guarantee", f"with {plan_sql(coverage='replicate', scope='node')} select epoch, node_id, count(distinct batch_seq) batches, (select (sum(n) + {B - 1}) // {B} from st)::bigint expected from pl group by all")
+@query("replicate_guarantee", f"""with {plan_sql(coverage='replicate', scope='node')} select epoch, node_id, count(distinct batch_seq) batches, (select (sum(n) + {B - 1}) // {B}
+ from st)::bigint expected from pl group by all""")
 def replicate_guarantee(spark, d):
     p = plan(spark, d, coverage="replicate", scope="node").groupBy("epoch", "node_id").agg(F.countDistinct("batch_seq").alias("batches"))
     return p.crossJoin(F.broadcast(P.expected_batches(stats(spark, d), B).select(F.col("by_node").alias("expected"))))
@@ -180,17 +190,21 @@ def replicate_guarantee(spark, d):
 _PLACE = "pc as (select shard_id, (row_number() over (order by shard_id) - 1) % 2 server from st)"
 
 
-@query("placement_locality", f"with {plan_sql(coverage='replicate')}, {_PLACE} select epoch, node_id, server = node_id is_local, sum(n)::bigint records, count(*) ranges from pl join pc using (shard_id) group by all")
+@query("placement_locality", f"""with {plan_sql(coverage='replicate')}, {_PLACE} select epoch, node_id, server = node_id is_local, sum(n)::bigint records, count(*) ranges
+ from pl join pc using (shard_id) group by all""")
 def placement_locality(spark, d):
     return P.locality(plan(spark, d, coverage="replicate"), P.place_shards(stats(spark, d), 2))
 
 
-@query("placement_balanced", f"with {base_sql()}, k as (select *, row_number() over (order by bytes desc, shard_id) - 1 k from st) select shard_id, case when k % 8 < 4 then k % 8 else 7 - k % 8 end server from k")
+@query("placement_balanced", f"""with {base_sql()}, k as (select *, row_number() over (order by bytes desc, shard_id) - 1 k
+ from st) select shard_id, case when k % 8 < 4 then k % 8 else 7 - k % 8 end server from k""")
 def placement_balanced(spark, d):
     return P.place_shards(stats(spark, d), 4, "balanced").select("shard_id", "server")
 
 
-@query("load_balance", f"with {batches_sql()} select *, floor((bytes * {TW})::double / (sum(bytes) over (partition by epoch, node_id))::double * 1e6 + 0.5) / 1e6 skew from (select epoch, node_id, worker, count(*) batches, sum(n)::bigint records, sum(bytes)::bigint bytes from bt group by all)")
+@query("load_balance", f"""with {batches_sql()} select *, floor((bytes * {TW})::double / (sum(bytes) over (partition by epoch, node_id))::double * 1e6 + 0.5) / 1e6 skew
+ from (select epoch, node_id, worker, count(*) batches, sum(n)::bigint records, sum(bytes)::bigint bytes
+ from bt group by all)""")
 def load_balance(spark, d):
     by = batches(spark, d).groupBy("epoch", "node_id", "worker").agg(F.count("*").alias("batches"), F.sum("n").alias("records"), F.sum("bytes").alias("bytes"))
     return by.withColumn("skew", ratio(F.col("bytes") * TW, F.sum("bytes").over(W.partitionBy("epoch", "node_id"))))
@@ -201,14 +215,19 @@ def read_ops(spark, d):
     return plan(spark, d).groupBy("epoch").agg(F.sum("n").alias("sample_reads"), F.count("*").alias("range_reads"))
 
 
-@query("shuffle_displacement", f"with {assign_sql(epochs=3)} select a.epoch, sum(abs(a.k - b.k))::bigint moved, count(*) filter (a.k = b.k) fixed from od a join od b on a.shard_id = b.shard_id and b.epoch = a.epoch + 1 group by all")
+@query("shuffle_displacement", f"""with {assign_sql(epochs=3)} select a.epoch, sum(abs(a.k - b.k))::bigint moved, count(*) filter (a.k = b.k) fixed
+ from od a join od b on a.shard_id = b.shard_id and b.epoch = a.epoch + 1 group by all""")
 def shuffle_displacement(spark, d):
     od = P.shuffle_shards(stats(spark, d), 3)
     nxt = od.select("shard_id", (F.col("epoch") - 1).alias("epoch"), F.col("k").alias("k2"))
     return od.join(nxt, ["shard_id", "epoch"]).groupBy("epoch").agg(F.sum(F.abs(F.col("k") - F.col("k2"))).alias("moved"), F.count(F.when(F.col("k") == F.col("k2"), 1)).alias("fixed"))
 
 
-@query("batch_label_entropy", f"with {batches_sql(epochs=1)}, h as (select epoch, node_id, worker, batch_seq, label, count(*)::double c from pl join ix on pl.shard_id = ix.shard_id and ordinal >= first_ordinal and ordinal < first_ordinal + pl.n group by all), p as (select *, c / sum(c) over (partition by epoch, node_id, worker, batch_seq) p from h) select epoch, node_id, worker, batch_seq, floor(-sum(p * ln(p)) * 1e4 + 0.5) / 1e4 entropy from p group by all")
+@query("batch_label_entropy", f"""with {batches_sql(epochs=1)}, h as (select epoch, node_id, worker, batch_seq, label, count(*)::double c
+ from pl join ix on pl.shard_id = ix.shard_id and ordinal >= first_ordinal and ordinal < first_ordinal + pl.n
+ group by all), p as (select *, c / sum(c) over (partition by epoch, node_id, worker, batch_seq) p
+ from h) select epoch, node_id, worker, batch_seq, floor(-sum(p * ln(p)) * 1e4 + 0.5) / 1e4 entropy
+ from p group by all""")
 def batch_label_entropy(spark, d):
     ix = H.shard_index(records(spark, d, "documents")).select("shard_id", F.call_function("div", "ordinal", F.lit(B).cast("long")).alias("cell"), "label")
     p = plan(spark, d, epochs=1).withColumn("cell", div(F.col("first_ordinal"), B))
@@ -217,7 +236,8 @@ def batch_label_entropy(spark, d):
     return h.withColumn("p", q).groupBy("epoch", "node_id", "worker", "batch_seq").agg((F.floor(-F.sum(F.col("p") * F.log("p")) * 1e4 + 0.5) / F.lit(1e4)).alias("entropy"))
 
 
-@query("record_shuffle_buffer", f"with {base_sql()} select shard_id, ordinal, (ordinal // 16) * 16 + row_number() over (partition by shard_id, ordinal // 16 order by md5('42:' || shard_id || ':' || ordinal), ordinal) - 1 place from ix")
+@query("record_shuffle_buffer", f"""with {base_sql()} select shard_id, ordinal, (ordinal // 16) * 16 + row_number() over (partition by shard_id, ordinal // 16
+ order by md5('42:' || shard_id || ':' || ordinal), ordinal) - 1 place from ix""")
 def record_shuffle_buffer(spark, d):
     return P.record_shuffle(H.shard_index(records(spark, d, "documents")), 16)
 
@@ -257,15 +277,18 @@ def bodies(spark, d) -> DataFrame:
     return docs.select(F.col("source").alias("shard_id"), k.alias("ordinal"), F.encode("text", "UTF-8").alias("body"))
 
 
-_BODIES = f"b as (select source shard_id, row_number() over (partition by source order by doc_id) - 1 o, hex(encode(text)) h, strlen(text) n from documents), c as (select *, o // {B} batch_seq from b)"
+_BODIES = f"""b as (select source shard_id, row_number() over (partition by source order by doc_id) - 1 o, hex(encode(text)) h, strlen(text) n
+ from documents), c as (select *, o // {B} batch_seq from b)"""
 
 
-@query("pack_framed_digest", f"with {_BODIES} select shard_id, batch_seq, count(*) n_records, (sum(n) + 4 * count(*))::bigint bytes, md5(unhex(string_agg(printf('%08x', n) || h, '' order by o))) digest from c group by all")
+@query("pack_framed_digest", f"""with {_BODIES} select shard_id, batch_seq, count(*) n_records, (sum(n) + 4 * count(*))::bigint bytes, md5(unhex(string_agg(printf('%08x', n) || h, ''
+ order by o))) digest from c group by all""")
 def pack_framed_digest(spark, d):
     return K.pack(bodies(spark, d), B).select("shard_id", "batch_seq", "n_records", F.octet_length("body").cast("long").alias("bytes"), F.md5("body").alias("digest"))
 
 
-@query("pack_msgpack_digest", f"with {_BODIES} select shard_id, batch_seq, count(*) n_records, md5(unhex(case when count(*) < 16 then printf('%02x', 144 + count(*)) else 'dc' || printf('%04x', count(*)) end || string_agg(case when n < 256 then 'c4' || printf('%02x', n) when n < 65536 then 'c5' || printf('%04x', n) else 'c6' || printf('%08x', n) end || h, '' order by o))) digest from c group by all")
+@query("pack_msgpack_digest", f"""with {_BODIES} select shard_id, batch_seq, count(*) n_records, md5(unhex(case when count(*) < 16 then printf('%02x', 144 + count(*)) else 'dc' || printf('%04x', count(*)) end || string_agg(case when n < 256 then 'c4' || printf('%02x', n) when n < 65536 then 'c5' || printf('%04x', n) else 'c6' || printf('%08x', n) end || h, ''
+ order by o))) digest from c group by all""")
 def pack_msgpack_digest(spark, d):
     return K.pack(bodies(spark, d), B, "msgpack").select("shard_id", "batch_seq", "n_records", F.md5("body").alias("digest"))
 
@@ -275,7 +298,8 @@ def unpack_roundtrip(spark, d):
     return K.unpack(K.pack(bodies(spark, d), B, "msgpack"), B, "msgpack").select("shard_id", "ordinal", F.md5("body").alias("digest"))
 
 
-@query("payload_overhead", f"with {_BODIES} select shard_id, count(distinct batch_seq) payloads, floor((sum(n) + 4 * count(*))::double / sum(n)::double * 1e6 + 0.5) / 1e6 overhead from c group by all")
+@query("payload_overhead", f"""with {_BODIES} select shard_id, count(distinct batch_seq) payloads, floor((sum(n) + 4 * count(*))::double / sum(n)::double * 1e6 + 0.5) / 1e6 overhead
+ from c group by all""")
 def payload_overhead(spark, d):
     p = K.pack(bodies(spark, d), B)
     return p.groupBy("shard_id").agg(F.count("*").alias("payloads"), ratio(F.sum(F.octet_length("body").cast("long")), F.sum(F.octet_length("body").cast("long") - 4 * F.col("n_records"))).alias("overhead"))
@@ -296,7 +320,9 @@ def queue_sql(source: str, target: str, keys: str, order: str, service: str, out
     first = service if ready is None else f"{ready} + {service}"
     step = f"p.{out} + x.{service}" if ready is None else f"greatest(p.{out}, x.{ready}) + x.{service}"
     on = " and ".join(f"x.{k.strip()} = p.{k.strip()}" for k in keys.split(","))
-    return f"{target}_n as (select *, row_number() over (partition by {keys} order by {order}) rn_{target} from {source}), {target} as (select *, ({first})::bigint {out} from {target}_n where rn_{target} = 1 union all select x.*, ({step})::bigint from {target}_n x join {target} p on {on} and x.rn_{target} = p.rn_{target} + 1)"
+    return f"""{target}_n as (select *, row_number() over (partition by {keys} order by {order}) rn_{target}
+ from {source}), {target} as (select *, ({first})::bigint {out} from {target}_n where rn_{target} = 1
+ union all select x.*, ({step})::bigint from {target}_n x join {target} p on {on} and x.rn_{target} = p.rn_{target} + 1)"""
 
 
 ST, ND = "regime, epoch, node_id, worker", "regime, epoch, node_id"
@@ -327,7 +353,9 @@ def pull_sql(kind: str, name: str = "documents", feed: Feed = FEED, names: tuple
         "pull_sample": "n * ({rtt} * {sample_rtts_permille} // 1000 + {decode_us}) + bytes * {size_scale} * 1000000 // {net_bytes_s} + bytes * {size_scale} * 1000000 // {disk_bytes_s}",
         "pull_pipeline": "greatest(n * greatest(1, (bytes * {size_scale} + n * {read_bytes} - 1) // (n * {read_bytes})) * {rtt} * {pipeline_rtts_permille} // 1000, bytes * {size_scale} * 1000000 // {net_bytes_s} + bytes * {size_scale} * 1000000 // {disk_bytes_s})",
     }[kind].format(**s)
-    return f"{batches_sql(name, **how)}, {regimes_sql(names)}, f as (select *, ({fetch})::bigint fetch_us, row_number() over (partition by {ND} order by batch_seq, worker) turn from bt, rg), dl as (select *, (sum(fetch_us) over (partition by {ND} order by turn))::bigint ready from f)"
+    return f"""{batches_sql(name, **how)}, {regimes_sql(names)}, f as (select *, ({fetch})::bigint fetch_us, row_number() over (partition by {ND}
+ order by batch_seq, worker) turn from bt, rg), dl as (select *, (sum(fetch_us) over (partition by {ND}
+ order by turn))::bigint ready from f)"""
 
 
 def used_sql(step_us: int = FEED.step_us) -> str:
@@ -360,12 +388,17 @@ for _name, _how in {"delivery_arrival": {"delivery": "arrival"}, "delivery_in_or
     query(_name, f"with recursive {push_sql(names=('lan_10', 'wan'), **_how)} {_DEL}")(lambda spark, d, h=_how: L.push_batch(batches(spark, d), regimes(spark, "lan_10", "wan"), **h).select("regime", "epoch", "node_id", "worker", "batch_seq", "turn", "ready"))
 
 
-@query("tail_latency", f"with recursive {push_sql(names=('lan', 'wan'))}, q as (select regime, (ready - (read_done - read_us))::double w from dl) select regime, count(*) n, floor(quantile_cont(w, 0.5) * 1e6 + 0.5) / 1e6 p50, floor(quantile_cont(w, 0.95) * 1e6 + 0.5) / 1e6 p95, floor(quantile_cont(w, 0.99) * 1e6 + 0.5) / 1e6 p99, max(w) worst from q group by all")
+@query("tail_latency", f"""with recursive {push_sql(names=('lan', 'wan'))}, q as (select regime, (ready - (read_done - read_us))::double w
+ from dl) select regime, count(*) n, floor(quantile_cont(w, 0.5) * 1e6 + 0.5) / 1e6 p50, floor(quantile_cont(w, 0.95) * 1e6 + 0.5) / 1e6 p95, floor(quantile_cont(w, 0.99) * 1e6 + 0.5) / 1e6 p99, max(w) worst
+ from q group by all""")
 def tail_latency(spark, d):
     return T.latency_profile(L.push_batch(batches(spark, d), regimes(spark, "lan", "wan")), ["regime"])
 
 
-@query("hwm_rate_bound", f"with {batches_sql()}, {regimes_sql()}, m as (select regime, rtt_us, (sum(bytes)::bigint * 40) // count(*) mean_bytes from bt, rg group by all), x as (select *, case when rtt_us > 0 then mean_bytes * 16 * 1000000 // nullif(rtt_us, 0) end window_bytes_s from m) select regime, rtt_us, mean_bytes::bigint mean_bytes, window_bytes_s::bigint window_bytes_s, least(coalesce(window_bytes_s, 1250000000), 1250000000)::bigint bound_bytes_s from x")
+@query("hwm_rate_bound", f"""with {batches_sql()}, {regimes_sql()}, m as (select regime, rtt_us, (sum(bytes)::bigint * 40) // count(*) mean_bytes
+ from bt, rg group by all), x as (select *, case when rtt_us > 0 then mean_bytes * 16 * 1000000 // nullif(rtt_us, 0) end window_bytes_s
+ from m) select regime, rtt_us, mean_bytes::bigint mean_bytes, window_bytes_s::bigint window_bytes_s, least(coalesce(window_bytes_s, 1250000000), 1250000000)::bigint bound_bytes_s
+ from x""")
 def hwm_rate_bound(spark, d):
     return T.rate_bound(batches(spark, d).crossJoin(F.broadcast(regimes(spark))))
 
@@ -411,13 +444,18 @@ def hwm_unbounded(spark, d):
     return T.bounded_times(T.pipeline_times(serviced(spark, d, ("lan", "wan"))), FEED.step_us, 1 << 30).groupBy("regime", "epoch", "node_id").agg(F.max("done").alias("done"))
 
 
-@query("scale_out", f"with {base_sql('lineitem')}, k as (select *, row_number() over (order by shard_id) - 1 k from st), b as (select servers, k % servers server, sum(100 + bytes * 40 * 1000000 // 500000000)::bigint us, sum(bytes)::bigint bytes from k, (values (1), (2), (4), (8)) t(servers) group by all) select servers::bigint servers, max(us) makespan_us, sum(us)::bigint total_us, ((sum(bytes)::bigint * 40 * 1000000) // max(us))::bigint bytes_s from b group by all")
+@query("scale_out", f"""with {base_sql('lineitem')}, k as (select *, row_number() over (order by shard_id) - 1 k from st),
+ b as (select servers, k % servers server, sum(100 + bytes * 40 * 1000000 // 500000000)::bigint us, sum(bytes)::bigint bytes
+ from k, (values (1), (2), (4), (8)) t(servers) group by all) select servers::bigint servers, max(us) makespan_us, sum(us)::bigint total_us, ((sum(bytes)::bigint * 40 * 1000000) // max(us))::bigint bytes_s
+ from b group by all""")
 def scale_out(spark, d):
     return T.scale_out(stats(spark, d, "lineitem"))
 
 
 # --- loaders ----------------------------------------------------------------------
-_EPOCH = "select regime, rtt_us, epoch, max(t) modelled_us, sum(n)::bigint records, sum(b)::bigint bytes, count(*) nodes from (select regime, rtt_us, epoch, node_id, max(done) t, sum(n) n, sum(bytes) b from us group by all) group by all"
+_EPOCH = """select regime, rtt_us, epoch, max(t) modelled_us, sum(n)::bigint records, sum(b)::bigint bytes, count(*) nodes
+ from (select regime, rtt_us, epoch, node_id, max(done) t, sum(n) n, sum(bytes) b from us group by all)
+ group by all"""
 
 
 def _epochs(df: DataFrame, feed: Feed = FEED) -> DataFrame:
@@ -432,7 +470,9 @@ query("ablate_no_pipeline", f"with recursive {push_sql(pipelined=False)}, {used_
 query("ablate_in_order", f"with recursive {push_sql(delivery='in_order')}, {used_sql()} {_EPOCH}")(lambda spark, d: _epochs(L.push_batch(batches(spark, d), regimes(spark), delivery="in_order")))
 query("remedy_cache", f"with recursive {pull_sql('pull_sample', rtt='(case when epoch > 1 then 0 else rtt_us end)')}, {used_sql()} {_EPOCH}")(lambda spark, d: _epochs(L.pull_sample(batches(spark, d), regimes(spark), cached_epochs=True)))
 query("remedy_local_shards", f"with recursive {pull_sql('pull_sample', rtt='0')}, {used_sql()} {_EPOCH}")(lambda spark, d: _epochs(L.pull_sample(batches(spark, d), regimes(spark), local_only=True)))
-_DOUBLE = f"with recursive {pull_sql('pull_sample', names=('lan', 'wan'))}, du as (select *, n * {FEED.step_us} use_us from dl), {walk_sql('du', ND, 'fetch_us', '2', 'use_us')}, us as (select *, ends[-1] done from lw) {_EPOCH}"
+_DOUBLE = f"""with recursive {pull_sql('pull_sample', names=('lan', 'wan'))}, du as (select *, n * {FEED.step_us} use_us
+ from dl), {walk_sql('du', ND, 'fetch_us', '2', 'use_us')}, us as (select *, ends[-1] done
+ from lw) {_EPOCH}"""
 query("remedy_double_buffer", _DOUBLE)(lambda spark, d: _epochs(L.double_buffered(batches(spark, d), regimes(spark, "lan", "wan"))))
 query("prefetch_unbounded", f"with recursive {push_sql(names=('wan',))}, {used_sql()} select regime, epoch, node_id, turn, ready, done from us")(lambda spark, d: L.consumed(L.push_batch(batches(spark, d), regimes(spark, "wan"))).select("regime", "epoch", "node_id", "turn", "ready", "done"))
 
@@ -480,8 +520,10 @@ def streams_sweep(spark, d):
 
 
 _DEPTH = (
-    f"with recursive {batches_sql()}, {regimes_sql(('wan',))}, pd as (select regime, epoch, node_id, depth, n * {FEED.decode_us} decode, n * {FEED.step_us} use_us, row_number() over (partition by regime, epoch, node_id, depth order by batch_seq, worker) turn"
-    f" from bt, rg, (values (1::bigint), (4), ({1 << 30})) t(depth)), {walk_sql('pd', 'regime, epoch, node_id, depth', 'decode', 'x.depth', 'use_us')} select regime, epoch, node_id, max(ends[-1]) done, depth from lw group by all"
+    f"""with recursive {batches_sql()}, {regimes_sql(('wan',))}, pd as (select regime, epoch, node_id, depth, n * {FEED.decode_us} decode, n * {FEED.step_us} use_us, row_number() over (partition by regime, epoch, node_id, depth
+ order by batch_seq, worker) turn"""
+    f""" from bt, rg, (values (1::bigint), (4), ({1 << 30})) t(depth)), {walk_sql('pd', 'regime, epoch, node_id, depth', 'decode', 'x.depth', 'use_us')}
+ select regime, epoch, node_id, max(ends[-1]) done, depth from lw group by all"""
 )
 
 
@@ -497,20 +539,24 @@ def prefetch_depth(spark, d):
     return out
 
 
-@query("consumer_stall", f"with recursive {push_sql(names=('lan', 'wan'))}, {used_sql()} select regime, epoch, node_id, sum(greatest(0, ready - before))::bigint stall_us, sum(n * 1500)::bigint busy_us from (select *, coalesce(lag(done) over (partition by {ND} order by turn), 0) before from us) group by all")
+@query("consumer_stall", f"""with recursive {push_sql(names=('lan', 'wan'))}, {used_sql()} select regime, epoch, node_id, sum(greatest(0, ready - before))::bigint stall_us, sum(n * 1500)::bigint busy_us
+ from (select *, coalesce(lag(done) over (partition by {ND} order by turn), 0) before from us)
+ group by all""")
 def consumer_stall(spark, d):
     done = L.consumed(L.push_batch(batches(spark, d), regimes(spark, "lan", "wan")))
     before = F.coalesce(F.lag("done").over(W.partitionBy(*L.NODE).orderBy("turn")), F.lit(0).cast("long"))
     return done.withColumn("w", F.greatest(F.lit(0).cast("long"), F.col("ready") - before)).groupBy("regime", "epoch", "node_id").agg(F.sum("w").alias("stall_us"), F.sum(F.col("n") * FEED.step_us).alias("busy_us"))
 
 
-@query("warmup_excluded", f"with recursive {push_sql(names=('wan',))}, {used_sql()} select regime, epoch, node_id, max(done) - min(done) filter (turn = 4) after_us, max(done) whole_us from us group by all")
+@query("warmup_excluded", f"""with recursive {push_sql(names=('wan',))}, {used_sql()} select regime, epoch, node_id, max(done) - min(done) filter (turn = 4) after_us, max(done) whole_us
+ from us group by all""")
 def warmup_excluded(spark, d):
     done = L.consumed(L.push_batch(batches(spark, d), regimes(spark, "wan")))
     return done.groupBy("regime", "epoch", "node_id").agg((F.max("done") - F.min(F.when(F.col("turn") == FEED.depth, F.col("done")))).alias("after_us"), F.max("done").alias("whole_us"))
 
 
-@query("sync_overhead", f"with recursive {push_sql()}, {used_sql()} select regime, epoch, count(*) steps, sum(worst + 2 * rtt_us)::bigint synced_us from (select regime, rtt_us, epoch, turn, max(n * 1500) worst from us group by all) group by all")
+@query("sync_overhead", f"""with recursive {push_sql()}, {used_sql()} select regime, epoch, count(*) steps, sum(worst + 2 * rtt_us)::bigint synced_us
+ from (select regime, rtt_us, epoch, turn, max(n * 1500) worst from us group by all) group by all""")
 def sync_overhead(spark, d):
     """Lock-step training: each step takes its slowest node's time and one exchange of gradients."""
     done = L.consumed(L.push_batch(batches(spark, d), regimes(spark)))
@@ -524,7 +570,10 @@ def local_loopback_cost(spark, d):
     return done.groupBy("epoch").agg(F.sum(F.col("pack_us") + F.col("send_us")).alias("loopback_us"), F.max("done").alias("done"))
 
 
-@query("traffic_by_rtt_class", "select case when cn.n_nationkey = sn.n_nationkey then 100 when cn.n_regionkey = sn.n_regionkey then 10000 else 30000 end::bigint rtt_us, r_name client_region, count(*) fetches, sum(64 + l_quantity::bigint)::bigint bytes from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join supplier on l_suppkey = s_suppkey join nation cn on c_nationkey = cn.n_nationkey join nation sn on s_nationkey = sn.n_nationkey join region on cn.n_regionkey = r_regionkey group by all")
+@query("traffic_by_rtt_class", """select case when cn.n_nationkey = sn.n_nationkey then 100 when cn.n_regionkey = sn.n_regionkey then 10000 else 30000 end::bigint rtt_us, r_name client_region, count(*) fetches, sum(64 + l_quantity::bigint)::bigint bytes
+ from lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey
+ join supplier on l_suppkey = s_suppkey join nation cn on c_nationkey = cn.n_nationkey join nation sn on s_nationkey = sn.n_nationkey
+ join region on cn.n_regionkey = r_regionkey group by all""")
 def traffic_by_rtt_class(spark, d):
     nation = read(spark, d, "nation").select("n_nationkey", "n_regionkey")
     client = read(spark, d, "customer").join(nation, F.col("c_nationkey") == F.col("n_nationkey")).select("c_custkey", F.col("n_nationkey").alias("cn"), F.col("n_regionkey").alias("cr"))
@@ -543,7 +592,8 @@ def cells_sql(name: str, names: tuple, feed: Feed, power, loaders: tuple, **how)
     parts = []
     for loader in loaders:
         head = push_sql(name, feed, names, **how) if loader == "push_batch" else pull_sql(loader, name, feed, names, **how)
-        parts.append(f"select * from (with recursive {head}, {used_sql(feed.step_us)}, e as ({_EPOCH}) select '{loader}' loader, regime, rtt_us, sum(records)::bigint records, sum(bytes)::bigint b, sum(modelled_us)::bigint t, max(nodes) nodes from e group by all)")
+        parts.append(f"""select * from (with recursive {head}, {used_sql(feed.step_us)}, e as ({_EPOCH}) select '{loader}' loader, regime, rtt_us, sum(records)::bigint records, sum(bytes)::bigint b, sum(modelled_us)::bigint t, max(nodes) nodes
+ from e group by all)""")
     return f"select loader, regime, rtt_us, records, b * {feed.size_scale} bytes, t modelled_us, {energy} from ({' union all '.join(parts)})"
 
 

@@ -29,12 +29,16 @@ def preprocess_text(spark, d):
     return R.preprocess_text(read(spark, d, "documents"))
 
 
-@query("resize_vectors", "select vec_id, (i - 1) // 4 as place, floor(sum(floor(x::double * 1e6 + 0.5)) / (1e6 * 4) * 1e6 + 0.5) / 1e6 as value from (select vec_id, unnest(embedding) x, unnest(range(1, 65)) i from embeddings) group by all")
+@query("resize_vectors", """select vec_id, (i - 1) // 4 as place, floor(sum(floor(x::double * 1e6 + 0.5)) / (1e6 * 4) * 1e6 + 0.5) / 1e6 as value
+ from (select vec_id, unnest(embedding) x, unnest(range(1, 65)) i from embeddings) group by all""")
 def resize_vectors(spark, d):
     return R.resize_vectors(read(spark, d, "embeddings"))
 
 
-@query("normalize_vectors", "with v as (select vec_id, label, list_transform(embedding, lambda e: e::double) x from embeddings), m as (select *, list_reduce(x, lambda a, b: a + b) / 64 m from v), s as (select *, sqrt(list_reduce(list_transform(x, lambda e: (e - m) * (e - m)), lambda a, b: a + b) / 64) d from m) select vec_id, label, floor(m * 1e6 + 0.5) / 1e6 mean, floor(d * 1e6 + 0.5) / 1e6 deviation, floor((x[1] - m) / d * 1e6 + 0.5) / 1e6 first_value, floor((x[64] - m) / d * 1e6 + 0.5) / 1e6 last_value from s")
+@query("normalize_vectors", """with v as (select vec_id, label, list_transform(embedding, lambda e: e::double) x from embeddings),
+ m as (select *, list_reduce(x, lambda a, b: a + b) / 64 m from v), s as (select *, sqrt(list_reduce(list_transform(x, lambda e: (e - m) * (e - m)), lambda a, b: a + b) / 64) d
+ from m) select vec_id, label, floor(m * 1e6 + 0.5) / 1e6 mean, floor(d * 1e6 + 0.5) / 1e6 deviation, floor((x[1] - m) / d * 1e6 + 0.5) / 1e6 first_value, floor((x[64] - m) / d * 1e6 + 0.5) / 1e6 last_value
+ from s""")
 def normalize_vectors(spark, d):
     return R.normalize_vectors(read(spark, d, "embeddings")).select("vec_id", "label", rounded(F.col("m")).alias("mean"), rounded(F.col("d")).alias("deviation"), rounded(F.element_at("x", 1)).alias("first_value"), rounded(F.element_at("x", -1)).alias("last_value"))
 
@@ -60,7 +64,9 @@ def train_loss(spark, d):
     return spark.createDataFrame([(i, float(x)) for i, x in enumerate(losses)], "iter long, loss double")
 
 
-TRACE = "tr as (select 'rep' || (event_id % 3) rep, (row_number() over (partition by event_id % 3 order by event_id) - 1) iter, floor(value * 100 + 0.5)::bigint loss_u, epoch_us(ts) t_us from events), ma as (select *, sum(loss_u) over w::double / count(*) over w::double ma from tr window w as (partition by rep order by iter rows 9 preceding))"
+TRACE = """tr as (select 'rep' || (event_id % 3) rep, (row_number() over (partition by event_id % 3 order by event_id) - 1) iter, floor(value * 100 + 0.5)::bigint loss_u, epoch_us(ts) t_us
+ from events), ma as (select *, sum(loss_u) over w::double / count(*) over w::double ma from tr window w as (partition by rep
+ order by iter rows 9 preceding))"""
 
 
 def trace(spark, d) -> DataFrame:
@@ -89,7 +95,8 @@ def time_to_loss(spark, d):
     return trace(spark, d).groupBy("rep").agg(F.min(F.when(low, F.col("t_us"))).alias("t_us"), F.min(F.when(low, F.col("iter"))).alias("iter"))
 
 
-@query("loss_at_time", f"with {TRACE}, q as (select rep, 1704067200000000 + day * 86400000000 t_us, day from (select distinct rep from tr), range(1, 29) t(day)) select q.rep, day, loss_u from q asof left join tr on q.rep = tr.rep and q.t_us >= tr.t_us")
+@query("loss_at_time", f"""with {TRACE}, q as (select rep, 1704067200000000 + day * 86400000000 t_us, day from (select distinct rep
+ from tr), range(1, 29) t(day)) select q.rep, day, loss_u from q asof left join tr on q.rep = tr.rep and q.t_us >= tr.t_us""")
 def loss_at_time(spark, d):
     t = trace(spark, d)
     q = t.select("rep").distinct().select("rep", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(28).cast("long"))).alias("day")).withColumn("t_us", F.lit(1_704_067_200_000_000) + F.col("day") * 86_400_000_000)
@@ -101,13 +108,19 @@ _BASE = "b as (select * from cells where loader = 'push_batch')"
 
 query("speedup", f"with {CELLS}, {_BASE} select c.loader, regime, {_r('c.modelled_us', 'b.modelled_us')} slower from cells c join b using (regime)")(lambda spark, d: M.speedup(cells(spark, d)))
 query("energy_ratio", f"with {CELLS}, {_BASE} select c.loader, regime, " + ", ".join(f"{_r(f'c.{x}_uj', f'b.{x}_uj')} {x}_ratio" for x in ("cpu", "dram", "gpu")) + " from cells c join b using (regime)")(lambda spark, d: M.energy_ratio(cells(spark, d)))
-query("slowdown_own", f"with {CELLS} select loader, regime, {_r('modelled_us', 'first_value(modelled_us) over (partition by loader order by rtt_us)')} slower_than_nearest from cells")(lambda spark, d: M.slowdown_own(cells(spark, d)))
+query("slowdown_own", f"""with {CELLS} select loader, regime, {_r('modelled_us', 'first_value(modelled_us) over (partition by loader order by rtt_us)')} slower_than_nearest
+ from cells""")(lambda spark, d: M.slowdown_own(cells(spark, d)))
 query("energy_cut", f"with {CELLS}, {_BASE} select c.loader, regime, {_r('c.modelled_us', 'b.modelled_us')} slower, " + ", ".join(f"{_r(f'100 * (c.{x}_uj - b.{x}_uj)', f'c.{x}_uj')} {x}_cut" for x in ("cpu", "dram", "gpu")) + " from cells c join b using (regime)")(lambda spark, d: M.energy_cut(cells(spark, d)))
-query("rtt_invariance", f"with {CELLS} select loader, {_r('max(modelled_us) - min(modelled_us)', 'min(modelled_us)')} spread, (max(modelled_us) - min(modelled_us)) * 20 < min(modelled_us) is_flat from cells group by all")(lambda spark, d: M.rtt_invariance(cells(spark, d)))
+query("rtt_invariance", f"""with {CELLS} select loader, {_r('max(modelled_us) - min(modelled_us)', 'min(modelled_us)')} spread, (max(modelled_us) - min(modelled_us)) * 20 < min(modelled_us) is_flat
+ from cells group by all""")(lambda spark, d: M.rtt_invariance(cells(spark, d)))
 query("edp", f"with {CELLS} select loader, regime, floor((cpu_uj + dram_uj + gpu_uj) / 1e6 * (modelled_us / 1e6) * 1e3 + 0.5) / 1e3 edp from cells")(lambda spark, d: M.edp(cells(spark, d)))
-query("pareto_front", f"with {CELLS}, t as (select loader, regime, modelled_us, (cpu_uj + dram_uj + gpu_uj)::bigint energy_uj from cells) select * from t where not exists (select 1 from t o where o.regime = t.regime and o.modelled_us <= t.modelled_us and o.energy_uj <= t.energy_uj and (o.modelled_us < t.modelled_us or o.energy_uj < t.energy_uj))")(lambda spark, d: M.pareto_front(cells(spark, d)))
-query("carbon", f"with {CELLS}, t as (select loader, regime, (cpu_uj + dram_uj + gpu_uj)::double e from cells) select loader, regime, floor(e / 3.6e12 * 1e9 + 0.5) / 1e9 kwh, floor(e / 3.6e12 * 458 * 1e6 + 0.5) / 1e6 co2_g from t")(lambda spark, d: M.carbon(cells(spark, d)))
-query("throughput", f"with {CELLS} select loader, regime, {_r('records * 1000000', 'modelled_us')} samples_s, {_r('bytes * 1000000', 'modelled_us')} bytes_s from cells")(lambda spark, d: cells(spark, d).select("loader", "regime", ratio(F.col("records") * 1_000_000, F.col("modelled_us")).alias("samples_s"), ratio(F.col("bytes") * 1_000_000, F.col("modelled_us")).alias("bytes_s")))
+query("pareto_front", f"""with {CELLS}, t as (select loader, regime, modelled_us, (cpu_uj + dram_uj + gpu_uj)::bigint energy_uj
+ from cells) select * from t where not exists (select 1 from t o where o.regime = t.regime and o.modelled_us <= t.modelled_us and o.energy_uj <= t.energy_uj and (o.modelled_us < t.modelled_us or o.energy_uj < t.energy_uj))""")(lambda spark, d: M.pareto_front(cells(spark, d)))
+query("carbon", f"""with {CELLS}, t as (select loader, regime, (cpu_uj + dram_uj + gpu_uj)::double e from cells)
+ select loader, regime, floor(e / 3.6e12 * 1e9 + 0.5) / 1e9 kwh, floor(e / 3.6e12 * 458 * 1e6 + 0.5) / 1e6 co2_g
+ from t""")(lambda spark, d: M.carbon(cells(spark, d)))
+query("throughput", f"""with {CELLS} select loader, regime, {_r('records * 1000000', 'modelled_us')} samples_s, {_r('bytes * 1000000', 'modelled_us')} bytes_s
+ from cells""")(lambda spark, d: cells(spark, d).select("loader", "regime", ratio(F.col("records") * 1_000_000, F.col("modelled_us")).alias("samples_s"), ratio(F.col("bytes") * 1_000_000, F.col("modelled_us")).alias("bytes_s")))
 
 
 @query("cells_cube", f"with {CELLS} select loader, regime, sum(modelled_us)::bigint modelled_us, sum(cpu_uj)::bigint cpu_uj, count(*) n from cells group by cube (loader, regime)")
@@ -156,7 +169,8 @@ def stages(spark, d) -> DataFrame:
 
 _SHARES = f"""{_STAGES}, o as (select *, us - coalesce(lag(us) over w, 0) own_us, uj - coalesce(lag(uj) over w, 0) own_uj, max(us) over (partition by regime) m, max(uj) over (partition by regime) e from s window w as (partition by regime order by stage_no))"""
 query("w01_breakdown", f"{_SHARES} select regime, stage_no, us, own_us, {_r('own_us', 'm')} share, uj, own_uj, {_r('own_uj', 'e')} energy_share from o")(lambda spark, d: M.stage_shares(stages(spark, d)))
-query("io_share", f"{_SHARES} select regime, {_r('max(own_us) filter (stage_no = 1)', 'max(m)')} share, {_r('max(own_uj) filter (stage_no = 1)', 'max(e)')} energy_share, {_r('max(us) filter (stage_no = 2)', 'max(m)')} fetch_share, {_r('max(uj) filter (stage_no = 2)', 'max(e)')} fetch_energy_share from o group by all")(lambda spark, d: M.io_shares(stages(spark, d)))
+query("io_share", f"""{_SHARES} select regime, {_r('max(own_us) filter (stage_no = 1)', 'max(m)')} share, {_r('max(own_uj) filter (stage_no = 1)', 'max(e)')} energy_share, {_r('max(us) filter (stage_no = 2)', 'max(m)')} fetch_share, {_r('max(uj) filter (stage_no = 2)', 'max(e)')} fetch_energy_share
+ from o group by all""")(lambda spark, d: M.io_shares(stages(spark, d)))
 
 def _half_local(spark, d, loader: str) -> DataFrame:
     """Every node streams all shards; those placed on it cost no round trip."""
@@ -185,14 +199,23 @@ _W7_ENERGY = ", ".join(f"(sum(t) * {FEED.nodes * IDLE[c]} + sum(n) * {FEED.step_
 
 
 def _w7_sql(loader: str) -> str:
-    home = "hm as (select epoch, node_id, worker, batch_seq, any_value(server = node_id) is_local from pl join (select shard_id, (row_number() over (order by shard_id) - 1) % 2 server from st) using (shard_id) group by all)"
+    home = """hm as (select epoch, node_id, worker, batch_seq, any_value(server = node_id) is_local from pl
+ join (select shard_id, (row_number() over (order by shard_id) - 1) % 2 server from st) using (shard_id)
+ group by all)"""
     names = ("lan", "lan_10", "wan")
     if loader == "push_batch":
         head = Q.push_sql(names=names, coverage="replicate")
-        head = head[: head.index(", ar as (")] + f", {home}, ar as (select p3.*, is_local, send_done + case when is_local then 0 else rtt_us + rtt_us // 2 end arrival from p3 join hm using (epoch, node_id, worker, batch_seq)), dl as (select *, row_number() over (partition by {Q.ND} order by arrival, worker, batch_seq) turn, arrival ready from ar)"
+        head = head[: head.index(", ar as (")] + f""", {home}, ar as (select p3.*, is_local, send_done + case when is_local then 0 else rtt_us + rtt_us // 2 end arrival
+ from p3 join hm using (epoch, node_id, worker, batch_seq)), dl as (select *, row_number() over (partition by {Q.ND}
+ order by arrival, worker, batch_seq) turn, arrival ready from ar)"""
     else:
-        head = f"{Q.batches_sql(coverage='replicate')}, {home}, {Q.regimes_sql(names)}, f as (select bt.*, is_local, regime, rtt_us, greatest(n * greatest(1, (bytes * 40 + n * 1048576 - 1) // (n * 1048576)) * (case when is_local then 0 else rtt_us end) * 570 // 1000, bytes * 40 * 1000000 // 1250000000 + bytes * 40 * 1000000 // 500000000)::bigint fetch_us, row_number() over (partition by {Q.ND} order by batch_seq, worker) turn from bt join hm using (epoch, node_id, worker, batch_seq), rg), dl as (select *, (sum(fetch_us) over (partition by {Q.ND} order by turn))::bigint ready from f)"
-    return f"select * from (with recursive {head}, {Q.used_sql()}, e as (select regime, epoch, max(t) t, sum(near) near, sum(n) n from (select regime, epoch, node_id, max(done) t, sum(case when is_local then n else 0 end) near, sum(n) n from us group by all) group by all) select '{loader}' loader, regime, {_r('sum(near)', 'sum(n)')} local_share, sum(n)::bigint records, sum(t)::bigint modelled_us, {_W7_ENERGY} from e group by all)"
+        head = f"""{Q.batches_sql(coverage='replicate')}, {home}, {Q.regimes_sql(names)}, f as (select bt.*, is_local, regime, rtt_us, greatest(n * greatest(1, (bytes * 40 + n * 1048576 - 1) // (n * 1048576)) * (case when is_local then 0 else rtt_us end) * 570 // 1000, bytes * 40 * 1000000 // 1250000000 + bytes * 40 * 1000000 // 500000000)::bigint fetch_us, row_number() over (partition by {Q.ND}
+ order by batch_seq, worker) turn from bt join hm using (epoch, node_id, worker, batch_seq), rg),
+ dl as (select *, (sum(fetch_us) over (partition by {Q.ND} order by turn))::bigint ready from f)"""
+    return f"""select * from (with recursive {head}, {Q.used_sql()}, e as (select regime, epoch, max(t) t, sum(near) near, sum(n) n
+ from (select regime, epoch, node_id, max(done) t, sum(case when is_local then n else 0 end) near, sum(n) n
+ from us group by all) group by all) select '{loader}' loader, regime, {_r('sum(near)', 'sum(n)')} local_share, sum(n)::bigint records, sum(t)::bigint modelled_us, {_W7_ENERGY}
+ from e group by all)"""
 
 
 _W7 = f"{_w7_sql('push_batch')} union all {_w7_sql('pull_pipeline')}"
@@ -259,7 +282,11 @@ def w09_equal_outcome(spark, d):
     return w09_outcome(spark, d).agg(F.countDistinct("accuracy").alias("outcomes"), F.countDistinct("energy_uj").alias("costs"))
 
 
-@query("decode_sync_async", f"with recursive {Q.push_sql(names=('lan', 'wan'))}, ds as (select *, n * {FEED.decode_us} decode_us, n * {FEED.step_us} step_us, row_number() over (partition by {Q.ND} order by turn) rn from dl), aw as (select *, ready + decode_us decoded, ready + decode_us + step_us apart, ready + decode_us + step_us together from ds where rn = 1 union all select x.*, greatest(p.decoded, x.ready) + x.decode_us, greatest(p.apart, greatest(p.decoded, x.ready) + x.decode_us) + x.step_us, greatest(p.together, x.ready) + x.decode_us + x.step_us from ds x join aw p on x.regime = p.regime and x.epoch = p.epoch and x.node_id = p.node_id and x.rn = p.rn + 1) select regime, epoch, node_id, max(apart) async_us, max(together) sync_us from aw group by all")
+@query("decode_sync_async", f"""with recursive {Q.push_sql(names=('lan', 'wan'))}, ds as (select *, n * {FEED.decode_us} decode_us, n * {FEED.step_us} step_us, row_number() over (partition by {Q.ND}
+ order by turn) rn from dl), aw as (select *, ready + decode_us decoded, ready + decode_us + step_us apart, ready + decode_us + step_us together
+ from ds where rn = 1 union all select x.*, greatest(p.decoded, x.ready) + x.decode_us, greatest(p.apart, greatest(p.decoded, x.ready) + x.decode_us) + x.step_us, greatest(p.together, x.ready) + x.decode_us + x.step_us
+ from ds x join aw p on x.regime = p.regime and x.epoch = p.epoch and x.node_id = p.node_id and x.rn = p.rn + 1)
+ select regime, epoch, node_id, max(apart) async_us, max(together) sync_us from aw group by all""")
 def decode_sync_async(spark, d):
     """Decoding beside the training step, or before it in the same loop."""
     b = L.push_batch(Q.batches(spark, d), regimes(spark, "lan", "wan"))
@@ -269,7 +296,11 @@ def decode_sync_async(spark, d):
     return both.groupBy("regime", "epoch", "node_id").agg(F.max("async_us").alias("async_us"), F.max("sync_us").alias("sync_us"))
 
 
-query("w10_scale_out", f"with {Q.base_sql('lineitem')}, k as (select *, row_number() over (order by shard_id) - 1 k from st), b as (select servers, k % servers server, sum(100 + bytes * 40 * 1000000 // 500000000)::bigint us from k, (values (1), (2), (4), (8)) t(servers) group by all), m as (select servers::bigint servers, max(us) t from b group by all) select servers, {_r('(select t from m where servers = 1)', 't')} speedup from m")(lambda spark, d: _w10(spark, d))
+query("w10_scale_out", f"""with {Q.base_sql('lineitem')}, k as (select *, row_number() over (order by shard_id) - 1 k
+ from st), b as (select servers, k % servers server, sum(100 + bytes * 40 * 1000000 // 500000000)::bigint us
+ from k, (values (1), (2), (4), (8)) t(servers) group by all), m as (select servers::bigint servers, max(us) t
+ from b group by all) select servers, {_r('(select t from m where servers = 1)', 't')} speedup
+ from m""")(lambda spark, d: _w10(spark, d))
 
 
 def _w10(spark, d) -> DataFrame:
@@ -280,7 +311,9 @@ def _w10(spark, d) -> DataFrame:
 
 _GRIDS = (1, 60, 1440)
 _W11 = " union all ".join(
-    f"select {m}::bigint delta_min, node_id, component, count(*) n_slots, sum(e)::bigint energy_uj from (select node_id, component, device, epoch_us(ts) // {m * 60_000_000}::bigint slot, ((sum(power_cw)::bigint * {m * 60_000_000}::bigint) // (count(*) * 100))::bigint e from (with {EQ.S} select * from samples) group by all) group by all"
+    f"""select {m}::bigint delta_min, node_id, component, count(*) n_slots, sum(e)::bigint energy_uj
+ from (select node_id, component, device, epoch_us(ts) // {m * 60_000_000}::bigint slot, ((sum(power_cw)::bigint * {m * 60_000_000}::bigint) // (count(*) * 100))::bigint e
+ from (with {EQ.S} select * from samples) group by all) group by all"""
     for m in _GRIDS
 )
 
@@ -311,7 +344,9 @@ PUBLISHED = (
 )
 
 
-@query("w13_audit", f"with p as (select * from (values {', '.join(str(x) for x in PUBLISHED)}) t(grp, regime, loader, s)) select a.grp, a.regime, a.loader, a.s::double as seconds, {_r('a.s', 'b.s')} over_push from p a join p b on a.grp = b.grp and a.regime = b.regime and b.loader = 'push_batch'")
+@query("w13_audit", f"""with p as (select * from (values {', '.join(str(x) for x in PUBLISHED)}) t(grp, regime, loader, s))
+ select a.grp, a.regime, a.loader, a.s::double as seconds, {_r('a.s', 'b.s')} over_push from p a
+ join p b on a.grp = b.grp and a.regime = b.regime and b.loader = 'push_batch'""")
 def w13_audit(spark, d):
     p = spark.createDataFrame(list(PUBLISHED), "grp string, regime string, loader string, seconds double")
     b = p.where("loader = 'push_batch'").select("grp", "regime", F.col("seconds").alias("_b"))
@@ -332,7 +367,8 @@ PUBLISHED_CUTS = (("sharded", "lan", 11.5, 2.5, 4.7), ("sharded", "lan_10", 13.5
 #: Claims of the summary, measure, factor.
 CLAIMS = (("time", 8.6), ("energy", 10.9), ("time", 13.0), ("energy", 8.0))
 
-_KJ = f"k as (select * from (values {', '.join(map(str, PUBLISHED_KJ))}) t(grp, regime, loader, cpu, dram, gpu)), a as (select p.*, s.cpu c2, s.dram d2, s.gpu g2 from k p join k s using (grp, regime) where p.loader = 'pull_pipeline' and s.loader = 'push_batch')"
+_KJ = f"""k as (select * from (values {', '.join(map(str, PUBLISHED_KJ))}) t(grp, regime, loader, cpu, dram, gpu)),
+ a as (select p.*, s.cpu c2, s.dram d2, s.gpu g2 from k p join k s using (grp, regime) where p.loader = 'pull_pipeline' and s.loader = 'push_batch')"""
 _CUTS = f"u as (select * from (values {', '.join(str(x).replace('None', 'null') for x in PUBLISHED_CUTS)}) t(grp, regime, cpu_printed, dram_printed, gpu_printed))"
 
 
@@ -342,7 +378,8 @@ def _published_kj(spark) -> DataFrame:
     return k.where("loader = 'pull_pipeline'").join(F.broadcast(own), ["grp", "regime"])
 
 
-@query("w13_audit_energy", f"with {_KJ}, {_CUTS} select grp, regime, {_r('cpu + dram + gpu', 'c2 + d2 + g2')} ratio, {_r('100 * (cpu - c2)', 'cpu')} cpu_cut, {_r('100 * (dram - d2)', 'dram')} dram_cut, {_r('100 * (gpu - g2)', 'gpu')} gpu_cut, cpu_printed::double cpu_printed, dram_printed::double dram_printed, gpu_printed::double gpu_printed, coalesce(abs(cpu_printed - 100 * (cpu - c2) / cpu) < 0.5 and abs(gpu_printed - 100 * (gpu - g2) / gpu) < 0.5, false) agrees from a left join u using (grp, regime)")
+@query("w13_audit_energy", f"""with {_KJ}, {_CUTS} select grp, regime, {_r('cpu + dram + gpu', 'c2 + d2 + g2')} ratio, {_r('100 * (cpu - c2)', 'cpu')} cpu_cut, {_r('100 * (dram - d2)', 'dram')} dram_cut, {_r('100 * (gpu - g2)', 'gpu')} gpu_cut, cpu_printed::double cpu_printed, dram_printed::double dram_printed, gpu_printed::double gpu_printed, coalesce(abs(cpu_printed - 100 * (cpu - c2) / cpu) < 0.5 and abs(gpu_printed - 100 * (gpu - g2) / gpu) < 0.5, false) agrees
+ from a left join u using (grp, regime)""")
 def w13_audit_energy(spark, d):
     """Cuts and ratios recomputed from the printed energies, beside the printed cuts."""
     u = spark.createDataFrame(list(PUBLISHED_CUTS), "grp string, regime string, cpu_printed double, dram_printed double, gpu_printed double")
@@ -354,7 +391,10 @@ def w13_audit_energy(spark, d):
     return a.select("grp", "regime", total.alias("ratio"), *cuts, "cpu_printed", "dram_printed", "gpu_printed", F.coalesce(near("cpu_printed", "cpu", "c2") & near("gpu_printed", "gpu", "g2"), F.lit(False)).alias("agrees"))
 
 
-@query("w13_headlines", f"with {_KJ}, p as (select * from (values {', '.join(map(str, PUBLISHED))}) t(grp, regime, loader, s)), m as (select 'time' measure, max(x.s / y.s)::double most from p x join p y on x.grp = y.grp and x.regime = y.regime and y.loader = 'push_batch' union all select 'energy', max((cpu + dram + gpu) / (c2 + d2 + g2))::double from a) select measure, claimed::double claimed, floor(most * 1e6 + 0.5) / 1e6 most_printed, most >= claimed supported from (values {', '.join(map(str, CLAIMS))}) c(measure, claimed) join m using (measure)")
+@query("w13_headlines", f"""with {_KJ}, p as (select * from (values {', '.join(map(str, PUBLISHED))}) t(grp, regime, loader, s)),
+ m as (select 'time' measure, max(x.s / y.s)::double most from p x join p y on x.grp = y.grp and x.regime = y.regime and y.loader = 'push_batch'
+ union all select 'energy', max((cpu + dram + gpu) / (c2 + d2 + g2))::double from a) select measure, claimed::double claimed, floor(most * 1e6 + 0.5) / 1e6 most_printed, most >= claimed supported
+ from (values {', '.join(map(str, CLAIMS))}) c(measure, claimed) join m using (measure)""")
 def w13_headlines(spark, d):
     """Claimed factors against the largest that the printed tables give."""
     p = spark.createDataFrame(list(PUBLISHED), "grp string, regime string, loader string, s double")
@@ -366,7 +406,10 @@ def w13_headlines(spark, d):
     return j.select("measure", "claimed", rounded(F.col("most")).alias("most_printed"), (F.col("most") >= F.col("claimed")).alias("supported"))
 
 
-@query("trace_from_busy", "with recursive " + Q.push_sql(names=("wan",)) + ", " + Q.used_sql() + ", b as (select epoch * 10 + node_id node_id, done - n * 1500 s, done e from us), x as (select node_id, k slot, sum(least(e, (k + 1) * 100000) - greatest(s, k * 100000))::bigint u from b, range(0, 100000) t(k) where k >= s // 100000 and k <= (e - 1) // 100000 group by all) select node_id, slot, (60 * 100000 + 5 * u)::bigint cpu_uj, (5 * 100000 + 2 * u)::bigint dram_uj, (60 * 100000 + 107 * u)::bigint gpu_uj from x")
+@query("trace_from_busy", "with recursive " + Q.push_sql(names=("wan",)) + ", " + Q.used_sql() + """, b as (select epoch * 10 + node_id node_id, done - n * 1500 s, done e from us), x as (select node_id, k slot, sum(least(e, (k + 1) * 100000) - greatest(s, k * 100000))::bigint u
+ from b, range(0, 100000) t(k) where k >= s // 100000 and k <= (e - 1) // 100000 group by all)
+ select node_id, slot, (60 * 100000 + 5 * u)::bigint cpu_uj, (5 * 100000 + 2 * u)::bigint dram_uj, (60 * 100000 + 107 * u)::bigint gpu_uj
+ from x""")
 def trace_from_busy(spark, d):
     done = L.consumed(L.push_batch(Q.batches(spark, d), regimes(spark, "wan")))
     busy = done.select((F.col("epoch") * 10 + F.col("node_id")).alias("node_id"), (F.col("done") - F.col("n") * FEED.step_us).alias("start_us"), F.col("done").alias("end_us"))
@@ -374,10 +417,16 @@ def trace_from_busy(spark, d):
 
 
 # --- streams ----------------------------------------------------------------------
-_WIN = "with {s} select node_id, component, device, time_bucket(interval '1 hour', ts) start_ts, time_bucket(interval '1 hour', ts) + interval '1 hour' end_ts, sum(power_cw)::bigint total_cw, count(*) n from samples group by all"
+_WIN = """with {s} select node_id, component, device, time_bucket(interval '1 hour', ts) start_ts, time_bucket(interval '1 hour', ts) + interval '1 hour' end_ts, sum(power_cw)::bigint total_cw, count(*) n
+ from samples group by all"""
 query("stream_tick_energy", _WIN.format(s=EQ.S))(lambda spark, d: S.run_once(S.tick_energy(S.sample_stream(spark, d)), "complete"))
-query("stream_sliding_power", f"with {EQ.S}, b as (select node_id, power_cw, time_bucket(interval '1 hour', ts) - k * interval '1 hour' start_ts from samples, range(0, 6) t(k)) select node_id, start_ts, start_ts + interval '6 hours' end_ts, sum(power_cw)::bigint total_cw, count(*) n from b group by all")(lambda spark, d: S.run_once(S.sliding_power(S.sample_stream(spark, d)), "complete"))
-query("stream_sessions", f"with {EQ.S}, g as (select *, case when ts - lag(ts) over (partition by node_id order by ts) < interval '30 minutes' then 0 else 1 end f from samples), s as (select *, sum(f) over (partition by node_id order by ts rows unbounded preceding) k from g) select node_id, min(ts) start_ts, max(ts) + interval '30 minutes' end_ts, count(*) n from s group by node_id, k")(lambda spark, d: S.run_once(S.sessions(S.sample_stream(spark, d)), "complete"))
+query("stream_sliding_power", f"""with {EQ.S}, b as (select node_id, power_cw, time_bucket(interval '1 hour', ts) - k * interval '1 hour' start_ts
+ from samples, range(0, 6) t(k)) select node_id, start_ts, start_ts + interval '6 hours' end_ts, sum(power_cw)::bigint total_cw, count(*) n
+ from b group by all""")(lambda spark, d: S.run_once(S.sliding_power(S.sample_stream(spark, d)), "complete"))
+query("stream_sessions", f"""with {EQ.S}, g as (select *, case when ts - lag(ts) over (partition by node_id order by ts) < interval '30 minutes' then 0 else 1 end f
+ from samples), s as (select *, sum(f) over (partition by node_id order by ts rows unbounded preceding) k
+ from g) select node_id, min(ts) start_ts, max(ts) + interval '30 minutes' end_ts, count(*) n
+ from s group by node_id, k""")(lambda spark, d: S.run_once(S.sessions(S.sample_stream(spark, d)), "complete"))
 query("stream_send_receipt_join", "select s.user_id % 4 node_id, s.event_id send_id, r.event_id receipt_id from events s join events r on s.user_id % 4 = r.user_id % 4 and s.event_type = 'view' and r.event_type = 'click' and r.ts >= s.ts and r.ts < s.ts + interval '1 hour'")(lambda spark, d: S.run_once(S.send_receipt(S.event_stream(spark, d)), "append"))
 query("stream_dedup", "select event_id, event_type from events")(lambda spark, d: S.run_once(S.deduplicated(S.event_stream(spark, d)), "append"))
 
@@ -386,7 +435,8 @@ _CLOSED = """e as (select node_id, slot, e v from c where component = 'cpu' and
 n as (select *, lead(slot) over w s2, lead(v) over w v2 from e window w as (partition by node_id order by slot))"""
 
 
-@query("stream_interpolate", f"with {EQ.C}, {_CLOSED} select node_id, slot + k slot, ((v * (coalesce(s2, slot + 1) - slot) + (coalesce(v2, v) - v) * k) // (coalesce(s2, slot + 1) - slot))::bigint cpu_uj, k > 0 filled from n, range(0, 100000) t(k) where k < coalesce(s2, slot + 1) - slot")
+@query("stream_interpolate", f"""with {EQ.C}, {_CLOSED} select node_id, slot + k slot, ((v * (coalesce(s2, slot + 1) - slot) + (coalesce(v2, v) - v) * k) // (coalesce(s2, slot + 1) - slot))::bigint cpu_uj, k > 0 filled
+ from n, range(0, 100000) t(k) where k < coalesce(s2, slot + 1) - slot""")
 def stream_interpolate(spark, d):
     """The stream's filled ticks, which the batch form over the closed ticks must equal."""
     with S.rocksdb_state(spark):

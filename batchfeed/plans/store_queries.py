@@ -56,7 +56,10 @@ def shards_roundtrip(spark, d):
     return framed.read_blocks(blocks, folder).select("epoch", "shard_id", "ordinal", "label", F.md5("body").alias("digest"))
 
 
-@query("block_reads", f"with {Q.plan_sql(scope='worker')} select epoch::bigint epoch, sum(pl.n)::bigint records, sum(size)::bigint bytes from pl join (select pl.epoch e2, pl.shard_id s2, first_ordinal f2, sum(size + 16) size from pl join ix on pl.shard_id = ix.shard_id and ordinal >= first_ordinal and ordinal < first_ordinal + pl.n group by all) on epoch = e2 and shard_id = s2 and first_ordinal = f2 group by all")
+@query("block_reads", f"""with {Q.plan_sql(scope='worker')} select epoch::bigint epoch, sum(pl.n)::bigint records, sum(size)::bigint bytes
+ from pl join (select pl.epoch e2, pl.shard_id s2, first_ordinal f2, sum(size + 16) size from pl
+ join ix on pl.shard_id = ix.shard_id and ordinal >= first_ordinal and ordinal < first_ordinal + pl.n
+ group by all) on epoch = e2 and shard_id = s2 and first_ordinal = f2 group by all""")
 def block_reads(spark, d):
     """Records and bytes of the blocks that a plan reads."""
     _, index = stored_shards(spark, d)
@@ -119,21 +122,26 @@ def sink_local_and_central(spark, d):
 
 
 # --- scans, joins, aggregates -----------------------------------------------------
-@query("filter_time_component", f"with {EQ.S} select node_id, component, count(*) n, max(power_cw) peak_cw from samples where ts >= timestamp '2024-01-05' and ts < timestamp '2024-01-12' and component in ('cpu', 'dram') group by all")
+@query("filter_time_component", f"""with {EQ.S} select node_id, component, count(*) n, max(power_cw) peak_cw from samples where ts >= timestamp '2024-01-05' and ts < timestamp '2024-01-12' and component in ('cpu', 'dram')
+ group by all""")
 def filter_time_component(spark, d):
     """Filters on time and component; the one on time reaches the scan, and so does that on component, as event types."""
     s = samples(spark, d).where("ts >= TIMESTAMP_NTZ '2024-01-05' AND ts < TIMESTAMP_NTZ '2024-01-12' AND component IN ('cpu', 'dram')")
     return s.groupBy("node_id", "component").agg(F.count("*").alias("n"), F.max("power_cw").alias("peak_cw"))
 
 
-@query("join_broadcast_nodes", f"with {EQ.S} select site, role, component, count(*) n, sum(power_cw)::bigint total_cw from samples join (values (0, 'compute', 'site-1'), (1, 'compute', 'site-1'), (2, 'compute', 'site-2'), (3, 'storage', 'site-1')) n(node_id, role, site) using (node_id) group by all")
+@query("join_broadcast_nodes", f"""with {EQ.S} select site, role, component, count(*) n, sum(power_cw)::bigint total_cw from samples
+ join (values (0, 'compute', 'site-1'), (1, 'compute', 'site-1'), (2, 'compute', 'site-2'), (3, 'storage', 'site-1')) n(node_id, role, site) using (node_id)
+ group by all""")
 def join_broadcast_nodes(spark, d):
     """Samples with their nodes; the node table is broadcast as long as it is counted to be small."""
     j = with_small(samples(spark, d), nodes(spark), "node_id")
     return j.groupBy("site", "role", "component").agg(F.count("*").alias("n"), F.sum("power_cw").alias("total_cw"))
 
 
-@query("udaf_trapezoid", f"with {EQ.S}, p as (select *, lag(ts) over w t0, lag(power_cw) over w p0 from samples window w as (partition by node_id, component, device, epoch_us(ts) // 86400000000 order by ts)) select node_id, component, device, epoch_us(ts) // 86400000000 as day, coalesce(sum((epoch_us(ts) - epoch_us(t0)) * (power_cw + p0)), 0)::bigint twice_cw_us from p group by all")
+@query("udaf_trapezoid", f"""with {EQ.S}, p as (select *, lag(ts) over w t0, lag(power_cw) over w p0 from samples window w as (partition by node_id, component, device, epoch_us(ts) // 86400000000
+ order by ts)) select node_id, component, device, epoch_us(ts) // 86400000000 as day, coalesce(sum((epoch_us(ts) - epoch_us(t0)) * (power_cw + p0)), 0)::bigint twice_cw_us
+ from p group by all""")
 def udaf_trapezoid(spark, d):
     """The integral of each channel's power over a day by an aggregate of its own; a group is one channel's day."""
     s = samples(spark, d).withColumn("t_us", micros(F.col("ts"))).withColumn("day", div(F.col("t_us"), DAY_US))
