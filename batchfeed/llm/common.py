@@ -6,6 +6,7 @@ it cuts at exactly those six bytes; `bytes.lower()` changes A-Z alone.
 
 from __future__ import annotations
 
+import contextlib
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -13,7 +14,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
 ASCII_SPACE = " \t\n\x0b\x0c\r"
 
@@ -37,25 +38,50 @@ def shared_dir(spark: SparkSession) -> str:
     return base.rstrip("/")
 
 
+_MADE: list[str] = []
+
+
 def new_path(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder."""
-    return f"{shared_dir(spark)}/batchfeed-{label}-{uuid.uuid4().hex}"
+    """A fresh path in the shared folder; `scratch` removes what was made inside it."""
+    path = f"{shared_dir(spark)}/batchfeed-{label}-{uuid.uuid4().hex}"
+    _MADE.append(path)
+    return path
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
+@contextlib.contextmanager
+def scratch(spark: SparkSession):
+    """Remove, at its end, the folders that operators made inside, but for those that `keep` names.
+
+    For callers that have written an operator's result; yields keep(path).
+    """
+    first, kept = len(_MADE), set()
+    try:
+        yield kept.add
+    finally:
+        mine = [p for p in _MADE[first:] if p not in kept]
+        del _MADE[first:]
+        conf = spark._jsparkSession.sessionState().newHadoopConf()
+        for p in mine:
+            path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(p)
+            path.getFileSystem(conf).delete(path, True)
+
+
+def written(df: DataFrame, label: str, path: str | None = None) -> DataFrame:
     """Write df to the shared folder as Parquet and read it back, which cuts its lineage."""
-    spark, path = df.sparkSession, new_path(df.sparkSession, label)
+    spark, path = df.sparkSession, path or new_path(df.sparkSession, label)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
-def input_bytes(df: DataFrame) -> int:
-    """Catalyst's estimate of df's size, from file sizes; it only sets partition counts."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+def input_bytes(df: DataFrame, column: str = "text") -> int:
+    """Catalyst's estimate of df's size, from file sizes; where it has none or multiplies joined sizes, the measured bytes of `column`."""
+    plan = df._jdf.queryExecution().optimizedPlan()
+    estimate = int(str(plan.stats().sizeInBytes()))
+    return estimate if estimate < 1 << 60 and "Join" not in plan.toString() else int(df.agg(F.sum(F.octet_length(column).cast("long"))).first()[0] or 0)
 
 
 def partitions_for(df: DataFrame, bytes_each: int, least: int = 1) -> int:
-    return int(max(least, -(-input_bytes(df) // bytes_each)))
+    return max(least, -(-input_bytes(df) // bytes_each))
 
 
 def free_name(df: DataFrame, name: str) -> str:

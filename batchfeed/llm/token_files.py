@@ -17,6 +17,7 @@ rows of a repeated doc_id are written one after the other; an empty table writes
 
 from __future__ import annotations
 
+import gc
 import json
 import os
 import posixpath
@@ -52,22 +53,12 @@ def scaled(counts: np.ndarray, total: int = 1 << SCALE) -> np.ndarray:
     return f
 
 
-def encode_file(ids: np.ndarray, doc_ids: list[int | None], doc_tokens: list[int]) -> bytes:
-    """A file of the given ids (not empty) of the given documents."""
-    counts = np.bincount(ids)
-    symbols = np.flatnonzero(counts)
-    freqs = scaled(counts[symbols])
-    freq, start = np.zeros(len(counts), np.uint64), np.zeros(len(counts), np.uint64)
-    freq[symbols] = freqs
-    start[symbols] = np.cumsum(freqs) - freqs
-    n_blocks = -(-len(ids) // BLOCK_TOKENS)
-    steps = BLOCK_TOKENS // LANES if n_blocks > 1 else -(-len(ids) // LANES)
-    padded = np.full(n_blocks * steps * LANES, symbols[freqs.argmax()], ids.dtype)
-    padded[: len(ids)] = ids
-    grid = padded.reshape(n_blocks, steps, LANES)
+def _coded(grid: np.ndarray, freq: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Lane states, code words and numbers of words of blocks of tokens, grid(block, step, lane)."""
+    n_blocks, steps, _ = grid.shape
     x = np.full((n_blocks, LANES), _LOW)
-    out = np.zeros((n_blocks, steps, LANES), np.uint32)
-    sent = np.zeros((n_blocks, steps, LANES), bool)
+    out = np.zeros(grid.shape, np.uint32)
+    sent = np.zeros(grid.shape, bool)
     scale, word, room = np.uint64(SCALE), np.uint64(32), np.uint64(63 - SCALE)
     for s in range(steps - 1, -1, -1):
         t = grid[:, s]
@@ -78,27 +69,48 @@ def encode_file(ids: np.ndarray, doc_ids: list[int | None], doc_tokens: list[int
         x = np.where(full, x >> word, x)
         q = x // f
         x = (q << scale) + (x - q * f) + start[t]
-    lengths = np.full(n_blocks, steps * LANES)
-    lengths[-1] = len(ids) - (n_blocks - 1) * steps * LANES
+    return x.ravel(), out[sent], sent.sum((1, 2))
+
+
+def encode_file(ids: np.ndarray, doc_ids: list[int | None], doc_tokens: list[int], group: int = 32) -> bytes:
+    """A file of the given ids (not empty) of the given documents; `group` blocks are coded at a time."""
+    counts = np.bincount(ids)
+    symbols = np.flatnonzero(counts)
+    freqs = scaled(counts[symbols])
+    freq, start = np.zeros(len(counts), np.uint64), np.zeros(len(counts), np.uint64)
+    freq[symbols] = freqs
+    start[symbols] = np.cumsum(freqs) - freqs
+    n_blocks = -(-len(ids) // BLOCK_TOKENS)
+    steps = BLOCK_TOKENS // LANES if n_blocks > 1 else -(-len(ids) // LANES)
+    size = steps * LANES
+    coded = []
+    for at in range(0, n_blocks, group):
+        mine = ids[at * size : (at + group) * size]
+        padded = np.full(-(-len(mine) // size) * size, symbols[freqs.argmax()], ids.dtype)
+        padded[: len(mine)] = mine
+        coded.append(_coded(padded.reshape(-1, steps, LANES), freq, start))
+    states, words, sent = (np.concatenate(c) for c in zip(*coded, strict=True))
+    lengths = np.full(n_blocks, size)
+    lengths[-1] = len(ids) - (n_blocks - 1) * size
     ends = np.cumsum(lengths)
-    raw = ids.astype("<u4")
     parts = {
         "symbols": symbols, "freqs": freqs, "doc_ids": [0 if i is None else i for i in doc_ids], "doc_null": [i is None for i in doc_ids], "doc_tokens": doc_tokens,
-        "block_tokens": lengths, "block_words": sent.sum((1, 2)), "block_crc": [zlib.crc32(raw[b - a : b].tobytes()) for a, b in zip(lengths, ends, strict=True)],
-        "states": x.ravel(), "words": out[sent],
+        "block_tokens": lengths, "block_words": sent, "block_crc": [zlib.crc32(ids[b - a : b].astype("<u4").tobytes()) for a, b in zip(lengths, ends, strict=True)],
+        "states": states, "words": words,
     }
     data = [np.asarray(parts[k], kind).tobytes() for k, kind in SECTIONS]
     head = json.dumps({"lanes": LANES, "scale": SCALE, "steps": steps, "sizes": [len(d) for d in data]}).encode()
     return MAGIC + struct.pack("<I", len(head)) + head + b"".join(data)
 
 
-def decode_file(data: bytes, only: list[int] | None = None) -> tuple[np.ndarray, list[int | None], np.ndarray]:
-    """ids, doc_ids and tokens per document of a file; only: ids of these blocks alone."""
+def decode_file(data: bytes | pa.Buffer, only: list[int] | None = None, group: int = 32) -> tuple[np.ndarray, list[int | None], np.ndarray]:
+    """ids, doc_ids and tokens per document of a file; only: ids of these blocks alone. `group` blocks are decoded at a time."""
+    data = memoryview(data)
     if data[: len(MAGIC)] != MAGIC:
         raise ValueError("not a token file")
     size = struct.unpack_from("<I", data, len(MAGIC))[0]
     at = len(MAGIC) + 4
-    head = json.loads(data[at : at + size])
+    head = json.loads(bytes(data[at : at + size]))
     at += size
     part = {}
     for (name, kind), n in zip(SECTIONS, head["sizes"], strict=True):
@@ -108,29 +120,35 @@ def decode_file(data: bytes, only: list[int] | None = None) -> tuple[np.ndarray,
     slot_of = np.repeat(np.arange(len(freqs), dtype=np.uint32), freqs)
     freq, start = freqs.astype(np.uint64), (np.cumsum(freqs) - freqs).astype(np.uint64)
     lanes, steps, scale = head["lanes"], head["steps"], np.uint64(head["scale"])
+    first = np.cumsum(part["block_words"].astype(np.int64)) - part["block_words"]
+    words, mask = part["words"], np.uint64((1 << head["scale"]) - 1)
     chosen = np.arange(len(part["block_tokens"])) if only is None else np.asarray(only)
-    pointer = (np.cumsum(part["block_words"].astype(np.int64)) - part["block_words"])[chosen]
-    words = np.concatenate([part["words"], np.zeros(1, np.uint32)]).astype(np.uint64)
-    x = part["states"].reshape(-1, lanes)[chosen].copy()
-    grid = np.empty((len(chosen), steps, lanes), np.uint32)
-    mask = np.uint64((1 << head["scale"]) - 1)
-    for s in range(steps):
-        low = x & mask
-        t = slot_of[low.astype(np.int64)]
-        grid[:, s] = t
-        x = freq[t] * (x >> scale) + low - start[t]
-        need = x < _LOW
-        order = np.cumsum(need, axis=1)
-        where = np.minimum(pointer[:, None] + order - 1, len(words) - 1)
-        x = np.where(need, (x << np.uint64(32)) | words[where], x)
-        pointer = pointer + order[:, -1]
-    flat = part["symbols"][grid.reshape(len(chosen), -1)]
-    rows = [flat[i, : part["block_tokens"][b]] for i, b in enumerate(chosen)]
-    for b, row in zip(chosen, rows, strict=True):
-        if zlib.crc32(row.astype("<u4").tobytes()) != part["block_crc"][b]:
-            raise ValueError(f"block {b} is damaged")
+    out = np.empty(int(part["block_tokens"][chosen].sum()), np.uint32)
+    done = 0
+    for at in range(0, len(chosen), group):
+        mine = chosen[at : at + group]
+        pointer = first[mine]
+        x = part["states"].reshape(-1, lanes)[mine].copy()
+        grid = np.empty((len(mine), steps, lanes), np.uint32)
+        for s in range(steps):
+            low = x & mask
+            t = slot_of[low.astype(np.int64)]
+            grid[:, s] = t
+            x = freq[t] * (x >> scale) + low - start[t]
+            need = x < _LOW
+            order = np.cumsum(need, axis=1)
+            where = np.minimum(pointer[:, None] + order - 1, len(words) - 1)
+            x = np.where(need, (x << np.uint64(32)) | (words[where] if len(words) else np.uint64(0)), x)
+            pointer = pointer + order[:, -1]
+        for i, b in enumerate(mine):
+            n = int(part["block_tokens"][b])
+            row = part["symbols"][grid[i].ravel()[:n]]
+            if zlib.crc32(row.astype("<u4").tobytes()) != part["block_crc"][b]:
+                raise ValueError(f"block {b} is damaged")
+            out[done : done + n] = row
+            done += n
     doc_ids = [None if z else int(i) for i, z in zip(part["doc_ids"], part["doc_null"], strict=True)]
-    return np.concatenate(rows) if rows else np.zeros(0, np.uint32), doc_ids, part["doc_tokens"].astype(np.int64)
+    return out, doc_ids, part["doc_tokens"].astype(np.int64)
 
 
 class CachedTokenizer:
@@ -147,7 +165,7 @@ class CachedTokenizer:
     _ODD = r"\A | \z|  | \n|\n |\n\n\n|\n\n\z|[\t\x0b\x0c\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
     _MARKS = ".,;:!?|*#$%&)"
 
-    def __init__(self, path: str, limit: int = 700_000):
+    def __init__(self, path: str, limit: int = 650_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core; idle threads would spin
         from tokenizers import Tokenizer
 
@@ -264,6 +282,13 @@ def tokenizer(path: str) -> CachedTokenizer:
     return _TOKENIZERS[path]
 
 
+def drop_tokenizers() -> None:
+    """Free what the worker has cached; for tasks that come after the encoding."""
+    if _TOKENIZERS:
+        _TOKENIZERS.clear()
+        gc.collect()
+
+
 def write_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int = 0, file_tokens: int = 4 << 20, partition_bytes: int = 12 << 20) -> DataFrame:
     """Encode docs(doc_id, text) into files in folder, in ascending doc_id order.
 
@@ -304,25 +329,28 @@ def write_files(docs: DataFrame, folder: str, tokenizer_path: str, end_id: int =
 
 
 def read_files(files: DataFrame, folder: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32, ids of the documents in the files that write_files listed.
+    """doc_id, start, n_tokens, ids_crc32 of the documents in the files that write_files listed.
 
-    files has one row a file, which is all that is broadcast and put in one order.
+    Places within the files are found first; the narrow rows, not the files, are then joined
+    with the files' own places, which also leaves out files that failed attempts wrote. Only the list of
+    files, one row each, is put in one order.
     """
     before = F.sum("tokens").over(W.orderBy("part", "serial").rowsBetween(W.unboundedPreceding, -1))
     placed = files.select("name", F.coalesce(before, F.lit(0)).cast("long").alias("offset"))
     listed = files.sparkSession.read.format("binaryFile").load(folder).select(F.element_at(F.split("path", "/"), -1).alias("name"), "content")
-    found = listed.join(F.broadcast(placed), "name").select("offset", "content")
 
     def run(rows):
+        drop_tokenizers()
         for batch in rows:
-            for offset, data in zip(batch["offset"].to_pylist(), batch["content"].to_pylist(), strict=True):
-                ids, doc_ids, sizes = decode_file(data)
+            for name, data in zip(batch["name"], batch["content"], strict=True):
+                ids, doc_ids, sizes = decode_file(data.as_buffer())
                 ends = np.cumsum(sizes)
-                raw = ids.astype("<u4").tobytes()
+                raw = memoryview(ids.astype("<u4", copy=False)).cast("B")
                 crc = [zlib.crc32(raw[4 * (z - n) : 4 * z]) for z, n in zip(ends.tolist(), sizes.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(doc_ids, pa.int64()), pa.array(offset + ends - sizes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+                yield pa.RecordBatch.from_arrays([pa.array([name.as_py()] * len(crc), pa.string()), pa.array(doc_ids, pa.int64()), pa.array(ends - sizes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(crc, pa.int64())], ["name", "doc_id", "at", "n_tokens", "ids_crc32"])
 
-    return found.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    found = listed.mapInArrow(run, "name string, doc_id long, at long, n_tokens long, ids_crc32 long")
+    return found.join(placed, "name").select("doc_id", (F.col("offset") + F.col("at")).alias("start"), "n_tokens", "ids_crc32")
 
 
 def round_trip(docs: DataFrame, tokenizer_path: str, folder: str | None = None, **options) -> DataFrame:

@@ -113,11 +113,29 @@ def revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     return heads.groupBy("digest").agg(F.max("page_id").alias("head"), F.count("*").alias("n")).where("n > 1 AND head IS NOT NULL").select("digest", "head")
 
 
-def write_archives(pages: DataFrame, folder: str, least_bytes: int = 0, file_bytes: int = 8 << 20) -> DataFrame:
-    """Write pages(page_id, url, html) under folder; returns a row (path, records) per archive."""
+def with_heads(pages: DataFrame, least_bytes: int = 0, broadcast_rows: int = 500_000, salts: int = 64) -> DataFrame:
+    """page_id, url, payload and head: the response's page_id where the payload occurs more than once.
+
+    The list of repeated payloads is narrow: a digest and an id. It is broadcast if counted to
+    have at most broadcast_rows rows (of some 80 bytes), so that payloads stay where they are. Beyond that,
+    it is repeated under `salts` numbers and hashed, so that a payload that very many pages
+    share is spread and no payload is sorted.
+    """
     payload = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     own = pages.select("page_id", "url", payload.alias("payload"), F.sha1(payload).alias("digest"))
-    full = own.join(revisits(pages, least_bytes), "digest", "left").select("page_id", "url", "payload", "head")
+    heads = written(revisits(pages, least_bytes), "heads")
+    if heads.count() <= broadcast_rows:
+        full = own.join(F.broadcast(heads), "digest", "left")
+    else:
+        spread = heads.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+        salt = F.pmod(F.xxhash64("page_id", "url"), F.lit(salts)).cast("int")
+        full = own.withColumn("salt", salt).join(spread.hint("shuffle_hash"), ["digest", "salt"], "left")
+    return full.select("page_id", "url", "payload", "head")
+
+
+def write_archives(pages: DataFrame, folder: str, least_bytes: int = 0, file_bytes: int = 8 << 20, broadcast_rows: int = 500_000) -> DataFrame:
+    """Write pages(page_id, url, html) under folder; returns a row (path, records) per archive."""
+    full = with_heads(pages, least_bytes, broadcast_rows)
 
     def run(rows):
         import contextlib
@@ -183,9 +201,14 @@ def read_records(spark, paths: DataFrame, folder: str, with_payload: bool = True
                 for i in range(0, len(out), 2000):
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out[i : i + 2000]), types, strict=True)], list(names))
 
-    listed = spark.read.format("binaryFile").load(folder).select("path", "content")
+    listed = spark.read.format("binaryFile").load(folder).select(F.element_at(F.split("path", "/"), -1).alias("_name"), "content")
     wanted = paths.select(F.element_at(F.split("path", "/"), -1).alias("_name")).distinct()
-    return listed.withColumn("_name", F.element_at(F.split("path", "/"), -1)).join(F.broadcast(wanted), "_name", "left_semi").select("content").mapInArrow(run, schema)
+    # left by failed attempts: few or none, found by names alone
+    stray = written(listed.select("_name").join(wanted, "_name", "left_anti"), "stray")
+    n = stray.count()
+    if n:
+        listed = listed.join(F.broadcast(stray) if n <= 100_000 else stray.hint("shuffle_hash"), "_name", "left_anti")
+    return listed.select("content").mapInArrow(run, schema)
 
 
 def assemble(records: DataFrame) -> DataFrame:
@@ -209,11 +232,11 @@ def assemble(records: DataFrame) -> DataFrame:
     )
 
 
-def round_trip(pages: DataFrame, least_bytes: int = 0, with_payload: bool = True) -> DataFrame:
+def round_trip(pages: DataFrame, least_bytes: int = 0, with_payload: bool = True, broadcast_rows: int = 500_000) -> DataFrame:
     """Write pages as archives in the shared folder, read them back and assemble the captures."""
     spark = pages.sparkSession
     folder = new_path(spark, "warc")
-    archives = written(write_archives(pages, folder, least_bytes), "archives")
+    archives = written(write_archives(pages, folder, least_bytes, broadcast_rows=broadcast_rows), "archives")
     if archives.isEmpty():
         return assemble(spark.createDataFrame([], "type string, record_id string, concurrent_to array<string>, url string, page_id long, refers_to long, payload_bytes long, payload_digest string, body binary"))
     return assemble(written(read_records(spark, archives, folder, with_payload), "records"))

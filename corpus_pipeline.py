@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from batchfeed.llm import decontaminate, mixing, quality_rules, simhash, token_files
-from batchfeed.llm.common import table, written
+from batchfeed.llm.common import new_path, scratch, table, written
 from batchfeed.llm.queries import vocabulary_path
 
 
@@ -58,8 +58,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the documents table."""
+    """All stages over the documents table; what a stage stored on its way is removed once its result is written."""
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = written(stage(spark, docs, sf_dir), name)
+        with scratch(spark) as keep:
+            path = new_path(spark, name)
+            keep(path)
+            docs = written(stage(spark, docs, sf_dir), name, path)
     return docs

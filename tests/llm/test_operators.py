@@ -535,8 +535,14 @@ def test_flight_keeps_the_totals():
 def test_warc(spark):
     pages = [(1, "http://a/", "x"), (2, "http://b/", "x"), (3, None, None), (None, "http://c/\n", "y"), (4, "http://d/", "x"), (5, "http://e/", "ü" * 50)]
     df = spark.createDataFrame([(*p, 1) for p in pages], "page_id long, url string, html string, refers_to int")
-    out = warc.round_trip(df).collect()
-    got = {r.page_id: r for r in out}
+    for most in (500_000, 0):  # the list of repeated payloads broadcast or not
+        out = warc.round_trip(df, broadcast_rows=most).collect()
+        got = {r.page_id: r for r in out}
+        assert {i: r.refers_to for i, r in got.items()} == {1: 4, 2: 4, 3: None, None: None, 4: None, 5: None}
+    twice = warc.round_trip(df.union(df)).collect()
+    assert Counter((r.page_id, r.record_type, r.refers_to) for r in twice) == Counter((i, r.record_type, r.refers_to) for i, r in got.items() for _ in (0, 1))
+    long = spark.createDataFrame([(1, "http://l/" + "p" * 5000, "z" * 3_000_000)], "page_id long, url string, html string")
+    assert warc.round_trip(long).first().payload_bytes == 3_000_000
     assert len(out) == len(pages) and got[4].record_type == "response" and got[1].refers_to == 4 and got[2].record_type == "revisit"
     for i, _, html in pages:
         body = (html or "").encode()
