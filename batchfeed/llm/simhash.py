@@ -157,7 +157,7 @@ def keep_first(docs: DataFrame, broadcast_rows: int = 1_000_000, **options) -> D
     """
     found = written(clustered(docs, **options).select("doc_id", "text_hash", "root"), "clusters")
     rank = F.struct(F.coalesce("doc_id", F.lit(_NONE)).alias("i"), F.col("doc_id").isNull().alias("z"), F.col("text_hash").alias("h"))
-    several = found.groupBy("root").agg(F.min(rank).alias("least"), F.count("*").alias("n")).where("n > 1").drop("n")
+    several = written(found.groupBy("root").agg(F.min(rank).alias("least"), F.count("*").alias("n")).where("n > 1").drop("n"), "several")
     member = found.join(several, "root").withColumn("rank", rank)
     gone = written(member.where("rank != least").select("doc_id", "text_hash").distinct(), "gone")
     again = member.where("rank = least").groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "text_hash")
