@@ -15,7 +15,7 @@ def spark(tmp_path_factory):
     from batchfeed.session import local_session
 
     base = tmp_path_factory.mktemp("spark")
-    s = local_session(4, "4g", **{"spark.sql.warehouse.dir": f"file://{base}/warehouse", "spark.checkpoint.dir": f"file://{base}/shared", "spark.ui.showConsoleProgress": "false"})
+    s = local_session(8, "4g", **{"spark.sql.warehouse.dir": f"file://{base}/warehouse", "spark.checkpoint.dir": f"file://{base}/shared", "spark.ui.showConsoleProgress": "false", "spark.sql.shuffle.partitions": "2"})
     s.sparkContext.setLogLevel("ERROR")
     yield s
     s.stop()

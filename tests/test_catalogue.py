@@ -6,6 +6,7 @@ import glob
 import os
 import random
 import struct
+from concurrent.futures import ThreadPoolExecutor
 
 import duckdb
 import numpy as np
@@ -44,12 +45,6 @@ def tables():
     return con
 
 
-@pytest.mark.parametrize("name", sorted(ORACLES))
-def test_oracle(spark, tables, name):
-    got, want = QUERIES[name](spark, DATA).toPandas(), tables.execute(ORACLES[name]).df()
-    assert sorted(got.columns) == sorted(want.columns) and rows(got) == rows(want)
-
-
 def test_every_query_has_a_callable():
     assert set(ORACLES) <= set(QUERIES) and len(QUERIES) > 100
 
@@ -266,3 +261,17 @@ def test_streams_read_folders_and_overlapping_files(spark, tmp_path):
         for n in names:
             got = rows(QUERIES[n](spark, f"{tmp_path}/{layout}").toPandas())
             assert got and got == want[n]
+
+
+@pytest.fixture(scope="module")
+def answers(spark):
+    """Results of the queries, several at a time."""
+    with ThreadPoolExecutor(6) as pool:
+        yield {n: pool.submit(lambda n=n: QUERIES[n](spark, DATA).toPandas()) for n in sorted(ORACLES)}
+        pool.shutdown(cancel_futures=True)
+
+
+@pytest.mark.parametrize("name", sorted(ORACLES))
+def test_oracle(answers, tables, name):
+    got, want = answers[name].result(), tables.execute(ORACLES[name]).df()
+    assert sorted(got.columns) == sorted(want.columns) and rows(got) == rows(want)
