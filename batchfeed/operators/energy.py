@@ -71,8 +71,9 @@ def merge_outer(aligned: DataFrame, delta_us: int = HOUR_US) -> DataFrame:
 
 def tick_grid(wide: DataFrame, cell_slots: int = CELL_SLOTS) -> DataFrame:
     """All expected (node, slot): each node has the slots from the first to the last of any node."""
-    bounds = wide.agg(F.min("slot").alias("a"), F.max("slot").alias("z")).where("a IS NOT NULL")
-    nodes = wide.select("node_id").distinct().join(F.broadcast(bounds))  # one row of bounds
+    per = wide.groupBy("node_id").agg(F.min("slot").alias("a"), F.max("slot").alias("z"))
+    every = W.partitionBy(F.lit(0))  # over one row a node
+    nodes = per.select("node_id", F.min("a").over(every).alias("a"), F.max("z").over(every).alias("z"))
     return spread(nodes, "a", "z", "slot", cell_slots).select("node_id", "slot")
 
 

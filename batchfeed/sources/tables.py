@@ -11,19 +11,25 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def samples_of(events: DataFrame) -> DataFrame:
-    """Power samples: node_id, ts, component, device, power_cw (hundredths of a watt).
+#: Event types that stand for the readings of a component.
+EVENT_TYPES = {"cpu": ("view",), "dram": ("click",), "gpu": ("signup", "purchase")}
 
-    Four nodes; node 3 has no GPU, error events are missed samples.
+
+def samples_of(events: DataFrame, components: tuple[str, ...] = tuple(EVENT_TYPES)) -> DataFrame:
+    """Power samples of the components: node_id, ts, component, device, power_cw (hundredths of a watt).
+
+    Four nodes; node 3 has no GPU, error events are missed samples. The choice of components
+    is one of event types, which the scan can apply.
     """
     kind = F.col("event_type")
     component = F.when(kind == "view", "cpu").when(kind == "click", "dram").when(kind.isin("signup", "purchase"), "gpu")
-    rows = events.select((F.col("user_id") % 4).cast("int").alias("node_id"), "ts", component.alias("component"), F.when(kind == "purchase", 1).otherwise(0).alias("device"), F.floor(F.col("value") * 100 + 0.5).cast("long").alias("power_cw"))
-    return rows.where("component IS NOT NULL AND NOT (node_id = 3 AND component = 'gpu')")
+    rows = events.where(kind.isin(*(t for c in components for t in EVENT_TYPES[c])))
+    rows = rows.select((F.col("user_id") % 4).cast("int").alias("node_id"), "ts", component.alias("component"), F.when(kind == "purchase", 1).otherwise(0).alias("device"), F.floor(F.col("value") * 100 + 0.5).cast("long").alias("power_cw"))
+    return rows.where("NOT (node_id = 3 AND component = 'gpu')")
 
 
-def samples(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return samples_of(read(spark, sf_dir, "events"))
+def samples(spark: SparkSession, sf_dir: str, *components: str) -> DataFrame:
+    return samples_of(read(spark, sf_dir, "events"), components or tuple(EVENT_TYPES))
 
 
 def nodes(spark: SparkSession) -> DataFrame:
