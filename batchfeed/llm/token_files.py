@@ -72,7 +72,7 @@ def _coded(grid: np.ndarray, freq: np.ndarray, start: np.ndarray) -> tuple[np.nd
     return x.ravel(), out[sent], sent.sum((1, 2))
 
 
-def encode_file(ids: np.ndarray, doc_ids: list[int | None], doc_tokens: list[int], group: int = 32) -> bytes:
+def encode_file(ids: np.ndarray, doc_ids: list[int | None], doc_tokens: list[int], group: int = 128) -> bytes:
     """A file of the given ids (not empty) of the given documents; `group` blocks are coded at a time."""
     counts = np.bincount(ids)
     symbols = np.flatnonzero(counts)
@@ -103,7 +103,7 @@ def encode_file(ids: np.ndarray, doc_ids: list[int | None], doc_tokens: list[int
     return MAGIC + struct.pack("<I", len(head)) + head + b"".join(data)
 
 
-def decode_file(data: bytes | pa.Buffer, only: list[int] | None = None, group: int = 32) -> tuple[np.ndarray, list[int | None], np.ndarray]:
+def decode_file(data: bytes | pa.Buffer, only: list[int] | None = None, group: int = 128) -> tuple[np.ndarray, list[int | None], np.ndarray]:
     """ids, doc_ids and tokens per document of a file; only: ids of these blocks alone. `group` blocks are decoded at a time."""
     data = memoryview(data)
     if data[: len(MAGIC)] != MAGIC:
@@ -165,7 +165,7 @@ class CachedTokenizer:
     _ODD = r"\A | \z|  | \n|\n |\n\n\n|\n\n\z|[\t\x0b\x0c\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
     _MARKS = ".,;:!?|*#$%&)"
 
-    def __init__(self, path: str, limit: int = 650_000):
+    def __init__(self, path: str, limit: int = 500_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core; idle threads would spin
         from tokenizers import Tokenizer
 
@@ -178,7 +178,10 @@ class CachedTokenizer:
         self.leads = {" ": np.zeros(most, bool), "\n": np.zeros(most, bool)}
         self.leads[" "][[i for t, i in vocabulary.items() if t.startswith("\u0120")]] = True
         self.leads["\n"][np.frombuffer(self.newline, self.kind)[:1]] = True
+        # ids by unit, in two generations: the older one is dropped when the younger has half the limit,
+        # and what is used meanwhile moves to the younger
         self.words: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         self.limit = limit
 
     def _alone(self, units: list[str]) -> list[bytes]:
@@ -187,7 +190,11 @@ class CachedTokenizer:
     def _learn(self, units: list[str]) -> None:
         """Encode units not known yet. Those led by their only space or newline go as one text, whose
         ids are cut again at the tokens that lead; that spares the library's cost per text."""
-        new = [u for u in units if u not in self.words]
+        known, older = self.words, self.older
+        unseen = [u for u in units if u not in known]
+        new = [u for u in unseen if u not in older] if older else unseen
+        if len(new) < len(unseen):
+            known.update((u, older[u]) for u in unseen if u in older)
         # the first unit of an odd text may start with white space, which must not meet the newline put before it
         apart = [u for u in new if u[0] == "\n" and not u[1:2].strip()]
         self.words.update(zip(apart, [self.newline + raw for raw in self._alone([u[1:] for u in apart])], strict=True))
@@ -232,8 +239,8 @@ class CachedTokenizer:
 
     def encode(self, batch: list[str | None] | pa.Array, piece: int = 1 << 18) -> list[bytes]:
         """Ids of each text (null: none), as little-endian bytes of self.kind."""
-        if len(self.words) > self.limit:
-            self.words.clear()
+        if len(self.words) > self.limit // 2:
+            self.older, self.words = self.words, {}
         texts = pc.fill_null(pa.array(batch, pa.large_string()) if isinstance(batch, list) else batch.cast(pa.large_string()), "")
         odd = pc.match_substring_regex(texts, self.odd)
         # a newline before each text shows that no space leads its first unit; its ids are dropped below
