@@ -613,3 +613,7 @@ def test_cached_tokenizer_gives_the_ids_of_the_library():
     for _ in range(2):  # learned, then known
         assert [np.frombuffer(g, t.kind).tolist() for g in t.encode(texts)] == [e.ids for e in want]
     assert t.encode([]) == []
+    small = token_files.CachedTokenizer(vocabulary_path(), limit=200)  # units move between generations and are dropped
+    for at in range(0, len(texts), 500):
+        assert [np.frombuffer(g, t.kind).tolist() for g in small.encode(texts[at : at + 500])] == [e.ids for e in want[at : at + 500]]
+    assert small.older
