@@ -7,6 +7,8 @@ it cuts at exactly those six bytes; `bytes.lower()` changes A-Z alone.
 from __future__ import annotations
 
 import contextlib
+import gc
+import time
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -66,13 +68,26 @@ def scratch(spark: SparkSession):
             path.getFileSystem(conf).delete(path, True)
 
 
-def written(df: DataFrame, label: str, path: str | None = None) -> DataFrame:
+def written(df: DataFrame, label: str, path: str | None = None, partition_by: tuple = ()) -> DataFrame:
     """Write df to the shared folder as Parquet and read it back, which cuts its lineage."""
     spark, path = df.sparkSession, path or new_path(df.sparkSession, label)
-    df.write.parquet(path)
+    df.write.partitionBy(*partition_by).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark remove the shuffle files behind what has been written.
+
+    It does so once the driver has collected the objects that stand for them, which it may not
+    do for half an hour of its own; operators with several large exchanges ask for it. Python's
+    references are dropped on a thread of their own, so a second round finds what they held.
+    """
+    for _ in (1, 2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.5)
+
+
 def input_bytes(df: DataFrame, column: str = "text") -> int:
     """Catalyst's estimate of df's size, from file sizes; where it has none or multiplies joined sizes, the measured bytes of `column`."""
     plan = df._jdf.queryExecution().optimizedPlan()
