@@ -28,7 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import crc_bucket, mixed, new_path, release, word_hashes, written
+from .common import crc_bucket, mixed, new_path, word_hashes, written
 from .key_exchange import ASK_SCHEMA, Block, Exchange, answered, asked, block_rows, blocks, cut, joined, looked_up, meet, packed, unpacked, values_in_order
 
 _BOS, _END = word_hashes([b"\x20bos", b"\x20end"])
@@ -180,7 +180,7 @@ def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, relia
                 yield asked(block, g.distinct, [g.count, g.kind], exchange)
 
     counted = written(answered(packed_docs.mapInArrow(first, ASK_SCHEMA), exchange, _answer(reliable, order)), "counts")
-    release(docs.sparkSession)
+    exchange.release(docs.sparkSession)
     totals = _totals(counted, order, reliable)
     base_all = math.log10(totals.tokens + base_add * (totals.types + 1))
 
@@ -231,7 +231,7 @@ def score(docs: DataFrame, order: int = 2, folds: int = 10, held: int = 0, relia
         })
 
     made = written(meet(packed_docs, counted.withColumn("level", F.lit(0)), evaluate, "kind string, part int, block long, crc long, payload binary, key long, kept double, lower double"), "evaluated", partition_by=("kind",))
-    release(docs.sparkSession)
+    exchange.release(docs.sparkSession)
     weights = backoff_table(made.where("kind = 'weight'").select(F.col("part").alias("order"), "key", "kept", "lower"))
     asks = made.where("kind = 'ask'").select("part", "block", "crc", "payload")
     answers = looked_up(asks, weights, exchange)

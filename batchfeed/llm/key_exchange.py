@@ -28,9 +28,9 @@ import numpy as np
 import pyarrow as pa
 import zstandard
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from .common import batches, texts, written
+from .common import batches, release, texts, written
 
 BLOCK_SCHEMA = "block long, crc long, size long, doc_ids binary, doc_null binary, body binary"
 ASK_SCHEMA = "part int, block long, crc long, payload binary"
@@ -140,12 +140,18 @@ class Exchange:
 
     levels: tuple[int, ...]
     blocks: int
+    text_bytes: int = 0
 
     @classmethod
     def over(cls, docs_blocks: DataFrame, part_bytes: int, fan: int = 4096, least: int = 48) -> Exchange:
         """As many parts as the text in docs_blocks has part_bytes, `least` at least."""
         n, size = docs_blocks.agg(F.count("*"), F.sum("size")).first()
-        return cls(tuple(ladder(max(least, -(-(size or 0) // part_bytes)), fan)), max(n, 1))
+        return cls(tuple(ladder(max(least, -(-(size or 0) // part_bytes)), fan)), max(n, 1), size or 0)
+
+    def release(self, spark: SparkSession) -> None:
+        """Have the files of a finished exchange removed, if they are large enough to wait a second for."""
+        if self.text_bytes >= 128 << 20:
+            release(spark)
 
     @property
     def first(self) -> int:
