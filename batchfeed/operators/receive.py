@@ -43,38 +43,96 @@ def _gradient(weights: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[np.nda
     return x.T @ p, float(loss)
 
 
-def train(examples: DataFrame, steps: int, epochs: int = 1, rate: float = 0.5, classes: int = 10, width: int = 64) -> tuple[list[float], np.ndarray]:
+def _matrix(b: pa.RecordBatch, width: int) -> np.ndarray:
+    """Embeddings of a batch, a row each."""
+    e = b["embedding"]
+    if e.null_count or (np.diff(e.offsets.to_numpy()) != width).any():
+        raise ValueError(f"an embedding is null or not of {width} values")
+    return np.asarray(e.flatten().to_numpy(zero_copy_only=False), float).reshape(-1, width)
+
+
+def _walk(batches, weights: np.ndarray, rate: float):
+    """Steps in ascending order, one after the other from weights: (loss of each, weights after the last)."""
+    losses, now, g, loss, n = [], None, np.zeros(weights.shape), 0.0, 0
+    for b in batches:
+        if not b.num_rows:
+            continue
+        step, x, y = b["step"].to_numpy(), _matrix(b, len(weights)), b["label"].to_numpy()
+        edge = [0, *(np.flatnonzero(np.diff(step)) + 1).tolist(), len(step)]
+        for a, z in zip(edge, edge[1:]):
+            if n and step[a] != now:
+                weights = weights - rate / n * g
+                losses.append(loss / n)
+                g, loss, n = np.zeros(weights.shape), 0.0, 0
+            more, add = _gradient(weights, x[a:z], y[a:z])
+            now, g, loss, n = step[a], g + more, loss + add, n + z - a
+    if n:
+        weights = weights - rate / n * g
+        losses.append(loss / n)
+    return losses, weights
+
+
+def train(examples: DataFrame, steps: int, epochs: int = 1, rate: float = 0.5, classes: int = 10, width: int = 64, wide: int = 4096) -> tuple[list[float], np.ndarray]:
     """Data-parallel softmax regression over examples(step, embedding, label), step by step, epoch by epoch.
 
-    The rows are put in order of step once and kept, so that a step reads its own part of them.
-    Each step sends the weights out, sums gradients per partition and adds them up; what
-    comes back is one matrix per partition. Returns the loss of each step and the weights.
+    The rows are put in order of step once and kept. Steps of over `wide` rows on average are
+    taken one a job: the weights are sent out, gradients are summed per partition and added up,
+    and what comes back is one matrix per partition. A job costs more than the gradient of a
+    smaller step, so there the weights go from partition to partition, and each takes the steps
+    it holds, all rows of each, in their order. Both give the loss of each step and the weights.
     """
-    spark, weights, losses = examples.sparkSession, np.zeros((width, classes)), []
+    spark = examples.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    rows = examples.select("step", "embedding", "label").repartitionByRange(parts, "step", F.hash("embedding")).sortWithinPartitions("step").persist()
+    rows = examples.select("step", "embedding", "label")
+    apart = rows.count() > wide * steps
+    rows = rows.repartitionByRange(parts, "step", *[F.hash("embedding")] * apart).sortWithinPartitions("step").persist()
     try:
-        for k in [*range(steps)] * epochs:
+        return (_steps_apart if apart else _steps_in_turn)(rows, steps, epochs, rate, np.zeros((width, classes)))
+    finally:
+        rows.unpersist()
+
+
+def _steps_in_turn(rows: DataFrame, steps: int, epochs: int, rate: float, weights: np.ndarray) -> tuple[list[float], np.ndarray]:
+    """Steps below `steps` of rows whose partitions are ascending ranges of them: a task for each partition and epoch."""
+    spark, losses = rows.sparkSession, []
+    rows = rows.where(F.col("step").between(0, steps - 1))
+    places = sorted(r.at for r in rows.select(F.spark_partition_id().alias("at")).distinct().collect())
+    for _ in range(epochs):
+        for at in places:
             held = spark.sparkContext.broadcast(weights)
 
             def part(batches, held=held):
-                g, loss, n = np.zeros((width, classes)), 0.0, 0
-                for b in batches:
-                    if b.num_rows:
-                        x = np.array(b["embedding"].to_pylist(), float)
-                        more, add = _gradient(held.value, x, b["label"].to_numpy())
-                        g, loss, n = g + more, loss + add, n + b.num_rows
-                if n:
-                    yield pa.RecordBatch.from_arrays([pa.array([g.tobytes()], pa.binary()), pa.array([loss]), pa.array([n], pa.int64())], ["g", "loss", "n"])
-
-            found = rows.where(F.col("step") == k).select("embedding", "label").mapInArrow(part, "g binary, loss double, n long").collect()
+                found, after = _walk(batches, held.value, rate)
+                yield pa.RecordBatch.from_arrays([pa.array([np.array(found).tobytes()], pa.binary()), pa.array([after.tobytes()], pa.binary())], ["losses", "weights"])
+
+            (r,) = spark.sparkContext.runJob(rows.mapInArrow(part, "losses binary, weights binary").rdd, list, [at])
             held.unpersist()
-            n = sum(r.n for r in found)
+            losses += np.frombuffer(r.losses).tolist()
+            weights = np.frombuffer(r.weights).reshape(weights.shape)
+    return losses, weights
+
+
+def _steps_apart(rows: DataFrame, steps: int, epochs: int, rate: float, weights: np.ndarray) -> tuple[list[float], np.ndarray]:
+    """A job for each step, over all partitions that have rows of it."""
+    spark, losses = rows.sparkSession, []
+    for k in [*range(steps)] * epochs:
+        held = spark.sparkContext.broadcast(weights)
+
+        def part(batches, held=held):
+            g, loss, n = np.zeros(held.value.shape), 0.0, 0
+            for b in batches:
+                if b.num_rows:
+                    more, add = _gradient(held.value, _matrix(b, len(g)), b["label"].to_numpy())
+                    g, loss, n = g + more, loss + add, n + b.num_rows
             if n:
-                weights = weights - rate / n * sum(np.frombuffer(r.g).reshape(width, classes) for r in found)
-                losses.append(sum(r.loss for r in found) / n)
-    finally:
-        rows.unpersist()
+                yield pa.RecordBatch.from_arrays([pa.array([g.tobytes()], pa.binary()), pa.array([loss]), pa.array([n], pa.int64())], ["g", "loss", "n"])
+
+        found = rows.where(F.col("step") == k).select("embedding", "label").mapInArrow(part, "g binary, loss double, n long").collect()
+        held.unpersist()
+        n = sum(r.n for r in found)
+        if n:
+            weights = weights - rate / n * sum(np.frombuffer(r.g).reshape(weights.shape) for r in found)
+            losses.append(sum(r.loss for r in found) / n)
     return losses, weights
 
 

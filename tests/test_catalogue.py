@@ -240,6 +240,23 @@ def test_data_parallel_equals_one_node(spark):
     assert np.allclose(losses, want) and np.allclose(weights, other)
 
 
+@pytest.mark.parametrize("wide", [0, 4096])
+def test_training_needs_no_job_for_each_small_step(spark, wide):
+    """Wide steps a job each, small ones in turn: the same losses over epochs, and the latter in far fewer jobs than steps."""
+    rng = np.random.default_rng(2)
+    x, y, step = rng.normal(size=(400, 64)), rng.integers(0, 10, 400), rng.integers(0, 40, 400)
+    df = spark.createDataFrame([(int(s), [float(v) for v in a], int(b)) for s, a, b in zip(step, x, y)], "step long, embedding array<double>, label int")
+    spark.sparkContext.setJobGroup(f"train {wide}", "")
+    try:
+        losses, weights = R.train(df, 40, epochs=2, wide=wide)
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    jobs = len(spark.sparkContext.statusTracker().getJobIdsForGroup(f"train {wide}"))
+    steps = np.concatenate([step, step + 40])
+    want, other = R.train_reference(np.concatenate([x, x]), np.concatenate([y, y]), steps)
+    assert np.allclose(losses, want) and np.allclose(weights, other) and (jobs >= 80 if wide == 0 else jobs < 20)
+
+
 def test_lookahead_without_end_is_the_closed_form(spark):
     b = spark.createDataFrame([("r", 0, 1, 0, i + 1, n, f) for i, (n, f) in enumerate([(3, 7), (1, 2), (4, 9), (2, 1)])], "regime string, rtt_us long, epoch int, node_id int, turn long, n long, fetch_us long")
     free = L.lookahead(b, "fetch_us", 2, 1 << 30).orderBy("turn").collect()
