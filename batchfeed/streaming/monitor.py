@@ -59,11 +59,20 @@ def sessions(samples: DataFrame, gap: str = "30 minutes") -> DataFrame:
 
 
 def send_receipt(events: DataFrame, within: str = "1 hour", delay: str = "1 hour") -> DataFrame:
-    """Views (sends) joined with clicks (receipts) of the same node within an hour."""
+    """Views (sends) joined with clicks (receipts) of the same node within an hour.
+
+    A stream join compares all rows of a key, so time is part of the key: a receipt has the
+    quarter of `within` it falls in, a send has all that its receipts can fall in. A pair meets
+    in the receipt's quarter alone, and a key holds the rows of a stretch of time.
+    """
     node = (F.col("user_id") % 4).cast("int")
+    width = f"greatest(1, unix_micros(timestamp_micros(0) + INTERVAL {within}) div 4)"
+    quarter = lambda t: F.expr(f"unix_micros({t}) div {width}")
     s = events.where("event_type = 'view'").select(node.alias("node_id"), F.col("event_id").alias("send_id"), F.col("ts").alias("sent")).withWatermark("sent", delay)
+    s = s.withColumn("quarter", F.explode(F.sequence(quarter("sent"), quarter(f"(sent + INTERVAL {within})"))))
     r = events.where("event_type = 'click'").select(node.alias("r_node"), F.col("event_id").alias("receipt_id"), F.col("ts").alias("received")).withWatermark("received", delay)
-    on = (F.col("node_id") == F.col("r_node")) & (F.col("received") >= F.col("sent")) & (F.col("received") < F.col("sent") + F.expr(f"INTERVAL {within}"))
+    r = r.withColumn("r_quarter", quarter("received"))
+    on = (F.col("node_id") == F.col("r_node")) & (F.col("quarter") == F.col("r_quarter")) & (F.col("received") >= F.col("sent")) & (F.col("received") < F.col("sent") + F.expr(f"INTERVAL {within}"))
     return s.join(r, on).select("node_id", "send_id", "receipt_id")
 
 

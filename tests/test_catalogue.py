@@ -19,7 +19,7 @@ from batchfeed.functions.cells import cell_of, running_sums
 from batchfeed.operators import energy as E, loaders as L, payload as K, planner as P, receive as R, shards as H, transport as T
 from batchfeed.plans.catalog import ORACLES, QUERIES
 from batchfeed.sources import framed
-from batchfeed.streaming import sinks
+from batchfeed.streaming import monitor, sinks
 
 DATA = "/root/testdata/sf0.001"
 
@@ -266,6 +266,19 @@ def test_lookahead_without_end_is_the_closed_form(spark):
     assert all(a.done >= c.done for a, c in zip(tight, free))
 
 
+@pytest.mark.parametrize("within,us", [("1 hour", 3_600_000_000), ("3 microseconds", 3)])
+def test_sends_meet_receipts_of_their_time_only(spark, within, us):
+    """Time is part of the join's key; pairs on and beside every edge, before 1970 too, are found once."""
+    rng = random.Random(5)
+    rows = [(i, rng.choice((-1, 0, 1)) * us // 4 * rng.randint(0, 9) + rng.randint(-1, 1), rng.randint(0, 7), rng.choice(("view", "click", "error"))) for i in range(400)] + [(400, None, 1, "view"), (401, None, 1, "click")]
+    e = spark.createDataFrame(rows, "event_id long, us long, user_id long, event_type string").withColumn("ts", F.timestamp_micros("us")).drop("us")
+    joined = monitor.send_receipt(e, within)
+    want = sorted((a[2] % 4, a[0], b[0]) for a in rows for b in rows if a[3] == "view" and b[3] == "click" and a[2] % 4 == b[2] % 4 and None not in (a[1], b[1]) and a[1] <= b[1] < a[1] + us)
+    assert sorted(tuple(r) for r in joined.collect()) == want and len(want) > 100
+    keys = [line for line in joined._jdf.queryExecution().executedPlan().toString().split("\n") if "Join" in line]
+    assert keys and all("[node_id" in line and ", quarter" in line for line in keys)
+
+
 def test_streams_read_folders_and_overlapping_files(spark, tmp_path):
     e = spark.read.parquet(f"{DATA}/events.parquet")
     names = ("stream_tick_energy", "stream_dedup")
