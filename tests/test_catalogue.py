@@ -266,6 +266,16 @@ def test_lookahead_without_end_is_the_closed_form(spark):
     assert all(a.done >= c.done for a, c in zip(tight, free))
 
 
+@pytest.mark.parametrize("name", ["w13_audit"])
+def test_audits_read_a_given_table(spark, tables, name):
+    """The printed figures stand beside those modelled from documents."""
+    df = QUERIES[name](spark, DATA)
+    assert any(f.endswith("documents.parquet") for f in df.inputFiles())
+    got, want = df.toPandas(), tables.execute(ORACLES[name]).df()
+    assert sorted(got.columns) == sorted(want.columns) and rows(got) == rows(want) and len(got) == {"w13_audit": 24, "w13_audit_energy": 6, "w13_headlines": 4}[name]
+    assert any("modelled" in c for c in got.columns) and not got.filter(like="modelled").isna().any(axis=None)
+
+
 @pytest.mark.parametrize("within,us", [("1 hour", 3_600_000_000), ("3 microseconds", 3)])
 def test_sends_meet_receipts_of_their_time_only(spark, within, us):
     """Time is part of the join's key; pairs on and beside every edge, before 1970 too, are found once."""
