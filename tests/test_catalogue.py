@@ -266,7 +266,7 @@ def test_lookahead_without_end_is_the_closed_form(spark):
     assert all(a.done >= c.done for a, c in zip(tight, free))
 
 
-@pytest.mark.parametrize("name", ["w13_audit", "w13_audit_energy"])
+@pytest.mark.parametrize("name", ["w13_audit", "w13_audit_energy", "w13_headlines"])
 def test_audits_read_a_given_table(spark, tables, name):
     """The printed figures stand beside those modelled from documents."""
     df = QUERIES[name](spark, DATA)
