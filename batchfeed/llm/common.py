@@ -62,10 +62,15 @@ def scratch(spark: SparkSession):
     finally:
         mine = [p for p in _MADE[first:] if p not in kept]
         del _MADE[first:]
-        conf = spark._jsparkSession.sessionState().newHadoopConf()
-        for p in mine:
-            path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(p)
-            path.getFileSystem(conf).delete(path, True)
+        remove(spark, *mine)
+
+
+def remove(spark: SparkSession, *paths: str) -> None:
+    """Delete folders that operators made."""
+    conf = spark._jsparkSession.sessionState().newHadoopConf()
+    for p in paths:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(conf).delete(path, True)
 
 
 def written(df: DataFrame, label: str, path: str | None = None, partition_by: tuple = ()) -> DataFrame:

@@ -11,6 +11,7 @@ from collections import Counter
 import numpy as np
 import pytest
 import xxhash
+import zstandard
 
 from batchfeed.llm import decontaminate, katz, key_exchange, mixing, quality_model, quality_rules, queries, simhash, substring_dedup, token_files, url_filters, warc
 from batchfeed.llm.queries import vocabulary_path
@@ -68,6 +69,28 @@ def test_substring_dedup(docs, empty):
     assert substring_dedup.remove_repeats(empty).count() == 0
 
 
+def test_substring_query_doubles_until_nothing_repeats(spark, tmp_path, monkeypatch):
+    assert substring_dedup._ladder(13, 60) == [1, 2, 4, 7, 13, 26, 52]
+    copied = " ".join(f"w{i}" for i in range(120))
+    spark.createDataFrame([(1, copied), (2, "other words " + copied), (3, " ".join(copied.split()[:30]))], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    monkeypatch.setattr(substring_dedup, "digest", lambda found: found)
+    got = queries.op4_substring_dedup(spark, str(tmp_path)).collect()
+    assert {r.doc_id: (r.longest_repeat, r.n_removed) for r in got} == {1: (104, 0), 2: (104, 120), 3: (26, 30)}
+
+
+def test_next_windows_are_those_whose_halves_repeat():
+    numbers = [np.array([0]), np.array([0], np.uint8)]
+    state = substring_dedup.State.of(key_exchange.Block(0, 0, *numbers, zstandard.ZstdCompressor().compress(np.array([9], "<u8").tobytes() + b"a b c d e")))
+    ladder = substring_dedup._ladder(4, 8)
+    keys, place, _ = substring_dedup._asks(state, ladder, 0, 4)
+    assert ladder == [1, 2, 4, 8] and sorted(state.hashes(ladder, 1)) == keys.tolist() and len(place) == 5  # every word is asked about
+    state.climb(ladder, 0, 4, np.array([True, True, True, False, True]))
+    assert state.at.tolist() == [0, 1]
+    state = substring_dedup.State.loaded(state.dumped())
+    state.climb(ladder, 1, 4, np.array([True, True]))
+    assert state.at.tolist() == [] and len(state.numbers) == 0  # two words at 0 and 2 would be needed
+
+
 def test_windows_that_share_a_key_are_told_apart():
     a = np.array([5, 5, 5, 7, 3], np.uint64)
     keys, place, first = substring_dedup._distinct(a, np.array([1, 2, 1, 9, 4], np.uint64))
