@@ -44,9 +44,9 @@ _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
 class State:
     """What a block carries from level to level: its documents, the windows asked about next, and what was found.
 
-    Windows shorter than the wanted one are hashed anew from the block's words, given as
-    numbers in its vocabulary. From the wanted length on, windows bring both their hashes,
-    and the words are dropped.
+    Windows are hashed anew from the block's words, given as numbers in its vocabulary, as
+    long as these take less room than two hashes for each window; then windows of the
+    wanted length and up bring their hashes, and the words are dropped.
     """
 
     sizes: np.ndarray
@@ -102,7 +102,7 @@ class State:
         """
         ends, doc = np.cumsum(self.sizes), self.doc
         if level + 1 == len(ladder):
-            self.at, self.first, self.second = self.at[:0], self.first[:0], self.second[:0]
+            self.at, self.first, self.second, self.vocabulary, self.numbers = (x[:0] for x in (self.at, self.first, self.second, self.vocabulary, self.numbers))
         else:
             length, longer = ladder[level], ladder[level + 1]
             step = longer - length
@@ -111,14 +111,13 @@ class State:
             at = self.at[again]
             at = at[at + longer <= ends[doc[at]]]
             at = at[where[at + step] >= 0]
-            if length >= window:
+            if not len(self.numbers):
                 here, there = where[at], where[at + step]
                 self.first, self.second = mixed(self.first[here], self.first[there]), mixed(self.second[here], self.second[there])
-            elif longer == window:
-                self.first, self.second = (self.hashes(ladder, window, lane)[at] for lane in (0, 1))
+            elif longer >= window and 16 * len(at) < self.vocabulary.nbytes + self.numbers.nbytes:
+                self.first, self.second = (self.hashes(ladder, longer, lane)[at] for lane in (0, 1))
+                self.vocabulary, self.numbers = self.vocabulary[:0], self.numbers[:0]
             self.at = at
-        if level + 1 == len(ladder) or ladder[level + 1] >= window:
-            self.vocabulary, self.numbers = self.vocabulary[:0], self.numbers[:0]
 
 
 def _distinct(hashes: np.ndarray, second: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -147,14 +146,15 @@ def _short_ask(state: State, ladder: list[int], length: int):
     return keys, place, [(low < high).astype(np.uint8)]
 
 
-def _long_ask(state: State):
-    """Windows that bring their hashes: keys, the place of each among them, least doc_id, if it has several, second hash."""
-    keys, place, first = _distinct(state.first, state.second)
+def _long_ask(state: State, ladder: list[int], length: int):
+    """Windows of the wanted length and up: keys, the place of each among them, least doc_id, if it has several, second hash."""
+    hashes, second = (state.hashes(ladder, length, lane)[state.at] for lane in (0, 1)) if len(state.numbers) else (state.first, state.second)
+    keys, place, first = _distinct(hashes, second)
     ids = state.ids[state.doc[state.at]]
     low, high = np.full(len(keys), _LAST), np.full(len(keys), np.int64(-(1 << 63)))
     np.minimum.at(low, place, ids)
     np.maximum.at(high, place, ids)
-    return keys, place, [low, (low < high).astype(np.uint8), state.second[first]]
+    return keys, place, [low, (low < high).astype(np.uint8), second[first]]
 
 
 def _repeated_short(keys, place, values):
@@ -186,7 +186,7 @@ def _ladder(window: int, longest: int | None) -> list[int]:
 
 
 def _asks(state: State, ladder: list[int], level: int, window: int):
-    return _long_ask(state) if ladder[level] >= window else _short_ask(state, ladder, ladder[level])
+    return (_long_ask if ladder[level] >= window else _short_ask)(state, ladder, ladder[level])
 
 
 def _judge(state: State, ladder: list[int], level: int, window: int, answers: list[np.ndarray]) -> None:

@@ -91,6 +91,27 @@ def test_next_windows_are_those_whose_halves_repeat():
     assert state.at.tolist() == [] and len(state.numbers) == 0  # two words at 0 and 2 would be needed
 
 
+def test_a_block_carries_words_or_window_hashes_whichever_is_smaller():
+    """Both give the same keys; a block in which all repeats keeps its words, however long the windows get."""
+    ladder = substring_dedup._ladder(4, 64)
+    body = [b" ".join(b"w%d" % i for i in range(100)), b" ".join([*(b"w%d" % i for i in range(40)), *(b"v%d" % i for i in range(2000))])]
+    raw = np.array([len(b) for b in body], "<u8").tobytes() + b"".join(body)
+    state = substring_dedup.State.of(key_exchange.Block(0, 0, np.arange(2), np.zeros(2, np.uint8), zstandard.ZstdCompressor().compress(raw)))
+    words, numbers, seen = state.vocabulary, state.numbers, {}
+    for level, length in enumerate(ladder):
+        state = substring_dedup.State.loaded(state.dumped())
+        seen[length] = len(state.at), len(state.numbers) > 0
+        keys, _, values = substring_dedup._asks(state, ladder, level, 4)
+        if length >= 4 and seen[length] == (len(state.at), False):
+            anew = substring_dedup.State(state.sizes, state.ids, words, numbers, state.at, state.first, state.second, state.gone, state.most)
+            other, _, same = substring_dedup._asks(anew, ladder, level, 4)
+            assert keys.tolist() == other.tolist() and [v.tolist() for v in values] == [v.tolist() for v in same]
+        answer = substring_dedup._repeated_long if length >= 4 else substring_dedup._repeated_short
+        substring_dedup._judge(state, ladder, level, 4, answer(keys, np.arange(len(keys)), values)[0])
+    assert seen == {1: (2140, True), 2: (78, True), 4: (74, False), 8: (66, False), 16: (50, False), 32: (18, False), 64: (0, False)}
+    assert state.gone.sum() == 40 and state.most.tolist() == [32, 32]
+
+
 def test_windows_that_share_a_key_are_told_apart():
     a = np.array([5, 5, 5, 7, 3], np.uint64)
     keys, place, first = substring_dedup._distinct(a, np.array([1, 2, 1, 9, 4], np.uint64))
