@@ -45,8 +45,14 @@ def packed(a: np.ndarray) -> bytes:
 
 def unpacked(data: bytes) -> np.ndarray:
     kind, size, n = struct.unpack_from("<cBI", data)
-    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(data[6:]), np.uint8)
-    return np.ascontiguousarray(raw.reshape(size, n).T).view(np.dtype(f"<{kind.decode()}{size}")).ravel() if n else np.zeros(0, f"<{kind.decode()}{size}")
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data[6:]), np.uint8).reshape(size, n) if n else np.zeros((size, 0), np.uint8)
+    if n < 2048:
+        raw = np.ascontiguousarray(planes.T)
+    else:  # numpy turns a large array slowly as a whole
+        raw = np.empty((n, size), np.uint8)
+        for i, plane in enumerate(planes):
+            raw[:, i] = plane
+    return raw.reshape(-1).view(f"<{kind.decode()}{size}")
 
 
 def joined(parts: list[bytes]) -> bytes:

@@ -25,13 +25,13 @@ from __future__ import annotations
 
 import hashlib
 from dataclasses import dataclass
-from itertools import chain, compress
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from .common import mixed, new_path, remove, word_hashes, written
+from .common import mixed, new_path, remove, written
 from .key_exchange import ASK_SCHEMA, Block, Exchange, answered, ask_rows, block_rows, blocks, cut, joined, packed, unpacked, values_in_order
 
 STATE_SCHEMA = "block long, crc long, candidates long, payload binary"
@@ -40,6 +40,20 @@ _LAST = np.int64((1 << 63) - 1)
 _SECOND = np.uint64(0xC2B2AE3D27D4EB4F)
 
 
+def spaced_words(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All words, one after the other with a space behind each: their bytes, the bytes of each word, the words of each text."""
+    raw = np.frombuffer(b" ".join([*texts, b""]), np.uint8)
+    space = (raw == 32) | (raw - np.uint8(9) < 5)
+    ends = np.flatnonzero(space)
+    lengths = np.diff(ends, prepend=-1)
+    ends, lengths = ends[lengths > 1], lengths[lengths > 1]
+    space[ends] = False
+    body = raw[~space]
+    body[np.cumsum(lengths) - 1] = 32
+    sizes = np.diff(np.searchsorted(ends, np.cumsum([len(t) + 1 for t in texts])), prepend=0)
+    return body, lengths, sizes.astype(np.int64)
+
+
 @dataclass
 class State:
     """What a block carries from level to level: its documents, the windows asked about next, and what was found.
@@ -62,13 +76,13 @@ class State:
     @classmethod
     def of(cls, block: Block) -> State:
         """A block's words, each of them a window to be asked about."""
-        words = [t.split() for t in block.texts]
-        number = {w: i for i, w in enumerate(dict.fromkeys(chain.from_iterable(words)))}
-        sizes = np.array([len(w) for w in words], np.int64)
-        n = int(sizes.sum())
-        numbers = np.fromiter(map(number.__getitem__, chain.from_iterable(words)), np.uint16 if len(number) < 1 << 16 else np.uint32, n)
+        body, lengths, sizes = spaced_words(block.texts)
+        n, offsets = len(lengths), np.append(0, np.cumsum(lengths))
+        found = pa.LargeBinaryArray.from_buffers(pa.large_binary(), n, [None, pa.py_buffer(offsets), pa.py_buffer(body)]).dictionary_encode()
+        vocabulary = np.fromiter(map(xxhash.xxh64_intdigest, found.dictionary.to_numpy(zero_copy_only=False)), np.uint64, len(found.dictionary))
+        numbers = found.indices.to_numpy().astype(np.uint16 if len(vocabulary) < 1 << 16 else np.uint32)
         none = np.zeros(0, np.uint64)
-        return cls(sizes, np.where(block.doc_null, _LAST, block.doc_ids), word_hashes(list(number)), numbers, np.arange(n), none, none, np.zeros(n, bool), np.zeros(len(sizes), np.int64))
+        return cls(sizes, np.where(block.doc_null, _LAST, block.doc_ids), vocabulary, numbers, np.arange(n), none, none, np.zeros(n, bool), np.zeros(len(sizes), np.int64))
 
     @classmethod
     def loaded(cls, data: bytes) -> State:
@@ -120,41 +134,60 @@ class State:
             self.at = at
 
 
-def _distinct(hashes: np.ndarray, second: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Ascending distinct keys, the place of each hash among them, and an entry of each.
+def _ordered(hashes: np.ndarray, second: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the hashes in ascending order, equal ones as they come, and where in it each distinct hash begins.
 
     With second hashes the keys of equal first ones are as many as they have second ones.
+    Numbers are sorted far faster than their places, so the places stand in the lowest bits.
     """
-    keys, first, place = np.unique(hashes, return_index=True, return_inverse=True)
-    if second is None or (second == second[first][place]).all():
-        return keys, place, first
-    order = np.lexsort((second, hashes))
-    new = np.append(True, (hashes[order][1:] != hashes[order][:-1]) | (second[order][1:] != second[order][:-1]))
-    place = np.empty(len(hashes), np.int64)
-    place[order] = np.cumsum(new) - 1
-    first = order[new]
-    return hashes[first], place, first
-
-
-def _short_ask(state: State, ladder: list[int], length: int):
-    """Windows shorter than the wanted one: keys, the place of each among them, if several documents have it."""
-    keys, place, _ = _distinct(state.hashes(ladder, length)[state.at])
-    doc = state.doc[state.at]
-    low, high = np.full(len(keys), _LAST), np.full(len(keys), -1, np.int64)
-    np.minimum.at(low, place, doc)
-    np.maximum.at(high, place, doc)
-    return keys, place, [(low < high).astype(np.uint8)]
-
-
-def _long_ask(state: State, ladder: list[int], length: int):
-    """Windows of the wanted length and up: keys, the place of each among them, least doc_id, if it has several, second hash."""
-    hashes, second = (state.hashes(ladder, length, lane)[state.at] for lane in (0, 1)) if len(state.numbers) else (state.first, state.second)
-    keys, place, first = _distinct(hashes, second)
-    ids = state.ids[state.doc[state.at]]
-    low, high = np.full(len(keys), _LAST), np.full(len(keys), np.int64(-(1 << 63)))
-    np.minimum.at(low, place, ids)
-    np.maximum.at(high, place, ids)
-    return keys, place, [low, (low < high).astype(np.uint8), second[first]]
+    n = len(hashes)
+    low = np.uint64((1 << max(n - 1, 0).bit_length()) - 1)
+    order = hashes & ~low
+    order |= np.arange(n, dtype=np.uint64)
+    order.sort()
+    order &= low
+    order = order.view(np.int64)
+    ascending = hashes[order]
+    if (ascending[1:] < ascending[:-1]).any():  # some differ in the lowest bits alone
+        order = order[np.argsort(ascending, kind="stable")]
+        ascending = hashes[order]
+    new = np.ones(n, bool)
+    np.not_equal(ascending[1:], ascending[:-1], out=new[1:])
+    if second is not None:
+        other = second[order]
+        if ((other[1:] != other[:-1]) & ~new[1:]).any():
+            order = np.lexsort((second, hashes))
+            ascending, other = hashes[order], second[order]
+            new[1:] = (ascending[1:] != ascending[:-1]) | (other[1:] != other[:-1])
+    return order, np.flatnonzero(new)
+
+
+def _in_place(order: np.ndarray, starts: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """What each distinct hash has, for every hash."""
+    out = np.empty(len(order), values.dtype)
+    out[order] = np.repeat(values, np.diff(starts, append=len(order)))
+    return out
+
+
+def _distinct(hashes: np.ndarray, second: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ascending distinct keys, the place of each hash among them, and an entry of each."""
+    order, starts = _ordered(hashes, second)
+    return hashes[order[starts]], _in_place(order, starts, np.arange(len(starts))), order[starts]
+
+
+def _sides(state: State, ladder: list[int], length: int, window: int) -> tuple[np.ndarray, np.ndarray | None]:
+    """First and second hashes of the windows asked about; those shorter than the wanted one have no second."""
+    if not len(state.numbers):
+        return state.first, state.second
+    return state.hashes(ladder, length)[state.at], state.hashes(ladder, length, 1)[state.at] if length >= window else None
+
+
+def _ends_of(order: np.ndarray, starts: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Least and largest id of each distinct hash."""
+    if not len(starts):
+        return ids[:0], ids[:0]
+    ids = ids[order]
+    return np.minimum.reduceat(ids, starts), np.maximum.reduceat(ids, starts)
 
 
 def _repeated_short(keys, place, values):
@@ -166,7 +199,10 @@ def _repeated_short(keys, place, values):
 
 def _repeated_long(keys, place, values):
     """1 if a document of another id has the window, plus 2 if one with a smaller id than the block's least."""
-    keys, place, _ = _distinct(keys[place], values[2])
+    one = np.empty(len(keys), np.uint64)
+    one[place] = values[2]
+    if (one[place] != values[2]).any():
+        keys, place, _ = _distinct(keys[place], values[2])
     low = np.full(len(keys), _LAST)
     np.minimum.at(low, place, values[0])
     several = np.zeros(len(keys), bool)
@@ -185,22 +221,43 @@ def _ladder(window: int, longest: int | None) -> list[int]:
     return out
 
 
+def _asked(state: State, ladder: list[int], level: int, window: int):
+    """What a block asks at a level: order and starts of its windows, their keys and values.
+
+    Windows shorter than the wanted one bring whether several documents have them, others
+    the least doc_id, whether they have several, and the second hash.
+    """
+    length = ladder[level]
+    hashes, second = _sides(state, ladder, length, window)
+    order, starts = _ordered(hashes, second)
+    first, doc = order[starts], state.doc[state.at]
+    if length < window:  # places ascend among equal windows, and so do their documents
+        last = order[np.append(starts[1:], len(order)) - 1] if len(starts) else first
+        values = [(doc[first] < doc[last]).astype(np.uint8)]
+    else:
+        low, high = _ends_of(order, starts, state.ids[doc])
+        values = [low, (low < high).astype(np.uint8), second[first]]
+    return order, starts, hashes[first], values
+
+
 def _asks(state: State, ladder: list[int], level: int, window: int):
-    return (_long_ask if ladder[level] >= window else _short_ask)(state, ladder, ladder[level])
+    """Keys, the place of each window among them, and values."""
+    order, starts, keys, values = _asked(state, ladder, level, window)
+    return keys, _in_place(order, starts, np.arange(len(keys))), values
 
 
 def _judge(state: State, ladder: list[int], level: int, window: int, answers: list[np.ndarray]) -> None:
     """Take in the answers of a level and go on to the next."""
     length = ladder[level]
-    _, place, values = _asks(state, ladder, level, window)
-    got = answers[0][place] if len(place) else np.zeros(0, np.uint8)
+    order, starts, _, values = _asked(state, ladder, level, window)
+    got = _in_place(order, starts, answers[0]) if len(order) else np.zeros(0, np.uint8)
     again = (got & 1) > 0
     if length >= window:
         docs = state.doc[state.at]
         state.most = np.where(np.bincount(docs[again], minlength=len(state.most)) > 0, length, state.most)
         if length == window:
             smaller = np.zeros(len(state.gone), bool)
-            smaller[state.at[((got & 2) > 0) | (again & (state.ids[docs] > values[0][place]))]] = True
+            smaller[state.at[((got & 2) > 0) | (again & (state.ids[docs] > _in_place(order, starts, values[0])))]] = True
             state.gone = spread(smaller, window)
     state.climb(ladder, level, window, again)
 
@@ -225,7 +282,7 @@ def _asker(ladder: list[int], level: int, window: int, parts: int):
     def ask(rows):
         for batch in rows:
             for row in batch.to_pylist():
-                keys, _, values = _asks(State.loaded(row["payload"]), ladder, level, window)
+                _, _, keys, values = _asked(State.loaded(row["payload"]), ladder, level, window)
                 yield ask_rows(row["block"], row["crc"], keys, values, parts)
 
     return ask
@@ -283,11 +340,15 @@ def remove_repeats(docs: DataFrame, window: int = 13, longest: int | None = 0, k
         if row["crc"] != block.crc:
             raise ValueError("state of another block")
         state = State.loaded(row["payload"])
-        rows, at = [], 0
-        for text, n in zip(block.texts, state.sizes.tolist(), strict=True):
-            mine, cut_out = text.split(), state.gone[at : at + n]
-            edge = np.flatnonzero(np.diff(np.concatenate([[0], cut_out.view(np.int8), [0]]))).reshape(-1, 2)
-            kept = b" ".join(compress(mine, (~cut_out).tolist()) if len(edge) else mine)
+        body, lengths, sizes = spaced_words(block.texts)
+        if state.gone.any():
+            body = body[np.repeat(~state.gone, lengths)]
+        ends = np.append(0, np.cumsum(np.where(state.gone, 0, lengths)))
+        rows, at, body = [], 0, body.tobytes()
+        for n in sizes.tolist():
+            cut_out = state.gone[at : at + n]
+            edge = np.flatnonzero(np.diff(np.concatenate([[0], cut_out.view(np.int8), [0]]))).reshape(-1, 2) if cut_out.any() else np.zeros((0, 2), np.int64)
+            kept = body[ends[at] : max(ends[at], ends[at + n] - 1)]
             rows.append((n, int(cut_out.sum()), hashlib.sha256(kept).hexdigest(), [{"first": a, "end": z} for a, z in edge.tolist()], kept.decode() if keep_text else None))
             at += n
         n_words, n_removed, digests, spans, kept = zip(*rows, strict=True)

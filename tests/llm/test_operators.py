@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 import random
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -121,6 +122,49 @@ def test_windows_that_share_a_key_are_told_apart():
     assert substring_dedup._repeated_long(keys, place, values)[0][0].tolist() == [1, 0, 3, 0, 0]
 
 
+def test_words_are_cut_where_the_pattern_cuts():
+    bodies = [b"", b" \t a  b\n", "x\u00a0y\x1c\x85z \u2003\x00 \x0b\x0c\r é".encode(), b"   ", b"a", b"\xff\xfe b", b""]
+    want = [re.findall(rb"[^\x20\x09-\x0D]+", b) for b in bodies]
+    flat = [w for b in want for w in b]
+    body, lengths, sizes = substring_dedup.spaced_words(bodies)
+    assert sizes.tolist() == [len(b) for b in want] and lengths.tolist() == [len(w) + 1 for w in flat]
+    assert body.tobytes() == b"".join(w + b" " for w in flat)
+    assert [x.tolist() for x in substring_dedup.spaced_words([])] == [[], [], []]
+
+
+def test_equal_hashes_meet_however_close_others_are():
+    rng = np.random.default_rng(4)
+    close = np.uint64(1 << 63) + rng.integers(0, 90, 3000).astype(np.uint64)  # differ where the places stand
+    far = rng.integers(0, 1 << 63, 400).astype(np.uint64)[rng.integers(0, 400, 3000)]
+    for hashes in (close, far, np.append(close, far), close[:1], close[:0]):
+        keys, first, place = np.unique(hashes, return_index=True, return_inverse=True)
+        got = substring_dedup._distinct(hashes)
+        assert [x.tolist() for x in got] == [keys.tolist(), place.tolist(), first.tolist()]
+
+
+def test_a_block_is_asked_about_in_half_the_time_its_words_take_as_objects():
+    rng = np.random.default_rng(5)
+    body = b" ".join(b"word%d" % i for i in rng.zipf(1.2, 400_000) % 90_000)
+    raw = np.array([len(body)], "<u8").tobytes() + body
+    block = key_exchange.Block(0, 0, np.array([0]), np.zeros(1, np.uint8), zstandard.ZstdCompressor().compress(raw))
+
+    def as_objects():
+        found = body.split()
+        number = {w: i for i, w in enumerate(dict.fromkeys(found))}
+        numbers = np.fromiter(map(number.__getitem__, found), np.uint64, len(found))
+        return np.unique(numbers, return_index=True, return_inverse=True)
+
+    def seconds(run):
+        began = time.process_time()
+        run()
+        return time.process_time() - began
+
+    def in_arrays():
+        return substring_dedup._asks(substring_dedup.State.of(block), substring_dedup._ladder(13, 13), 0, 13)
+
+    assert 2 * min(seconds(in_arrays) for _ in range(5)) < min(seconds(as_objects) for _ in range(5))
+
+
 def test_exchange_rows_grow_with_the_input(spark):
     """A block has at most about `fan` rows a level, however many parts there are; all entries are answered."""
     rng = np.random.default_rng(6)
